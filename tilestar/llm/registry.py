@@ -6,15 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tilestar.llm import quality
+from tilestar.llm import linededup, quality
 from tilestar.runtime import table
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality": lambda s, d: quality.op1_quality(table(s, d, "documents")),
+        "op4_line_dedup": lambda s, d: linededup.op4_line_dedup(table(s, d, "documents")),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_quality": quality.SQL}
+    return {"op1_quality": quality.SQL, "op4_line_dedup": linededup.SQL}
