@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tilestar.llm import linededup, quality
+from tilestar.llm import linededup, quality, simhash
 from tilestar.runtime import table
 
 
@@ -14,6 +14,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_quality": lambda s, d: quality.op1_quality(table(s, d, "documents")),
         "op4_line_dedup": lambda s, d: linededup.op4_line_dedup(table(s, d, "documents")),
+        "op6_simhash": lambda s, d: simhash.op6_simhash(table(s, d, "documents")),
     }
 
 
