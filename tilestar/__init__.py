@@ -1 +1,8 @@
 """tilestar: block linear algebra and planning for scarce memory and bandwidth, on Spark DataFrames."""
+
+import sys
+
+from pyspark import cloudpickle
+
+# Functions that run on executors travel with their code, so workers need no copy of this package.
+cloudpickle.register_pickle_by_value(sys.modules[__name__])
