@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tilestar.llm import linededup, quality, simhash
+from tilestar.llm import linededup, quality, simhash, substring
 from tilestar.runtime import table
 
 
@@ -15,8 +15,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_quality": lambda s, d: quality.op1_quality(table(s, d, "documents")),
         "op4_line_dedup": lambda s, d: linededup.op4_line_dedup(table(s, d, "documents")),
         "op6_simhash": lambda s, d: simhash.op6_simhash(table(s, d, "documents")),
+        "op9_substring_dedup": lambda s, d: substring.op9_substring_dedup(table(s, d, "documents")),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_quality": quality.SQL, "op4_line_dedup": linededup.SQL}
+    return {"op1_quality": quality.SQL, "op4_line_dedup": linededup.SQL, "op9_substring_dedup": substring.SQL}
