@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tilestar.llm import bpe, linededup, quality, simhash, substring
+from tilestar.llm import bpe, linededup, packing, quality, simhash, substring
 from tilestar.runtime import table
 
 
@@ -17,6 +17,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_simhash": lambda s, d: simhash.op6_simhash(table(s, d, "documents")),
         "op9_substring_dedup": lambda s, d: substring.op9_substring_dedup(table(s, d, "documents")),
         "op5_bpe": lambda s, d: bpe.op5_bpe(table(s, d, "documents")),
+        "op8_packing": lambda s, d: packing.op8_packing(table(s, d, "documents")),
     }
 
 
