@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tilestar.llm import bpe, linededup, packing, quality, simhash, substring, toxicity
+from tilestar.llm import bpe, html, linededup, packing, quality, simhash, substring, toxicity
 from tilestar.runtime import table
 
 
@@ -19,6 +19,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op5_bpe": lambda s, d: bpe.op5_bpe(table(s, d, "documents")),
         "op8_packing": lambda s, d: packing.op8_packing(table(s, d, "documents")),
         "op2_toxicity": lambda s, d: toxicity.op2_toxicity(table(s, d, "documents"), table(s, d, "labels")),
+        "op10_html": lambda s, d: html.op10_html(table(s, d, "pages")),
     }
 
 
