@@ -59,6 +59,8 @@ LABELLED = (
     (30, 0, 0, 0, 0, 0, 0, 0, 0, 0, 0, 1), (13, 0, 25, 0, 5, 100, 0, 0, 0, 0, 0, 1), (19, 20, 3, 0, 4, 0, 0, 0, 0, 0, 0, 1), (4, 0, 17, 0, 3, 100, 0, 0, 0, 0, 0, 0),
     (14, 0, 9, 0, 3, 100, 1, 0, 1, 0, 0, 0), (26, 0, 30, 0, 2, 100, 1, 1, 0, 0, 0, 0), (32, 0, 35, 0, 1, 100, 0, 0, 1, 0, 0, 0), (28, 0, 5, 0, 1, 100, 0, 1, 0, 0, 0, 0),
     (12, 0, 40, 0, 2, 100, 1, 1, 1, 0, 0, 0), (4, 0, 30, 0, 2, 100, 1, 0, 0, 0, 1, 0), (45, 0, 30, 0, 2, 100, 1, 0, 1, 0, 0, 0), (24, 0, 25, 0, 2, 100, 0, 1, 0, 0, 0, 0),
+    (35, 0, 40, 0, 1, 100, 1, 0, 0, 0, 0, 1), (50, 0, 30, 0, 2, 100, 1, 0, 0, 0, 0, 1), (3, 0, 40, 0, 1, 100, 1, 0, 0, 0, 0, 1), (80, 3, 20, 0, 3, 100, 1, 0, 0, 0, 0, 1),
+    (22, 0, 20, 0, 2, 100, 0, 0, 0, 0, 0, 1), (44, 0, 30, 0, 1, 100, 0, 0, 0, 0, 0, 1), (1, 0, 14, 0, 2, 100, 1, 0, 0, 0, 0, 1), (16, 8, 25, 0, 3, 90, 1, 0, 0, 0, 0, 1),
     (3, 0, 1, 100, 2, 100, 0, 0, 0, 1, 0, 0), (25, 0, 7, 0, 9, 100, 0, 1, 0, 0, 0, 0), (50, 2, 40, 0, 35, 0, 0, 1, 0, 0, 0, 0), (6, 0, 5, 0, 4, 0, 1, 1, 1, 0, 0, 0), (14, 0, 9, 0, 13, 0, 1, 0, 1, 1, 0, 0),
 )
 DEPTH = 7
