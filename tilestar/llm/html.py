@@ -16,6 +16,7 @@ from __future__ import annotations
 import html as entities
 import re
 from collections.abc import Iterator
+from itertools import product
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -42,28 +43,38 @@ TELLING = _set(
 )
 
 FEATURES = ("words", "links", "words_before", "links_before", "words_after", "links_after", "in_main", "in_aside", "telling", "heading", "in_header")
-#: The labelled table: one block a row, features in the order above (links: percent of words in links), then 1 for main text.
-LABELLED = (
-    (60, 0, 45, 0, 70, 0, 1, 0, 0, 0, 0, 1), (1, 0, 60, 0, 50, 0, 1, 0, 0, 0, 0, 1), (9, 0, 12, 0, 80, 0, 1, 0, 0, 1, 0, 1), (120, 4, 9, 0, 0, 0, 1, 0, 0, 0, 0, 1),
-    (25, 10, 120, 0, 40, 2, 1, 0, 0, 0, 0, 1), (7, 0, 5, 100, 90, 0, 1, 0, 0, 1, 1, 1), (3, 0, 0, 0, 1, 0, 1, 0, 0, 0, 0, 1), (14, 0, 12, 0, 12, 100, 1, 0, 0, 0, 0, 1),
-    (2, 0, 3, 0, 8, 100, 1, 0, 0, 0, 0, 1), (200, 0, 15, 0, 11, 0, 1, 0, 0, 0, 0, 1), (5, 100, 40, 0, 60, 0, 1, 0, 0, 0, 0, 1), (18, 50, 33, 6, 21, 0, 1, 0, 0, 0, 0, 1),
-    (40, 0, 1, 100, 3, 0, 1, 0, 0, 0, 0, 1), (11, 0, 1, 100, 8, 0, 0, 0, 1, 0, 0, 0), (1, 100, 1, 100, 1, 100, 0, 1, 0, 0, 0, 0), (1, 100, 0, 0, 1, 100, 0, 1, 0, 0, 0, 0),
-    (13, 0, 75, 0, 0, 0, 0, 1, 0, 0, 0, 0), (6, 0, 40, 0, 0, 0, 0, 1, 0, 0, 0, 0), (9, 0, 80, 0, 12, 0, 1, 0, 1, 0, 0, 0), (35, 0, 60, 0, 50, 0, 1, 0, 1, 0, 0, 0),
-    (70, 0, 90, 0, 30, 0, 0, 0, 1, 0, 0, 0), (30, 0, 12, 0, 28, 0, 0, 0, 1, 0, 0, 0), (4, 0, 30, 0, 20, 0, 1, 1, 0, 0, 0, 0), (22, 0, 18, 0, 60, 0, 1, 1, 0, 0, 0, 0),
-    (2, 0, 1, 100, 3, 100, 0, 0, 0, 1, 1, 0), (5, 0, 0, 0, 2, 100, 0, 0, 0, 0, 1, 0), (12, 0, 0, 0, 1, 100, 0, 0, 0, 0, 1, 0), (3, 0, 7, 0, 50, 0, 1, 0, 0, 0, 1, 0),
-    (8, 0, 3, 0, 60, 0, 1, 0, 0, 0, 1, 0), (48, 0, 11, 0, 55, 0, 0, 0, 0, 0, 0, 1), (90, 5, 30, 0, 44, 0, 0, 0, 0, 0, 0, 1), (20, 0, 60, 0, 48, 0, 0, 0, 0, 0, 0, 1),
-    (8, 0, 52, 0, 64, 0, 0, 0, 0, 0, 0, 1), (10, 0, 1, 100, 70, 0, 0, 0, 0, 1, 0, 1), (6, 0, 4, 80, 45, 0, 0, 0, 0, 1, 0, 1), (15, 0, 8, 0, 47, 0, 0, 0, 0, 0, 0, 1),
-    (3, 100, 2, 100, 4, 100, 0, 0, 0, 0, 0, 0), (12, 90, 10, 100, 8, 75, 0, 0, 0, 0, 0, 0), (40, 80, 12, 90, 30, 70, 0, 0, 0, 0, 0, 0), (4, 0, 2, 100, 3, 100, 0, 0, 0, 0, 0, 0),
-    (5, 0, 3, 60, 2, 50, 0, 0, 0, 0, 0, 0), (2, 0, 0, 0, 1, 100, 0, 0, 0, 0, 0, 0), (9, 60, 50, 0, 5, 100, 0, 0, 0, 0, 0, 0), (3, 0, 6, 100, 0, 0, 0, 0, 0, 0, 0, 0),
-    (20, 0, 4, 0, 22, 0, 0, 0, 0, 0, 0, 1), (22, 5, 20, 0, 14, 0, 0, 0, 0, 0, 0, 1), (4, 0, 2, 100, 20, 0, 0, 0, 0, 1, 0, 1), (16, 0, 22, 0, 0, 0, 0, 0, 0, 0, 0, 1),
-    (30, 0, 0, 0, 0, 0, 0, 0, 0, 0, 0, 1), (13, 0, 25, 0, 5, 100, 0, 0, 0, 0, 0, 1), (19, 20, 3, 0, 4, 0, 0, 0, 0, 0, 0, 1), (4, 0, 17, 0, 3, 100, 0, 0, 0, 0, 0, 0),
-    (14, 0, 9, 0, 3, 100, 1, 0, 1, 0, 0, 0), (26, 0, 30, 0, 2, 100, 1, 1, 0, 0, 0, 0), (32, 0, 35, 0, 1, 100, 0, 0, 1, 0, 0, 0), (28, 0, 5, 0, 1, 100, 0, 1, 0, 0, 0, 0),
-    (12, 0, 40, 0, 2, 100, 1, 1, 1, 0, 0, 0), (4, 0, 30, 0, 2, 100, 1, 0, 0, 0, 1, 0), (45, 0, 30, 0, 2, 100, 1, 0, 1, 0, 0, 0), (24, 0, 25, 0, 2, 100, 0, 1, 0, 0, 0, 0),
-    (35, 0, 40, 0, 1, 100, 1, 0, 0, 0, 0, 1), (50, 0, 30, 0, 2, 100, 1, 0, 0, 0, 0, 1), (3, 0, 40, 0, 1, 100, 1, 0, 0, 0, 0, 1), (80, 3, 20, 0, 3, 100, 1, 0, 0, 0, 0, 1),
-    (22, 0, 20, 0, 2, 100, 0, 0, 0, 0, 0, 1), (44, 0, 30, 0, 1, 100, 0, 0, 0, 0, 0, 1), (1, 0, 14, 0, 2, 100, 1, 0, 0, 0, 0, 1), (16, 8, 25, 0, 3, 90, 1, 0, 0, 0, 0, 1),
-    (3, 0, 1, 100, 2, 100, 0, 0, 0, 1, 0, 0), (25, 0, 7, 0, 9, 100, 0, 1, 0, 0, 0, 0), (50, 2, 40, 0, 35, 0, 0, 1, 0, 0, 0, 0), (6, 0, 5, 0, 4, 0, 1, 1, 1, 0, 0, 0), (14, 0, 9, 0, 13, 0, 1, 0, 1, 1, 0, 0),
-)
-DEPTH = 7
+#: The labelled table, by kinds of block as an annotator met them: words, percent of them in links, (words, links) of the block before, of the block after,
+#: the five flags of FEATURES, and 1 for main text. A kind stands for all combinations of its values.
+PROSE, SHORT, LINKS = (60, 0), (4, 0), (2, 100)
+NOTHING = (0, 0)
+KINDS = (
+    # inside the main element
+    ((1, 9, 30, 120), (0, 10), (NOTHING, PROSE, SHORT, LINKS), (NOTHING, PROSE, SHORT, LINKS), (1, 0, 0, 0, 0), 1),
+    ((5, 20), (60, 100), (PROSE,), (PROSE, NOTHING, LINKS), (1, 0, 0, 0, 0), 1),
+    ((2, 12), (0, 50), (NOTHING, PROSE, SHORT, LINKS), (PROSE, SHORT, LINKS), (1, 0, 0, 1, 0), 1),
+    ((3, 14), (0,), (LINKS, SHORT), (PROSE, SHORT), (1, 0, 0, 1, 1), 1),
+    ((3, 11), (0, 40), (SHORT,), (PROSE, SHORT), (1, 0, 0, 0, 1), 0),
+    ((6, 40), (0, 100), (PROSE, SHORT), (PROSE, LINKS, NOTHING), (1, 0, 1, 0, 0), 0),
+    ((6, 40), (0, 100), (PROSE, SHORT), (PROSE, LINKS, NOTHING), (1, 1, 0, 0, 0), 0),
+    ((4,), (0,), (PROSE,), (PROSE, SHORT), (1, 0, 1, 1, 0), 0),
+    ((4,), (0,), (PROSE,), (PROSE, SHORT), (1, 1, 0, 1, 0), 0),
+    # outside it
+    ((1, 7, 35), (0, 100), (NOTHING, LINKS, PROSE), (NOTHING, LINKS, PROSE), (0, 1, 0, 0, 0), 0),
+    ((1, 7, 35), (0, 100), (NOTHING, LINKS, PROSE), (NOTHING, LINKS, PROSE), (0, 0, 1, 0, 0), 0),
+    ((2, 9), (0, 100), (NOTHING, LINKS), (LINKS, SHORT), (0, 0, 0, 0, 1), 0),
+    ((2, 9), (0,), (NOTHING, LINKS), (LINKS, SHORT), (0, 0, 0, 1, 1), 0),
+    ((4,), (0,), (PROSE, LINKS), (LINKS,), (0, 1, 0, 1, 0), 0),
+    ((4,), (0,), (PROSE, LINKS), (LINKS,), (0, 0, 1, 1, 0), 0),
+    # pages without a main element
+    ((20, 60, 150), (0, 12), (NOTHING, PROSE, SHORT, LINKS), (NOTHING, PROSE, SHORT, LINKS), (0, 0, 0, 0, 0), 1),
+    ((9,), (0,), (PROSE,), (PROSE,), (0, 0, 0, 0, 0), 1),
+    ((3, 10), (0,), (LINKS, PROSE), (PROSE,), (0, 0, 0, 1, 0), 1),
+    ((1, 4), (0, 100), (LINKS, SHORT), (LINKS, SHORT, NOTHING), (0, 0, 0, 0, 0), 0),
+    ((12, 40), (70, 100), (LINKS, SHORT), (LINKS, NOTHING), (0, 0, 0, 0, 0), 0),
+    ((3,), (0,), (LINKS,), (LINKS,), (0, 0, 0, 1, 0), 0),
+)
+LABELLED = [(n, links, *before, *after, *flags, label) for words, shares, befores, afters, flags, label in KINDS for n, links, before, after in product(words, shares, befores, afters)]
+DEPTH = 9
 
 
 def grow(rows: list[tuple[int, ...]], depth: int = DEPTH) -> object:
@@ -91,7 +102,7 @@ def leaf(tree: object, row: tuple[int, ...]) -> float:
     return tree
 
 
-TREE = grow(list(LABELLED))
+TREE = grow(LABELLED)
 
 
 def _telling(attributes: str) -> bool:
