@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tilestar.llm import bpe, html, linededup, packing, quality, simhash, substring, toxicity
+from tilestar.llm import bpe, html, licenses, linededup, packing, quality, simhash, substring, toxicity
 from tilestar.runtime import table
 
 
@@ -20,8 +20,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op8_packing": lambda s, d: packing.op8_packing(table(s, d, "documents")),
         "op2_toxicity": lambda s, d: toxicity.op2_toxicity(table(s, d, "documents"), table(s, d, "labels")),
         "op10_html": lambda s, d: html.op10_html(table(s, d, "pages")),
+        "op7_licenses": lambda s, d: licenses.op7_licenses(table(s, d, "documents")),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_quality": quality.SQL, "op4_line_dedup": linededup.SQL, "op9_substring_dedup": substring.SQL}
+    return {"op1_quality": quality.SQL, "op4_line_dedup": linededup.SQL, "op7_licenses": licenses.SQL, "op9_substring_dedup": substring.SQL}
