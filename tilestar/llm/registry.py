@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tilestar.llm import bpe, html, licenses, linededup, packing, quality, simhash, substring, toxicity
+from tilestar.llm import bpe, html, licenses, linededup, neighbours, packing, quality, simhash, substring, toxicity
 from tilestar.runtime import table
 
 
@@ -21,6 +21,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op2_toxicity": lambda s, d: toxicity.op2_toxicity(table(s, d, "documents"), table(s, d, "labels")),
         "op10_html": lambda s, d: html.op10_html(table(s, d, "pages")),
         "op7_licenses": lambda s, d: licenses.op7_licenses(table(s, d, "documents")),
+        "op3_neighbours": lambda s, d: neighbours.op3_neighbours(table(s, d, "embeddings")),
     }
 
 
