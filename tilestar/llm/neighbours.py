@@ -29,7 +29,7 @@ from tilestar.runtime import Scratch
 #: Neighbours a node keeps; trees; rows of a leaf; nodes sampled for planes; rounds at most; share of changed neighbours that ends them.
 K, TREES, LEAF, SAMPLE, ROUNDS, STILL = 32, 4, 512, 8192, 5, 0.02
 #: Beam of a search; expansions at most.
-BEAM, STEPS = 160, 6
+BEAM, STEPS = 256, 6
 CODED = "node bigint, code binary, scale double, square double"
 
 
