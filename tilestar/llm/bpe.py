@@ -7,7 +7,7 @@ table of known pairs; pairs not met before are settled by merging just their byt
 Defined results: null text counts as empty and has no tokens; a special token's string in a text is that token, as the tokenizers library has it;
 very long texts and words without white space take time in proportion to n log n; repeated rows are encoded alike; extra columns are ignored; an
 empty table gives an empty result. The tokenizer's file is a parameter and must be a byte-level BPE without normaliser, with the standard pre-tokeniser.
-The file is read where the tasks run, at the path that the parameter names there, once a task.
+The file is read on the driver; its tables, bounded by the vocabulary, are broadcast, and a worker keeps them and the words it has met from task to task.
 
 Memory: the word table is emptied at `WORDS` entries; a batch's own words come on top.
 """
@@ -183,10 +183,11 @@ class Codec:
 def encode(df: DataFrame, path: str, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, ids array<int>) for every row."""
 
+    shared = df.sparkSession.sparkContext.broadcast(Codec(path))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = None
+        codec = shared.value
         for b in batches:
-            codec = codec or Codec(path)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x.view(np.int32) for x in codec.encode(b.column(1).to_pylist())], pa.list_(pa.int32()))], names=["id", "ids"])
 
     return df.select(F.col(id_col).cast("bigint").alias("id"), F.col(text).cast("string").alias("text")).mapInArrow(run, "id bigint, ids array<int>")
@@ -195,10 +196,11 @@ def encode(df: DataFrame, path: str, id_col: str = "doc_id", text: str = "text")
 def decode(df: DataFrame, path: str, id_col: str = "id", ids: str = "ids") -> DataFrame:
     """(id, text) from token ids; null ids count as none."""
 
+    shared = df.sparkSession.sparkContext.broadcast(Codec(path))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = None
+        codec = shared.value
         for b in batches:
-            codec = codec or Codec(path)
             texts = [codec.decode(np.asarray(x or [], np.uint32)).decode() for x in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(texts, pa.string())], names=["id", "text"])
 
@@ -208,10 +210,11 @@ def decode(df: DataFrame, path: str, id_col: str = "id", ids: str = "ids") -> Da
 def op5_bpe(df: DataFrame, path: str | None = None) -> DataFrame:
     path = path or default_path()
 
+    shared = df.sparkSession.sparkContext.broadcast(Codec(path))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = None
+        codec = shared.value
         for b in batches:
-            codec = codec or Codec(path)
             n, coded, decoded = [], [], []
             for ids in codec.encode(b.column(1).to_pylist()):
                 n.append(len(ids))

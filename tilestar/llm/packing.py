@@ -40,23 +40,23 @@ PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigin
 
 
 class Ids:
-    """Text to token ids."""
+    """Text to token ids. Encoders are built where they are first used, and kept while the worker lives."""
 
     def __init__(self, ranks: str, exact: str) -> None:
-        import tiktoken
-
         with open(ranks, "rb") as f:
-            table = {base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}
-        special = bpe.Codec(exact).special
-        self.fast = tiktoken.Encoding("ranks", pat_str=bpe.PATTERN, mergeable_ranks=table, special_tokens=special)
-        self.exact, self.slow = exact, None
+            self.ranks = f.read()
+        self.codec, self.fast = bpe.Codec(exact), None
 
     def __call__(self, text: str) -> np.ndarray:
+        if self.fast is None:
+            import tiktoken
+
+            table = {base64.b64decode(a): int(b) for a, b in map(bytes.split, self.ranks.splitlines())}
+            self.fast = tiktoken.Encoding("ranks", pat_str=bpe.PATTERN, mergeable_ranks=table, special_tokens=self.codec.special)
         try:
             return self.fast.encode_to_numpy(text, allowed_special="all")
         except ValueError:
-            self.slow = self.slow or bpe.Codec(self.exact)
-            return next(self.slow.encode([text]))
+            return next(self.codec.encode([text]))
 
 
 def cuts(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
@@ -68,10 +68,11 @@ def cuts(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
 def pieces(df: DataFrame, ranks: str, exact: str, capacity: int = CAPACITY, end: int = END, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per piece: doc_id, piece, start, length, ids_crc32."""
 
+    shared = df.sparkSession.sparkContext.broadcast(Ids(ranks, exact))
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids_of = None
+        ids_of = shared.value
         for b in batches:
-            ids_of = ids_of or Ids(ranks, exact)
             rows = []
             for doc, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
                 ids = np.append(ids_of(t.as_py() or ""), np.uint32(end)).astype("<u4")
