@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import pickle
 import tempfile
 import uuid
 from collections.abc import Callable
+from typing import Any
 
+from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -60,3 +63,16 @@ class Scratch:
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """body(value) with value evaluated once a row, however often and however deep body uses it."""
     return F.transform(F.array(value), body)[0]
+
+
+def kept_in_workers(spark: SparkSession, value: Any) -> Callable[[], Any]:
+    """A function for use in tasks that gives `value`, a bounded object, which a Python worker unpacks once and keeps from task to task."""
+    sent = spark.sparkContext.broadcast({"packed": cloudpickle.dumps(value)})
+
+    def get() -> Any:
+        box = sent.value
+        if "value" not in box:
+            box["value"] = pickle.loads(box["packed"])
+        return box["value"]
+
+    return get
