@@ -25,6 +25,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tilestar.runtime import kept_in_workers
+
 #: Fixed value: the pre-tokeniser's pattern, as public_tokenizers.PATTERN states it.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 WORDS = 300_000
@@ -183,10 +185,10 @@ class Codec:
 def encode(df: DataFrame, path: str, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """(id, ids array<int>) for every row."""
 
-    shared = df.sparkSession.sparkContext.broadcast(Codec(path))
+    shared = kept_in_workers(df.sparkSession, Codec(path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = shared.value
+        codec = shared()
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([x.view(np.int32) for x in codec.encode(b.column(1).to_pylist())], pa.list_(pa.int32()))], names=["id", "ids"])
 
@@ -196,10 +198,10 @@ def encode(df: DataFrame, path: str, id_col: str = "doc_id", text: str = "text")
 def decode(df: DataFrame, path: str, id_col: str = "id", ids: str = "ids") -> DataFrame:
     """(id, text) from token ids; null ids count as none."""
 
-    shared = df.sparkSession.sparkContext.broadcast(Codec(path))
+    shared = kept_in_workers(df.sparkSession, Codec(path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = shared.value
+        codec = shared()
         for b in batches:
             texts = [codec.decode(np.asarray(x or [], np.uint32)).decode() for x in b.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(texts, pa.string())], names=["id", "text"])
@@ -210,10 +212,10 @@ def decode(df: DataFrame, path: str, id_col: str = "id", ids: str = "ids") -> Da
 def op5_bpe(df: DataFrame, path: str | None = None) -> DataFrame:
     path = path or default_path()
 
-    shared = df.sparkSession.sparkContext.broadcast(Codec(path))
+    shared = kept_in_workers(df.sparkSession, Codec(path))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = shared.value
+        codec = shared()
         for b in batches:
             n, coded, decoded = [], [], []
             for ids in codec.encode(b.column(1).to_pylist()):

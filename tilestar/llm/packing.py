@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tilestar.llm import bpe
-from tilestar.runtime import Scratch
+from tilestar.runtime import Scratch, kept_in_workers
 
 #: Fixed values of the contract.
 CAPACITY, END = 1024, 2
@@ -68,10 +68,10 @@ def cuts(n: int, capacity: int = CAPACITY) -> list[tuple[int, int]]:
 def pieces(df: DataFrame, ranks: str, exact: str, capacity: int = CAPACITY, end: int = END, id_col: str = "doc_id", text: str = "text") -> DataFrame:
     """One row per piece: doc_id, piece, start, length, ids_crc32."""
 
-    shared = df.sparkSession.sparkContext.broadcast(Ids(ranks, exact))
+    shared = kept_in_workers(df.sparkSession, Ids(ranks, exact))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids_of = shared.value
+        ids_of = shared()
         for b in batches:
             rows = []
             for doc, t in zip(b.column(0).to_pylist(), b.column(1), strict=True):
