@@ -130,7 +130,7 @@ def _gathered(parts: Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]], k: int
     for part in parts:
         held.append(part)
         count += len(part[0])
-        if count > 1 << 20:
+        if count > 1 << 18:
             yield _best(held, k)
             held, count = [], 0
     if held:
@@ -159,7 +159,8 @@ def _planes(sample: np.ndarray, depth: int, seed: int) -> tuple[np.ndarray, np.n
 
 def _start(nodes: DataFrame, codes: DataFrame, n: int, k: int, tasks: int) -> DataFrame:
     """(u, w, d) from random-projection trees."""
-    sample = _matrix(pa.array([r[0] for r in nodes.orderBy(F.xxhash64("node"), "node").limit(SAMPLE).select("v").collect()]))  # the documented bound
+    drawn = nodes.orderBy(F.xxhash64("node"), "node").limit(SAMPLE).select("v").collect()  # the documented bound
+    sample = np.array([r[0] for r in drawn], float) if drawn else np.zeros((0, 1))
     depth = max(0, min(int(np.ceil(np.log2(max(n / LEAF, 1)))), int(np.log2(max(len(sample) / 8, 1)))))
     trees = [_planes(sample, depth, t) for t in range(TREES)]
     subs = -(-n // (LEAF << depth))
