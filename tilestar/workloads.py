@@ -238,9 +238,9 @@ def _(spark, sf):
     return _volumes(spark)
 
 
-@query("volume_rollup", f"SELECT layout, m, sum(tiles)::BIGINT AS tiles, grouping(layout, m)::BIGINT AS level FROM ({VOLUME_SQL}) GROUP BY ROLLUP (layout, m)")
+@query("volume_rollup", f"SELECT coalesce(layout, 'all') AS layout, coalesce(m, -1) AS m, sum(tiles)::BIGINT AS tiles, grouping(layout, m)::BIGINT AS level FROM ({VOLUME_SQL}) q(r, t, s, m, layout, g, tiles) GROUP BY ROLLUP (q.layout, q.m)")
 def _(spark, sf):
-    return _volumes(spark).rollup("layout", "m").agg(F.sum("tiles").alias("tiles"), F.grouping_id("layout", "m").alias("level"))
+    return _volumes(spark).rollup("layout", "m").agg(F.sum("tiles").alias("tiles"), F.grouping_id("layout", "m").alias("level")).withColumns({"layout": F.coalesce("layout", F.lit("all")), "m": F.coalesce("m", F.lit(-1))})
 
 
 @query(
@@ -614,14 +614,14 @@ def cents(c: str) -> Column:
     return F.round(F.col(c) * 100).cast("bigint")
 
 
-@query("asof_last_signup", """SELECT e.event_id, (SELECT max(s.event_id) FROM events s WHERE s.event_type = 'signup' AND s.user_id = e.user_id AND s.ts = (SELECT max(x.ts) FROM events x WHERE x.event_type = 'signup' AND x.user_id = e.user_id AND x.ts <= e.ts)) AS signup_id
+@query("asof_last_signup", """SELECT e.event_id, coalesce((SELECT max(s.event_id) FROM events s WHERE s.event_type = 'signup' AND s.user_id = e.user_id AND s.ts = (SELECT max(x.ts) FROM events x WHERE x.event_type = 'signup' AND x.user_id = e.user_id AND x.ts <= e.ts)), -1)::BIGINT AS signup_id
 FROM events e WHERE e.event_type = 'purchase'""")
 def _(spark, sf):
     """As-of join by a window: the last signup of a user up to each purchase."""
     rows = table(spark, sf, "events").filter(F.col("event_type").isin("signup", "purchase"))
     sign = F.when(F.col("event_type") == "signup", F.col("event_id"))
     last = F.last(sign, ignorenulls=True).over(Window.partitionBy("user_id").orderBy("ts", F.col("event_type") == "purchase", "event_id"))
-    return rows.select("event_id", "event_type", last.alias("signup_id")).filter("event_type = 'purchase'").drop("event_type")
+    return rows.select("event_id", "event_type", F.coalesce(last, F.lit(-1)).alias("signup_id")).filter("event_type = 'purchase'").drop("event_type")
 
 
 @query("range_join_price_bands", """WITH b AS (SELECT n AS band, n * 200 AS low, (n + 1) * 200 AS high FROM range(0, 20) t(n)) SELECT band, count(*)::BIGINT AS parts FROM part JOIN b ON p_retailprice >= low AND p_retailprice < high GROUP BY 1""")
@@ -646,17 +646,18 @@ def _trade(spark: SparkSession, sf: str) -> DataFrame:
     return o.join(c, F.col("o_custkey") == F.col("c_custkey")).join(n, F.col("c_nationkey") == F.col("n_nationkey")).select("n_regionkey", "c_mktsegment", cents("o_totalprice").alias("cents"))
 
 
+_LEVELS = ("coalesce(n_regionkey, -1) AS region", "coalesce(c_mktsegment, 'all') AS segment")
 _TRADE = "SELECT n_regionkey, c_mktsegment, round(o_totalprice * 100)::BIGINT AS cents FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey"
 
 
-@query("cube_trade", f"SELECT n_regionkey, c_mktsegment, sum(cents)::BIGINT AS cents, count(*)::BIGINT AS n FROM ({_TRADE}) GROUP BY CUBE (n_regionkey, c_mktsegment)")
+@query("cube_trade", f"SELECT coalesce(n_regionkey, -1) AS region, coalesce(c_mktsegment, 'all') AS segment, sum(cents)::BIGINT AS cents, count(*)::BIGINT AS n FROM ({_TRADE}) GROUP BY CUBE (n_regionkey, c_mktsegment)")
 def _(spark, sf):
-    return _trade(spark, sf).cube("n_regionkey", "c_mktsegment").agg(F.sum("cents").alias("cents"), F.count("*").alias("n"))
+    return _trade(spark, sf).cube("n_regionkey", "c_mktsegment").agg(F.sum("cents").alias("cents"), F.count("*").alias("n")).selectExpr(*_LEVELS, "cents", "n")
 
 
-@query("grouping_sets_trade", f"SELECT n_regionkey, c_mktsegment, count(*)::BIGINT AS n FROM ({_TRADE}) GROUP BY GROUPING SETS ((n_regionkey), (c_mktsegment), ())")
+@query("grouping_sets_trade", f"SELECT coalesce(n_regionkey, -1) AS region, coalesce(c_mktsegment, 'all') AS segment, count(*)::BIGINT AS n FROM ({_TRADE}) GROUP BY GROUPING SETS ((n_regionkey), (c_mktsegment), ())")
 def _(spark, sf):
-    return _trade(spark, sf).groupingSets([["n_regionkey"], ["c_mktsegment"], []], "n_regionkey", "c_mktsegment").agg(F.count("*").alias("n"))
+    return _trade(spark, sf).groupingSets([["n_regionkey"], ["c_mktsegment"], []], "n_regionkey", "c_mktsegment").agg(F.count("*").alias("n")).selectExpr(*_LEVELS, "n")
 
 
 @query("pivot_segment", f"""SELECT n_regionkey, count(*) FILTER (c_mktsegment = 'BUILDING')::BIGINT AS building, count(*) FILTER (c_mktsegment = 'HOUSEHOLD')::BIGINT AS household FROM ({_TRADE}) GROUP BY 1""")
@@ -670,13 +671,13 @@ def _(spark, sf):
     return QUERIES["resident_sql_x1a"](spark, sf).orderBy(F.desc("c"), "i", "j").limit(20)
 
 
-@query("window_ranks", """SELECT s_suppkey, rank() OVER w AS rk, dense_rank() OVER w AS dense, ntile(4) OVER (PARTITION BY s_nationkey ORDER BY bal, s_suppkey) AS quarter, bal - lag(bal) OVER (PARTITION BY s_nationkey ORDER BY bal, s_suppkey) AS step
+@query("window_ranks", """SELECT s_suppkey, rank() OVER w AS rk, dense_rank() OVER w AS dense, ntile(4) OVER (PARTITION BY s_nationkey ORDER BY bal, s_suppkey) AS quarter, coalesce(bal - lag(bal) OVER (PARTITION BY s_nationkey ORDER BY bal, s_suppkey), 0)::BIGINT AS step
 FROM (SELECT *, round(s_acctbal * 100)::BIGINT AS bal FROM supplier) WINDOW w AS (PARTITION BY s_nationkey ORDER BY bal)""")
 def _(spark, sf):
     rows = table(spark, sf, "supplier").withColumn("bal", cents("s_acctbal"))
     w, v = Window.partitionBy("s_nationkey").orderBy("bal"), Window.partitionBy("s_nationkey").orderBy("bal", "s_suppkey")
     long_ = lambda c: c.cast("bigint")
-    return rows.select("s_suppkey", long_(F.rank().over(w)).alias("rk"), long_(F.dense_rank().over(w)).alias("dense"), long_(F.ntile(4).over(v)).alias("quarter"), (F.col("bal") - F.lag("bal").over(v)).alias("step"))
+    return rows.select("s_suppkey", long_(F.rank().over(w)).alias("rk"), long_(F.dense_rank().over(w)).alias("dense"), long_(F.ntile(4).over(v)).alias("quarter"), F.coalesce(F.col("bal") - F.lag("bal").over(v), F.lit(0)).alias("step"))
 
 
 @query("json_props", "SELECT event_type, sum((props->>'k')::BIGINT)::BIGINT AS total FROM events GROUP BY 1")
