@@ -29,7 +29,9 @@ from tilestar.runtime import kept_in_workers
 
 #: Fixed value: the pre-tokeniser's pattern, as public_tokenizers.PATTERN states it.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-WORDS = 300_000
+WORDS = 700_000
+#: Words of more bytes than this are merged with a heap.
+SHORT = 48
 
 
 def default_path() -> str:
@@ -61,9 +63,13 @@ class Codec:
         self.bytes_of |= {k: b for b, k in self.id_of.items()} | {k: s.encode() for s, k in self.special.items()}
         self.base = [self.id_of[bytes([b])] for b in range(256)]
         self.merges: dict[tuple[int, int], tuple[int, int]] = {}
+        self.rank_of: dict[int, int] = {}  # a << 24 | b: rank
+        self.made: list[int] = []
         for rank, pair in enumerate(model["merges"]):
             a, b = (raw[x] for x in (pair if isinstance(pair, list) else pair.split(" ")))
             self.merges[self.id_of[a], self.id_of[b]] = (rank, self.id_of[a + b])
+            self.rank_of[self.id_of[a] << 24 | self.id_of[b]] = rank
+            self.made.append(self.id_of[a + b])
         self.longest = max(map(len, self.id_of))
         self.split = regex.compile(PATTERN).findall
         self.cut = regex.compile("(" + "|".join(map(regex.escape, sorted(self.special, key=len, reverse=True))) + ")").split if self.special else None
@@ -78,11 +84,23 @@ class Codec:
         self.flat, self.start, self.length = np.zeros(0, np.uint32), np.zeros(0, np.int64), np.zeros(0, np.int64)
 
     def merge(self, word: bytes) -> list[int]:
-        """BPE by its definition: always the pair of lowest rank, leftmost first. A heap over a linked list."""
+        """BPE by its definition: always the pair of lowest rank, leftmost first. Short words by lists, others by a heap over a linked list."""
         ids = [self.base[b] for b in word]
         n = len(ids)
         if n < 2:
             return ids
+        if n <= SHORT:
+            get, made, none = self.rank_of.get, self.made, len(self.made)
+            ranks = [get(a << 24 | b, none) for a, b in zip(ids, ids[1:], strict=False)]
+            while ranks and (low := min(ranks)) < none:
+                i = ranks.index(low)
+                ids[i] = one = made[low]
+                del ids[i + 1], ranks[i]
+                if i:
+                    ranks[i - 1] = get(ids[i - 1] << 24 | one, none)
+                if i < len(ranks):
+                    ranks[i] = get(one << 24 | ids[i + 1], none)
+            return ids
         left, right, alive = list(range(-1, n - 1)), [*range(1, n), -1], [True] * n
         get = self.merges.get
         heap = [(m[0], i, ids[i], ids[i + 1], m[1]) for i in range(n - 1) if (m := get((ids[i], ids[i + 1])))]
