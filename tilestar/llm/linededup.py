@@ -75,7 +75,7 @@ def kept_lines(df: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str =
     near = scratch.save(_near(df, scratch.small(active, "active"), doc, text, scratch), "near")
     kept = firsts.select("at").join(near, "at", "left_anti").groupBy("at.doc").agg(F.sort_array(F.collect_list("at.line_no")).alias("kept"))
     kept = scratch.save(kept, "kept")
-    scratch.drop("firsts", "active", "near", "texts", "variants")
+    scratch.drop("firsts", "active", "near", "texts", "variants", "whole")
     return kept
 
 
@@ -87,12 +87,14 @@ def _near(df: DataFrame, active: DataFrame, doc: str, text: str, scratch: Scratc
     texts = scratch.save(rows.groupBy("at").agg(F.min("key").alias("key"), F.first("shared").alias("shared")), "texts")
     n = F.length("key")
     spans = F.filter(let(n, lambda k: _rests(F.col("key"), k)), lambda r: F.array_contains("shared", r["rest"]))
-    places = F.array_distinct(F.flatten(F.transform(spans, lambda r: F.when(r["high"] > r["low"], F.sequence(r["low"], r["high"] - 1)).otherwise(F.array().cast("array<int>")))))
     tasks = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    deleted = texts.repartition(tasks, "at").select("at", "key", F.explode(places).alias("place"))
-    variants = deleted.select("at", "place", F.xxhash64(F.concat(F.substr("key", F.lit(1), F.col("place")), F.substr("key", F.col("place") + 2, F.length("key")))).alias("variant"))
+    parts = texts.repartition(tasks, "at").select("at", "key", F.explode(spans).alias("r"))
+    parts = parts.select("at", "r.rest", F.substr("key", F.col("r.low") + 1, F.col("r.high") - F.col("r.low")).alias("part"))
+    deleted = parts.filter("part <> ''").select("at", "rest", "part", F.explode(F.sequence(F.lit(0), F.length("part") - 1)).alias("place"))
+    # the rest's hash stands for the text outside the segment
+    variants = deleted.select("at", "place", F.xxhash64("rest", F.concat(F.substr("part", F.lit(1), F.col("place")), F.substr("part", F.col("place") + 2, F.length("part")))).alias("variant"))
     variants = scratch.save(variants, "variants")
-    whole = texts.select("at", F.xxhash64("key").alias("variant"))
+    whole = scratch.save(parts.select("at", F.xxhash64("rest", "part").alias("variant")), "whole")
     # substitutions: equal variants, equal place
     first = variants.groupBy("variant", "place").agg(F.min("at").alias("witness"), F.max("at").alias("last")).filter("witness < last").select("variant", "place", "witness")
     found = variants.join(first, ["variant", "place"]).filter("witness < at").select("at", "witness")
