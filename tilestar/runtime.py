@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
+import atexit
+import functools
+import os
 import pickle
+import shutil
 import tempfile
 import uuid
 from collections.abc import Callable
@@ -21,13 +25,22 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+@functools.cache
+def _own_dir() -> str:
+    """A folder of this process, removed when it ends."""
+    os.makedirs(f"{tempfile.gettempdir()}/checkpoints", exist_ok=True)
+    path = tempfile.mkdtemp(prefix="tilestar-", dir=f"{tempfile.gettempdir()}/checkpoints")
+    atexit.register(shutil.rmtree, path, ignore_errors=True)
+    return f"file://{path}"
+
+
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir, or one of our own where it is unset."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
     if spark.sparkContext.master.startswith("local"):
-        return f"file://{tempfile.gettempdir()}/checkpoints"
+        return _own_dir()
     return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
 
 

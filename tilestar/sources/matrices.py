@@ -38,8 +38,8 @@ def trade(spark: SparkSession, sf: str) -> DataFrame:
     line, supp, orders, cust = (table(spark, sf, x) for x in ("lineitem", "supplier", "orders", "customer"))
     rows = line.join(supp, F.col("l_suppkey") == F.col("s_suppkey")).join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(cust, F.col("o_custkey") == F.col("c_custkey"))
     cells = rows.groupBy(F.col("s_nationkey").alias("i"), F.col("c_nationkey").alias("j")).agg(F.sum(F.col("l_quantity").cast("bigint")).alias("v"))
-    total = cells.groupBy(F.col("i").alias("d")).agg(F.sum("v").alias("total"))
-    return cells.join(total, (F.col("i") == F.col("d")) & (F.col("j") == F.col("d")), "left").select("i", "j", (F.col("v") + F.coalesce("total", F.lit(0))).alias("v"))
+    total = cells.groupBy("i").agg(F.sum("v").alias("v")).select("i", F.col("i").alias("j"), "v")
+    return cells.unionByName(total).groupBy("i", "j").agg(F.sum("v").alias("v"))
 
 
 def terms(df: DataFrame, id_col: str, text: str = "text") -> DataFrame:
@@ -58,7 +58,8 @@ def b_sql(t: int, s: int) -> str:
 
 EMBED_SQL = "SELECT vec_id AS row, (n - 1)::BIGINT AS col, floor(embedding[n]::DOUBLE * 1000 + 0.5)::BIGINT AS val FROM embeddings, range(1, 65) t(n)"
 TRADE_SQL = """
-SELECT i, j, (v + CASE WHEN i = j THEN sum(v) OVER (PARTITION BY i) ELSE 0 END)::BIGINT AS v FROM (
+WITH cells AS (
   SELECT s_nationkey AS i, c_nationkey AS j, sum(l_quantity::BIGINT)::BIGINT AS v
   FROM lineitem JOIN supplier ON l_suppkey = s_suppkey JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2)
+SELECT i, j, sum(v)::BIGINT AS v FROM (SELECT * FROM cells UNION ALL SELECT i, i, sum(v) FROM cells GROUP BY i) GROUP BY i, j
 """

@@ -534,11 +534,13 @@ def _(spark, sf):
 def _reconstructed(spark: SparkSession, m: DataFrame, n: int, q: int) -> DataFrame:
     """Product of the factors of m (row, col, val), rounded: must be m again."""
     blocks = -(-n // q)
-    pad = spark.range(n, blocks * q).select(F.col("id").alias("row"), F.col("id").alias("col"), F.lit(1.0).alias("val"))
+    own = m.select("row").distinct()
+    # rows without a cell, and those beyond the edge, get a pivot of one
+    pad = spark.range(blocks * q).join(own, F.col("id") == F.col("row"), "left_anti").select(F.col("id").alias("row"), F.col("id").alias("col"), F.lit(1.0).alias("val"))
     whole = tiles.to_tiles(m.select("row", "col", F.col("val").cast("double").alias("val")).unionByName(pad), q)
     low, up = lu.factor(whole, blocks, q, Scratch(spark, "lu"))
     back = tiles.to_cells(tiles.resident_multiply(low, up, blocks, blocks, blocks, q), q)
-    return back.filter((F.col("row") < n) & (F.col("col") < n)).select("row", "col", F.round("val").cast("bigint").alias("val")).filter("val <> 0")
+    return back.join(F.broadcast(own), "row", "left_semi").filter(F.col("col") < n).select("row", "col", F.round("val").cast("bigint").alias("val")).filter("val <> 0")
 
 
 @query("lu_trade_reconstruct", f"SELECT i::BIGINT AS row, j::BIGINT AS col, v AS val FROM ({matrices.TRADE_SQL}) WHERE v <> 0")
