@@ -176,3 +176,59 @@ st AS (
   WHERE st.step < {steps})
 SELECT platform_id, step, worker_id, comm AS finish, work FROM st WHERE step > 0
 """
+
+
+def pair_sql(platform_sql: str, steps: int, local: bool = False, recede: bool = False) -> str:
+    """The two-step look-ahead as a recursive query: DuckDB. A row of the recursion holds one message where the first is kept, two where the pair is."""
+    gain = "a.g * a.g + b.g * b.g"
+    ratio = f"({gain})::DOUBLE / (f2 - comm)" if local else f"(work + {gain})::DOUBLE / f2"
+    last = "f1, work + p.ga * p.ga, p.ka, p.ga, p.wa" if recede else "f2, work + p.ga * p.ga + p.gb * p.gb, p.kb, p.gb, p.wb"
+    comm, work, *_ = last.split(", ")
+    after = "list_transform(ready, lambda v, i: CASE WHEN i = p.ka THEN p.f1 + p.ga * p.ga * p.wa ELSE v END)"
+    if not recede:
+        after = f"list_transform({after}, lambda v, i: CASE WHEN i = p.kb THEN p.f2 + p.gb * p.gb * p.wb ELSE v END)"
+    rounds = steps if recede else (steps + 1) // 2
+    first = "SELECT platform_id, {n} AS step, wa AS worker_id, c1 AS finish, w1 AS work FROM st WHERE n > 0"
+    each = first.format(n="n") if recede else first.format(n="2 * n - 1") + " UNION ALL SELECT platform_id, 2 * n, wb, comm, work FROM st WHERE n > 0"
+    return f"""
+WITH RECURSIVE pf AS ({platform_sql}),
+num AS (SELECT platform_id, worker_id, c, w, g, row_number() OVER (PARTITION BY platform_id ORDER BY worker_id) AS k FROM pf WHERE g > 0),
+st AS (
+  SELECT platform_id, 0 AS n, 0::BIGINT AS work, 0::BIGINT AS comm, list(0::BIGINT) AS ready, 0 AS wa, 0 AS wb, 0::BIGINT AS c1, 0::BIGINT AS w1 FROM num GROUP BY platform_id
+  UNION ALL
+  SELECT st.platform_id, st.n + 1, st.{work}, p.{comm}, {after}, p.ia, p.ib, p.f1, st.work + p.ga * p.ga
+  FROM st, LATERAL (
+    SELECT z.* FROM (
+      SELECT y.*, greatest(y.f1 + 2 * y.gb * y.cb, CASE WHEN y.ka = y.kb THEN y.f1 + y.ga * y.ga * y.wa ELSE st.ready[y.kb] END) AS f2, st.work AS work, st.comm AS comm
+      FROM (SELECT a.k AS ka, a.g AS ga, a.w AS wa, a.worker_id AS ia, b.k AS kb, b.g AS gb, b.w AS wb, b.c AS cb, b.worker_id AS ib,
+                   greatest(st.comm + 2 * a.g * a.c, st.ready[a.k]) AS f1
+            FROM num a JOIN num b ON a.platform_id = b.platform_id WHERE a.platform_id = st.platform_id) y) z
+    ORDER BY {ratio.replace("a.g", "ga").replace("b.g", "gb")} DESC, ka, kb LIMIT 1) p
+  WHERE st.n < {rounds})
+{each}
+"""
+
+
+def preallocate_sql(platform_sql: str, steps: int, r: int, t: int, s: int) -> str:
+    """The columns that the global greedy's workers own, as `preallocate` gives them: DuckDB."""
+    return f"""
+WITH tr AS ({selection_sql(platform_sql, steps)}),
+x AS (SELECT tr.platform_id, tr.worker_id, step, g, row_number() OVER (PARTITION BY tr.platform_id, tr.worker_id ORDER BY step) AS nth
+      FROM tr JOIN ({platform_sql}) p ON p.platform_id = tr.platform_id AND p.worker_id = tr.worker_id),
+y AS (SELECT *, CASE WHEN nth % ({t} * (({r} + g - 1) // g)) = 0 THEN g ELSE 0 END AS gain FROM x),
+z AS (SELECT *, coalesce(sum(gain) OVER (PARTITION BY platform_id ORDER BY step ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before FROM y)
+SELECT platform_id, worker_id, sum(gain)::BIGINT AS columns, count(*)::BIGINT AS picks FROM z WHERE before < {s} GROUP BY 1, 2
+"""
+
+
+def waits(folded: DataFrame, platform: DataFrame) -> DataFrame:
+    """From a trace: each worker's longest time between the ends of two of its messages, how often it computed all it held before the next came, and the
+    buffers that would have carried it through: (platform_id, worker_id, messages, longest, starved, need, fits). Fits: need within the double buffer's m."""
+    own = Window.partitionBy("platform_id", "worker_id").orderBy("step")
+    rows = trace(folded).withColumn("gap", F.col("finish") - F.lag("finish").over(own)).join(platform, ["platform_id", "worker_id"])
+    panel = F.col("g") * F.col("g") * F.col("w")
+    each = rows.groupBy("platform_id", "worker_id", "g", "m", panel.alias("panel")).agg(
+        F.count("*").alias("messages"), F.coalesce(F.max("gap"), F.lit(0)).cast("bigint").alias("longest"), F.sum(F.when(F.col("gap") > panel, 1).otherwise(0)).alias("starved")
+    )
+    need = F.col("g") * F.col("g") + 2 * F.col("g") * (1 + F.floor((F.greatest("longest", F.lit(1)) + F.col("panel") - 1) / F.col("panel"))).cast("bigint")
+    return each.select("platform_id", "worker_id", "messages", "longest", "starved", need.alias("need"), (need <= F.col("m")).alias("fits"))

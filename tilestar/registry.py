@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from tilestar import workloads
+from tilestar import surround, workloads  # noqa: F401  surround adds its queries to those of workloads
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
