@@ -6,7 +6,7 @@ from pyspark.errors import PySparkException
 from pyspark.sql import functions as F
 
 from tilestar.functions import udfs
-from tilestar.operators import sparse, tiles
+from tilestar.operators import lu, sparse, tiles
 from tilestar.plans import expr
 from tilestar.runtime import Scratch
 from tilestar.sources import tilefile
@@ -101,3 +101,15 @@ def test_tile_files(spark):
     with pytest.raises(PySparkException):
         bad.write.format("tiles").option("q", 3).mode("append").save(path)
     assert read().count() == 3
+
+
+def test_solve_and_determinant(spark):
+    rng = np.random.default_rng(5)
+    m = rng.integers(-3, 4, (7, 7)) + np.diag([30, -30, 30, 30, -30, -30, 30])
+    x = np.arange(1, 8)
+    y = spark.createDataFrame([(i, float(v)) for i, v in enumerate(m @ x)], "row bigint, y double")
+    got = {r["row"]: r["x"] for r in lu.solve(cells_of(spark, m), y, 7, 3, Scratch(spark, "solve")).collect()}
+    assert sorted(got) == list(range(7)) and np.allclose([got[k] for k in range(7)], x)
+    row = lu.log_det(cells_of(spark, m), 7, 3, Scratch(spark, "det")).first()
+    sign, log = np.linalg.slogdet(m)
+    assert row["sign"] == sign and row["log_det"] == pytest.approx(log)

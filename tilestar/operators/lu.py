@@ -85,6 +85,54 @@ def _sum_tiles(tiles: DataFrame, q: int) -> DataFrame:
     return parts.select("bi", "bj", F.aggregate(F.slice("tiles", 2, 1), F.col("tiles")[0], lambda a, b: F.zip_with(a, b, lambda x, y: x + y)).alias("tile"))
 
 
+def _substitute(tri: DataFrame, y: DataFrame, n: int, q: int, scratch: Scratch, upper: bool) -> DataFrame:
+    """(row, y) of the solution of a triangular system of n x n tiles: a tile column a step. One tile and q numbers are on the driver at a time."""
+    name, place = ("up" if upper else "low"), F.floor(F.col("row") / q)
+    spark, y = tri.sparkSession, scratch.save(y.groupBy("row").agg(F.sum(F.col("y").cast("double")).alias("y")), f"{name}-y")
+    for step, k in enumerate(reversed(range(n)) if upper else range(n)):
+        pivot = tri.filter((F.col("bi") == k) & (F.col("bj") == k)).first()
+        known = np.zeros(q)
+        for row in y.filter(place == k).collect():  # q rows at most
+            known[row["row"] - k * q] = row["y"]
+        x = np.linalg.solve(np.array(pivot["tile"]).reshape(q, q), known)
+        scratch.save(spark.createDataFrame([(k * q + i, float(v)) for i, v in enumerate(x)], "row bigint, y double"), f"{name}-x/k={k}")
+
+        def minus(batches: Iterator[pa.RecordBatch], x: np.ndarray = x) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if b.num_rows:
+                    part = -(np.asarray(b.column(1).flatten()).reshape(-1, q, q) @ x)
+                    rows = b.column(0).to_numpy()[:, None].astype(np.int64) * q + np.arange(q)
+                    yield pa.RecordBatch.from_arrays([pa.array(rows.ravel()), pa.array(part.ravel())], names=["row", "y"])
+
+        others = tri.filter((F.col("bj") == k) & (F.col("bi") != k)).select("bi", "tile").mapInArrow(minus, "row bigint, y double")
+        y = scratch.save(y.filter(place != k).unionByName(others).groupBy("row").agg(F.sum("y").alias("y")), f"{name}-y{step}")
+    return spark.read.parquet(f"{scratch.base}/{name}-x").select("row", "y")
+
+
+def _factors_of(m: DataFrame, n: int, q: int, scratch: Scratch) -> tuple[DataFrame, DataFrame, int]:
+    """Factors of an n x n matrix (row, col, val), and their side in tiles. Rows beyond the edge and rows without a cell get a pivot of one."""
+    from tilestar.operators.tiles import to_tiles
+
+    blocks = -(-n // q)
+    pad = m.sparkSession.range(blocks * q).join(m.select("row").distinct(), F.col("id") == F.col("row"), "left_anti").select(F.col("id").alias("row"), F.col("id").alias("col"), F.lit(1.0).alias("val"))
+    low, upper = factor(to_tiles(m.select("row", "col", F.col("val").cast("double").alias("val")).unionByName(pad), q), blocks, q, scratch)
+    return scratch.save(low, "low"), scratch.save(upper, "upper"), blocks
+
+
+def solve(m: DataFrame, y: DataFrame, n: int, q: int, scratch: Scratch) -> DataFrame:
+    """(row, x) with m x = y, for m (row, col, val) that can be factored and y (row, y); rows without a y have zero."""
+    low, upper, blocks = _factors_of(m, n, q, scratch)
+    half = _substitute(low, y, blocks, q, scratch, upper=False)
+    return _substitute(upper, half, blocks, q, scratch, upper=True).filter(F.col("row") < n).withColumnRenamed("y", "x")
+
+
+def log_det(m: DataFrame, n: int, q: int, scratch: Scratch) -> DataFrame:
+    """(log_det, sign): logarithm of the determinant's absolute value, and its sign."""
+    _, upper, _ = _factors_of(m, n, q, scratch)
+    each = upper.filter("bi = bj").select(F.posexplode("tile").alias("at", "u")).filter(F.col("at") % (q + 1) == 0)
+    return each.agg(F.sum(F.log(F.abs("u"))).alias("log_det"), F.when(F.sum(F.when(F.col("u") < 0, 1).otherwise(0)) % 2 == 1, -1).otherwise(1).alias("sign"))
+
+
 def costs(df: DataFrame) -> DataFrame:
     """df (r, g) with r a multiple of g: per step k the tile messages and updates of pivot, panels and core; then totals are sums."""
     n = F.floor(F.col("r") / F.col("g")).cast("bigint")

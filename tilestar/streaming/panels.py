@@ -125,3 +125,9 @@ def demand(events: DataFrame, capacity: int = 40) -> DataFrame:
     """Arrivals per hour against a capacity: workers that the backlog would enrol, one per started `capacity`. (hour, n, workers)."""
     hourly = events.groupBy(F.date_trunc("hour", "ts").alias("hour")).agg(F.count("*").alias("n"))
     return hourly.withColumn("workers", F.ceil(F.col("n") / capacity).cast("bigint"))
+
+
+def with_platform(events: DataFrame, platform: DataFrame, workers: int) -> DataFrame:
+    """Each event with the worker of its user (user_id mod workers), from a static platform of at most that many rows, so it is broadcast."""
+    own = platform.filter(F.col("worker_id").between(1, workers)).select("worker_id", "c", "w")
+    return events.withColumn("worker_id", (F.col("user_id") % workers + 1).cast("int")).join(F.broadcast(own), "worker_id", "left")

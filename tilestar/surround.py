@@ -6,10 +6,11 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from tilestar.functions import bounds, layout, udfs
-from tilestar.operators import sparse, tiles
+from tilestar.operators import lu, sparse, tiles
 from tilestar.plans import expr, schedulers, select
 from tilestar.runtime import Scratch, table
 from tilestar.sources import matrices, platforms, tilefile
+from tilestar.streaming import panels
 from tilestar.workloads import ORACLES, product_sql, query
 
 _T2 = "SELECT 0 AS platform_id, worker_id, c::BIGINT AS c, w::BIGINT AS w, g::BIGINT AS g FROM (VALUES (1, 2, 2, 6), (2, 3, 3, 18), (3, 5, 1, 10)) t(worker_id, c, w, g)"
@@ -248,6 +249,54 @@ def _(spark, sf):
     return out
 
 
+@query(
+    "theta_join",
+    """WITH s AS (SELECT n_regionkey AS region, n_nationkey AS nation, sum(round(s_acctbal * 100))::BIGINT AS cents FROM supplier JOIN nation ON s_nationkey = n_nationkey GROUP BY 1, 2)
+SELECT a.region, a.nation, count(*)::BIGINT AS richer FROM s a JOIN s b ON b.cents > a.cents AND b.region <> a.region GROUP BY 1, 2""",
+)
+def _(spark, sf):
+    """Nations of other regions with more balance: an inequality join of a table with one row per nation, so a nested loop over a bounded side."""
+    nation = table(spark, sf, "nation").select("n_nationkey", F.col("n_regionkey").alias("region"))
+    own = table(spark, sf, "supplier").join(F.broadcast(nation), F.col("s_nationkey") == F.col("n_nationkey"))
+    own = own.groupBy("region", F.col("n_nationkey").alias("nation")).agg(F.sum(F.round(F.col("s_acctbal") * 100).cast("bigint")).alias("cents"))
+    other = own.select(F.col("region").alias("r2"), F.col("cents").alias("c2"))
+    return own.join(F.broadcast(other), (F.col("c2") > F.col("cents")) & (F.col("r2") != F.col("region"))).groupBy("region", "nation").agg(F.count("*").alias("richer"))
+
+
+@query("percentiles", "SELECT l_returnflag AS flag, quantile_disc(l_quantity, 0.25)::DOUBLE AS q1, median(l_quantity)::DOUBLE AS mid, max(l_partkey)::BIGINT AS top, min_by(l_partkey, l_partkey * 8 + l_linenumber)::BIGINT AS first FROM lineitem GROUP BY 1")
+def _(spark, sf):
+    lines = table(spark, sf, "lineitem")
+    low = F.min_by("l_partkey", F.col("l_partkey") * 8 + F.col("l_linenumber"))
+    return lines.groupBy(F.col("l_returnflag").alias("flag")).agg(
+        F.expr("percentile_disc(0.25) WITHIN GROUP (ORDER BY l_quantity)").alias("q1"), F.median("l_quantity").alias("mid"), F.max("l_partkey").alias("top"), low.alias("first")
+    )
+
+
+@query("map_scalars", "SELECT n_regionkey AS region, string_agg(upper(substr(n_name, 1, 3)) || ':' || n_nationkey, ',' ORDER BY n_nationkey) AS codes, max(n_nationkey)::BIGINT AS top FROM nation GROUP BY 1")
+def _(spark, sf):
+    """A map per region from nation to its short name, and back to text."""
+    pairs = F.sort_array(F.collect_list(F.struct("n_nationkey", F.upper(F.substring("n_name", 1, 3)).alias("code"))))  # nations of a region
+    one = table(spark, sf, "nation").groupBy(F.col("n_regionkey").alias("region")).agg(F.map_from_entries(pairs).alias("m"))
+    text = F.array_join(F.transform(F.map_entries("m"), lambda x: F.concat_ws(":", x["value"], x["key"].cast("string"))), ",")
+    return one.select("region", text.alias("codes"), F.array_max(F.map_keys("m")).cast("bigint").alias("top"))
+
+
+@query("stream_platform", "SELECT (user_id % 3 + 1)::INTEGER AS worker_id, event_type, count(*)::BIGINT AS n, (count(*) * CASE user_id % 3 WHEN 0 THEN 2 WHEN 1 THEN 3 ELSE 1 END)::BIGINT AS work FROM events GROUP BY user_id % 3, event_type")
+def _(spark, sf):
+    """A stream of events joined with a static platform, and the work that it brings each worker."""
+    rows = panels.finish(panels.with_platform(panels.stream(spark, sf), platforms.literal(spark, platforms.THREE), 3).select("worker_id", "event_type", "w"))
+    return rows.groupBy("worker_id", "event_type").agg(F.count("*").alias("n"), F.sum("w").alias("work"))
+
+
+@query("lu_solve", f"SELECT i::BIGINT AS row, (i % 5 + 1)::BIGINT AS x FROM ({matrices.TRADE_SQL}) GROUP BY i")
+def _(spark, sf):
+    """M x = y for a known x: the factors give x back."""
+    m = matrices.trade(spark, sf).toDF("row", "col", "val").select(F.col("row").cast("bigint").alias("row"), F.col("col").cast("bigint").alias("col"), "val")
+    y = tiles.matvec(m, m.select(F.col("row").alias("k")).distinct().withColumn("x", F.col("k") % 5 + 1))
+    solved = lu.solve(m, y, 25, 5, Scratch(spark, "solve"))
+    return solved.join(m.select("row").distinct(), "row", "left_semi").select("row", F.round("x").cast("bigint").alias("x"))
+
+
 # ---- planners against SQL and against each other ---------------------------------------------------------------------------------------
 
 for _rule in ("global2", "global2_receding", "local2", "local2_receding"):
