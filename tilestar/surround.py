@@ -11,7 +11,7 @@ from tilestar.plans import expr, schedulers, select
 from tilestar.runtime import Scratch, table
 from tilestar.sources import matrices, platforms, tilefile
 from tilestar.streaming import panels
-from tilestar.workloads import ORACLES, product_sql, query
+from tilestar.workloads import ORACLES, SHAPES, product_sql, query
 
 _T2 = "SELECT 0 AS platform_id, worker_id, c::BIGINT AS c, w::BIGINT AS w, g::BIGINT AS g FROM (VALUES (1, 2, 2, 6), (2, 3, 3, 18), (3, 5, 1, 10)) t(worker_id, c, w, g)"
 
@@ -321,6 +321,15 @@ y AS (SELECT *, CASE WHEN gi >= h THEN h / 3 WHEN 2 * gi <= h THEN gi / 3 ELSE g
 z AS (SELECT platform_id, h, min(panel) + any_value((2.0 * 216000 - 3 * h * 3600 + h * h * 60) / 6) / least(sum(1 / greatest(w, c / quality)), max(quality / c)) AS time FROM y GROUP BY 1, 2)
 SELECT platform_id, min_by(h, round(time, 6) * 1000 + h * 1e-9)::BIGINT AS g, round(min(time), 3)::DOUBLE AS time FROM z GROUP BY 1"""
 
+_COUNTS = " UNION ALL ".join(
+    f"SELECT '{n}' AS shape, {r}::BIGINT AS r, {t}::BIGINT AS t, {s}::BIGINT AS s, (SELECT count(*) FROM ({matrices.a_sql(r, t)})) AS a, (SELECT count(*) FROM ({matrices.b_sql(t, s)})) AS b" for n, (r, t, s) in SHAPES.items()
+)
+ORACLES["kernel_choice"] = f"""WITH x AS ({_COUNTS}),
+y AS (SELECT shape, unnest([100, 59, 45]) AS g, unnest(['resident', 'third', 'fifth']) AS kernel, r, t, s, a, b FROM x),
+z AS (SELECT shape, kernel, 2 * r * s + a * ((s + g - 1) // g) + b * ((r + g - 1) // g) AS moved FROM y
+  UNION ALL SELECT shape, 'inner_join', a + b + least(a * b // t, r * s * t) FROM x UNION ALL SELECT shape, 'inner_split', a + b + 8 * r * s FROM x)
+SELECT shape, arg_min(kernel, (moved, kernel)) AS kernel FROM z GROUP BY shape"""
+
 
 @query(
     "waits_t2",
