@@ -302,6 +302,9 @@ def _(spark, sf):
 for _rule in ("global2", "global2_receding", "local2", "local2_receding"):
     ORACLES[f"lookahead_{_rule}_t2"] = select.pair_sql(_T2, 60, _rule.startswith("local"), _rule.endswith("receding"))
 
+_LONG = {"global": select.selection_sql(_T2, 2000), "local": select.selection_sql(_T2, 2000, True), "global2": select.pair_sql(_T2, 2000), "global2_receding": select.pair_sql(_T2, 2000, recede=True)}
+ORACLES["asymptotic_t2"] = " UNION ALL ".join(f"SELECT '{rule}' AS rule, round(arg_max(work / finish::DOUBLE, step), 3)::DOUBLE AS ratio FROM ({sql})" for rule, sql in _LONG.items())
+
 _REGIONS = f"SELECT platform_id, worker_id, c, w, g FROM ({platforms.REGIONS_SQL})"
 ORACLES["preallocate_regions"] = select.preallocate_sql(_REGIONS, 400, 20, 4, 60)
 ORACLES["alternating_grid"] = """WITH x AS (SELECT c::BIGINT AS c, w::BIGINT AS w, r::BIGINT AS r, s::BIGINT AS s FROM (SELECT unnest([1, 3, 4]) AS c), (SELECT unnest([1, 2, 7]) AS w), (SELECT unnest([1, 2, 4]) AS r), (SELECT unnest([1, 3, 4]) AS s)),
