@@ -26,6 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tilestar.llm.components import components
+from tilestar.llm.nearcopies import first_of, numbered
 from tilestar.runtime import Scratch
 
 #: Fixed values of the contract: shingle width in words, hash seed, most differing bits.
@@ -214,12 +215,13 @@ def classes(df: DataFrame, id_col: str = "doc_id", text: str = "text", width: in
 
 
 def keep_one(df: DataFrame, id_col: str = "doc_id", text: str = "text", **options: int) -> DataFrame:
-    """The rows of df whose id names their component; rows with a null id stay."""
-    kept = classes(df, id_col, text, **options).filter("id = component_id").select(F.col("id").alias("__simhash_id")).distinct()
+    """One row of df for each component: that of the smallest id (null ids last), then text hash, then row number."""
     scratch = Scratch(df.sparkSession, "simhash")
-    kept = scratch.small(scratch.save(kept, "kept"), "kept")
-    joined = df.join(kept, F.col(id_col).cast("bigint") == F.col("__simhash_id"), "left")
-    return joined.filter(F.col("__simhash_id").isNotNull() | F.col(id_col).isNull()).drop("__simhash_id")
+    rows = numbered(df, scratch)
+    group = classes(rows, "__row", text, **options).select("id", F.col("component_id").alias("group"))
+    best = rows.select(first_of(id_col, text).alias("first")).join(group, F.col("first.row") == F.col("id")).groupBy("group").agg(F.min("first").alias("first"))
+    kept = scratch.save(best.select(F.col("first.row").alias("__row")), "kept")
+    return rows.join(scratch.small(kept, "kept"), "__row", "left_semi").drop("__row")
 
 
 def op6_simhash(df: DataFrame) -> DataFrame:
