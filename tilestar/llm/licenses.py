@@ -1,8 +1,11 @@
 """Licence scan: normalised text against licence templates, by the Dice coefficient over word bigrams.
 
-A text is normalised to its lower-cased runs of ASCII letters and digits. Its units are its lines and, if it has several, the whole text. A unit and a template
+A text is normalised to its lower-cased runs of ASCII letters and digits. Its units are its lines, if it has several the whole text, and every run of words (a passage), so a notice
+that is wrapped over lines or stands inside a longer one is found. A passage counts as a matching unit where it touches neither a matching line or text nor a better passage. A unit and a template
 are compared by 2 |A and B| / (|A| + |B|) over their sets of word bigrams; a match is a coefficient of at least `least`. Such a match needs
-least / (2 - least) <= |A| / |B| <= (2 - least) / least, so templates of other sizes are never compared.
+least / (2 - least) <= |A| / |B| <= (2 - least) / least, so templates of other sizes are never compared. A match also needs least / (2 - least) of
+the template's bigrams, so passages are sought only for templates of which a text holds so many. The best passage starts and ends with bigrams of the template, and holds at most
+(2 - least) / least as many distinct ones as it; for each start, the bigrams that follow are kept in order of their next occurrence, so every such passage is tried.
 
 Defined results: null and empty texts, and texts of one word, match nothing (licence null, dice 0); of several matches the highest coefficient wins, then the template's name,
 ties counted once; repeated rows are scanned alike; extra columns are ignored; an empty table gives an empty result. One pass, no shuffle; templates
@@ -14,6 +17,7 @@ from __future__ import annotations
 import re
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -93,15 +97,55 @@ class Scanner:
                 best = (dice, name)
         return best
 
+    def passages(self, pairs: list[tuple[str, str]]) -> list[tuple[float, str, int, int]]:
+        """Best match of each start among the runs of a text's bigrams: (coefficient, name, first bigram, last bigram)."""
+        own, found = set(pairs), []
+        for name, theirs in self.templates:
+            m = len(theirs)
+            if not m or len(own & theirs) * (2 - self.least) < self.least * m - 1e-9:
+                continue
+            most = int((2 - self.least) * m / self.least + 1e-9)
+            count = np.arange(1, most + 1)
+            following, at = [], {}  # distinct bigrams by next occurrence, latest first; and those occurrences
+            for k in range(len(pairs) - 1, -1, -1):
+                p = pairs[k]
+                if p in at:
+                    following.remove(p)
+                elif len(following) == most:
+                    del at[following.pop(0)]
+                following.append(p)
+                at[p] = k
+                if p in theirs:
+                    both = np.cumsum([x in theirs for x in reversed(following)])
+                    dice = 2.0 * both / (count[: len(both)] + m)
+                    best = int(dice.argmax())
+                    if dice[best] >= self.least:
+                        found.append((float(dice[best]), name, k, at[following[-1 - best]]))
+        return found
+
     def scan(self, text: str | None) -> tuple[str | None, float, int]:
         """(licence, coefficient, matching units) of a text."""
         lower = (text or "").lower()
+        found, taken, words = [], [], []
         lines = lower.split("\n")
-        found = [m for line in lines if (m := self.unit(bigrams(line)))]
-        if len(lines) > 1 and (m := self.unit(bigrams(lower))):
+        for line in lines:
+            own = _WORD.findall(line)
+            if m := self.unit(set(zip(own, own[1:], strict=False))):
+                found.append(m)
+                taken.append((len(words), len(words) + len(own) - 1))
+            words += own
+        pairs = list(zip(words, words[1:], strict=False))
+        if len(lines) > 1 and (m := self.unit(set(pairs))):
             found.append(m)
-        best = min(found, key=lambda m: (-m[0], m[1])) if found else (0.0, None)
-        return best[1], best[0], len(found)
+            taken.append((0, len(words) - 1))
+        n, best = len(found), found
+        for dice, name, first, last in sorted(self.passages(pairs), key=lambda x: (-x[0], *x[1:])):
+            best = [*best, (dice, name)] if best is found else best  # the first is the best passage
+            if all(last + 1 < a or first > b for a, b in taken):
+                taken.append((first, last + 1))
+                n += 1
+        top = min(best, key=lambda m: (-m[0], m[1])) if best else (0.0, None)
+        return top[1], top[0], n
 
 
 def scan(df: DataFrame, id_col: str = "doc_id", text: str = "text", templates: tuple[tuple[str, str], ...] = TEMPLATES, least: float = LEAST) -> DataFrame:
