@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -66,6 +67,8 @@ TEMPLATES: tuple[tuple[str, str], ...] = (
     ("CC-BY-NC-4.0", "This work is licensed under a Creative Commons Attribution-NonCommercial 4.0 International License."),
     ("CC-BY-SA-4.0", "Licensed under CC BY-SA 4.0."),
     ("Unlicense", "This is free and unencumbered software released into the public domain."),
+    ("All-rights-reserved", "All rights reserved."),
+    *((path.stem, path.read_text()) for path in sorted((Path(__file__).parent / "licence_texts").glob("*.txt"))),
 )
 
 
@@ -139,7 +142,7 @@ class Scanner:
             found.append(m)
             taken.append((0, len(words) - 1))
         n, best = len(found), found
-        for dice, name, first, last in sorted(self.passages(pairs), key=lambda x: (-x[0], *x[1:])):
+        for dice, name, first, last in sorted(self.passages(pairs), key=lambda x: (-x[0], x[2] - x[3], *x[1:])):
             best = [*best, (dice, name)] if best is found else best  # the first is the best passage
             if all(last + 1 < a or first > b for a, b in taken):
                 taken.append((first, last + 1))
