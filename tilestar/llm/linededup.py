@@ -1,8 +1,8 @@
 """Line dedup across a corpus, by a deletion-neighbourhood join.
 
 A line's key is the line without white space at its ends. A line goes if an earlier line, in order of
-(doc_id, line number), has the same key, or, where both keys have at least `min_chars` code points, a key within
-one edit (insertion, deletion or substitution). Blank lines always stay. The first of its kind stays.
+(doc_id, line number), has the same key, or a key within one edit (insertion, deletion or substitution). Blank lines always
+stay. The first of its kind stays. Edits count at every length; `min_chars` asks for so many code points in both keys, by default none.
 
 How: keys are reduced to their first occurrence. Two keys within one edit agree outside one of four segments, so each key
 emits a hash of the rest for each segment; keys whose rest nobody shares cannot have a neighbour. The others emit
@@ -11,8 +11,8 @@ Equal variants with an equal place are substitutions; a variant that equals a wh
 needs its earliest member only, so groups are aggregated and no pairs are listed. Edit distance is verified against
 that earliest member.
 
-Defined results: null text stays null with no lines; repeated rows of one doc_id count as one document and are treated alike
-(rows with one doc_id and different texts share the decisions of both); a null doc_id sorts first; columns
+Defined results: null text stays null with no lines; repeated rows (equal id and text) count as one document and are treated alike; rows with one doc_id and
+different texts are documents of their own, in order of a hash of the text; a null doc_id sorts first; columns
 of the input are kept, and the new ones take the given names; an empty table gives an empty table.
 
 Shuffles: line keys as 128-bit hashes, never texts, except those of lines that have a candidate. Aggregations combine before the
@@ -28,7 +28,8 @@ from pyspark.sql import functions as F
 from tilestar.llm.words import trimmed
 from tilestar.runtime import Scratch, let
 
-MIN_CHARS = 24
+#: Least length of keys that may differ by an edit; 0: any.
+MIN_CHARS = 0
 #: Deletions are looked for in one of so many segments.
 SEGMENTS = 4
 
@@ -50,19 +51,25 @@ def _rests(key: Column, n: Column) -> Column:
             return F.struct(text.alias("rest"), before.cast("int").alias("low"), (n - after).cast("int").alias("high"))
 
         zero = F.lit(0)
-        return F.array(rest(0, zero, 3 * q), rest(1, q, 2 * q), rest(2, 2 * q, q), rest(3, 3 * q, zero))
+        whole = F.array(rest(0, zero, zero))  # too short for segments
+        return F.when(q == 0, whole).otherwise(F.array(rest(0, zero, 3 * q), rest(1, q, 2 * q), rest(2, 2 * q, q), rest(3, 3 * q, zero)))
 
     q, q0 = _quarter(n), _quarter(n - 1)
     return F.when(q == q0, at(q)).otherwise(F.concat(at(q), at(q0)))
 
 
+def _identity(doc: str, text: str) -> Column:
+    """What documents are told apart and ordered by."""
+    return F.struct(F.col(doc).alias("id"), F.xxhash64(F.col(text)).alias("hash"))
+
+
 def _lines(df: DataFrame, doc: str, text: str) -> DataFrame:
     line = F.posexplode(F.split(F.col(text), "\n")).alias("line_no", "line")
-    return df.select(F.col(doc).alias("doc"), line).select("doc", "line_no", trimmed(F.col("line")).alias("key")).filter("key <> ''")
+    return df.select(_identity(doc, text).alias("doc"), line).select("doc", "line_no", trimmed(F.col("line")).alias("key")).filter("key <> ''")
 
 
 def kept_lines(df: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS) -> DataFrame:
-    """One row per document with kept lines: doc, kept (sorted array of line numbers)."""
+    """One row per document with kept lines: doc (its id and the hash of its text), kept (sorted array of line numbers)."""
     n = F.length("key")
     lines = _lines(df, doc, text)
     rests = F.when(n >= min_chars, F.transform(let(n, lambda k: _rests(F.col("key"), k)), lambda r: r["rest"]))
@@ -81,7 +88,7 @@ def kept_lines(df: DataFrame, scratch: Scratch, doc: str = "doc_id", text: str =
 
 def _near(df: DataFrame, active: DataFrame, doc: str, text: str, scratch: Scratch) -> DataFrame:
     """Places (`at`) of first occurrences that have an earlier neighbour within one edit."""
-    wanted = df.select(F.col(doc).alias("doc"), F.col(text).alias("text")).join(active, F.col("doc").eqNullSafe(F.col("active_doc"))).select("doc", "text", "wanted")
+    wanted = df.select(_identity(doc, text).alias("doc"), F.col(text).alias("text")).join(active, F.col("doc").eqNullSafe(F.col("active_doc"))).select("doc", "text", "wanted")
     rows = wanted.select("doc", F.split("text", "\n").alias("lines"), F.explode("wanted").alias("line_no", "shared"))
     rows = rows.select(F.struct("doc", "line_no").alias("at"), trimmed(F.get("lines", F.col("line_no"))).alias("key"), "shared").filter("key is not null")
     texts = scratch.save(rows.groupBy("at").agg(F.min("key").alias("key"), F.first("shared").alias("shared")), "texts")
@@ -111,7 +118,7 @@ def dedup_lines(df: DataFrame, doc: str = "doc_id", text: str = "text", min_char
     spark = df.sparkSession
     scratch = Scratch(spark, "linededup")
     kept = scratch.small(kept_lines(df, scratch, doc, text, min_chars), "kept").select(F.col("doc").alias("__line_doc"), F.col("kept").alias("__line_kept"))
-    joined = df.join(kept, F.col(doc).eqNullSafe(F.col("__line_doc")), "left")
+    joined = df.join(kept, _identity(doc, text).eqNullSafe(F.col("__line_doc")), "left")
     joined = joined.withColumn("__line_lines", F.split(F.col(text), "\n"))
     blank = F.filter(F.transform(F.col("__line_lines"), lambda x, i: F.when(trimmed(x) == "", i)), lambda i: i.isNotNull())
     joined = joined.withColumn("__line_numbers", F.sort_array(F.array_union(F.coalesce("__line_kept", F.array().cast("array<int>")), blank)))
@@ -128,6 +135,7 @@ def op4_line_dedup(df: DataFrame) -> DataFrame:
     return out.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("__kept_text", F.lit("")), 256).alias("kept_sha256"))
 
 
+#: Edits are of code points; DuckDB's own levenshtein counts bytes, so the place of the edit is looked for.
 SQL = f"""
 WITH l AS (SELECT doc_id, i - 1 AS line_no, ls[i] AS line, trim(ls[i], ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)) AS key
            FROM (SELECT doc_id, ls, unnest(range(1, len(ls) + 1)) AS i FROM (SELECT doc_id, string_split(text, chr(10)) AS ls FROM documents))),
@@ -135,7 +143,8 @@ f AS (SELECT key, min({{'d': doc_id, 'n': line_no}}) AS spot, length(key) AS n F
 h AS (SELECT key, spot, n, b, s FROM f, (VALUES (0), (1)) t(b), (VALUES ('p'), ('s')) u(s) WHERE n >= {MIN_CHARS}),
 k AS (SELECT key, spot, n, n - b AS base, s, CASE s WHEN 'p' THEN substr(key, 1, (n - b) // 2) ELSE right(key, (n - b) - (n - b) // 2) END AS half FROM h),
 near AS (SELECT DISTINCT x.spot FROM k x JOIN k y ON x.base = y.base AND x.s = y.s AND x.half = y.half
-         WHERE y.spot < x.spot AND least(x.n, y.n) = x.base AND levenshtein(x.key, y.key) <= 1),
+         WHERE y.spot < x.spot AND least(x.n, y.n) = x.base AND len(list_filter(range(1, greatest(x.n, y.n) + 1), lambda i:
+           substr(x.key, 1, i - 1) = substr(y.key, 1, i - 1) AND substr(x.key, CASE WHEN x.n < y.n THEN i ELSE i + 1 END) = substr(y.key, CASE WHEN y.n < x.n THEN i ELSE i + 1 END))) > 0),
 kept AS (SELECT spot FROM f WHERE spot NOT IN (SELECT spot FROM near)),
 r AS (SELECT l.*, key = '' OR {{'d': doc_id, 'n': line_no}} IN (SELECT spot FROM kept) AS stays FROM l)
 SELECT d.doc_id, coalesce(count(r.line), 0)::BIGINT AS n_lines, coalesce(sum(CASE WHEN NOT stays THEN 1 ELSE 0 END), 0)::BIGINT AS n_removed,
