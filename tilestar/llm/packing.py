@@ -2,10 +2,10 @@
 
 Documents are tokenised and closed with an end token; those over the capacity are cut into full pieces, the remainder first. What matters
 of the pieces is the histogram of their lengths, at most `capacity` numbers, whatever the size of the corpus. Over it the configuration program (fill
-each length's demand with as few sequences, each a multiset of lengths within the capacity) is solved by multiplicative weights: lengths have prices,
-a knapsack dynamic program finds the dearest configuration, it is used for a part of what remains of its scarcest length, and the prices of lengths fall
-exponentially with the share of them that is placed. Shares are rounded down to whole sequences as they are taken. A fifth of each length, and what is left when
-no configuration is as full as the first, is rounded by best fit, on the histogram too.
+each length's demand with as few sequences, each a multiset of lengths within the capacity) is relaxed and solved by multiplicative weights: lengths have prices, a
+knapsack dynamic program finds the dearest configuration, it is used, and the prices of its lengths fall exponentially with how often they are covered. The prices also
+prove a lower bound on the number of sequences. Amounts are rounded down, what is left is relaxed again, and the last pieces are placed by fullest sequences, best fit or search,
+whichever needs least. Where fullest sequences alone come within NEAR of the proven bound, the program is not needed. `solve` returns the bound with the plan.
 
 Pieces then get their places by rank within their length; ranks come from counts per length and bucket, so no length is gathered in one task.
 
@@ -22,6 +22,8 @@ import base64
 import zlib
 from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -33,9 +35,12 @@ from tilestar.runtime import Scratch, kept_in_workers
 
 #: Fixed values of the contract.
 CAPACITY, END = 1024, 2
-#: Share of a configuration's scarcest length that one step places; decay of a price with the share placed; weight of that beside the room used;
-#: share of each length that is left to the rounding; knapsack calls at most.
-SHARE, ETA, TILT, REST, CALLS = 0.5, 4.0, 1e-2, 0.2, 400
+#: Rounding by fullest sequences: decay of a price with the share placed; weight of that beside the room used; share of each length left to best fit; knapsack calls.
+ETA, TILT, REST, CALLS = 4.0, 1e-2, 0.2, 400
+#: Relaxed program: knapsack calls times lengths; gap of its amounts to the proven bound that ends it; gap of a whole packing to the bound that needs no better one.
+WORK, TOLERANCE, NEAR = 150_000, 1e-4, 5e-4
+#: Search for the last pieces: so many pieces at most, nodes, ways to complete a sequence.
+FEW, NODES, WAYS = 400, 3000, 200
 PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint"
 
 
@@ -108,6 +113,24 @@ def dearest(price: np.ndarray, lengths: np.ndarray, most: np.ndarray, capacity:
     return out
 
 
+def dearest_free(price: np.ndarray, lengths: np.ndarray, capacity: int) -> Counter:
+    """As `dearest`, each length as often as it fits; one step a unit of capacity, which is less work where lengths are many. lengths: ascending."""
+    best, took = np.zeros(capacity + 1), np.full(capacity + 1, -1)
+    fits = np.searchsorted(lengths, np.arange(capacity + 1), side="right").tolist()
+    for room in range(int(lengths[0]), capacity + 1):
+        offer = best[room - lengths[: fits[room]]] + price[: fits[room]]
+        k = int(offer.argmax())
+        best[room], took[room] = (offer[k], k) if offer[k] > best[room - 1] else (best[room - 1], -1)
+    out, room = Counter(), capacity
+    while room > 0:
+        if took[room] < 0:
+            room -= 1
+        else:
+            out[int(lengths[took[room]])] += 1
+            room -= int(lengths[took[room]])
+    return out
+
+
 def _best_fit(left: np.ndarray, capacity: int) -> list[tuple[Counter, int]]:
     """Best-fit decreasing on a histogram; sequences of equal contents are one group."""
     rooms: dict[int, list[tuple[Counter, int]]] = {}
@@ -131,33 +154,171 @@ def _best_fit(left: np.ndarray, capacity: int) -> list[tuple[Counter, int]]:
     return [g for groups in rooms.values() for g in groups]
 
 
-def plan(histogram: np.ndarray, capacity: int = CAPACITY) -> list[tuple[Counter, int]]:
-    """histogram[n]: pieces of length n. (configuration, number of sequences) that hold each piece exactly once."""
-    left = histogram.astype(np.int64).copy()
-    out: list[tuple[Counter, int]] = []
-    if left[capacity]:
-        out.append((Counter({capacity: 1}), int(left[capacity])))
-        left[capacity] = 0
+def _key(config: Counter) -> tuple[tuple[int, int], ...]:
+    return tuple(sorted(config.items()))
+
+
+def _used(configs: list[tuple[Counter, int]]) -> int:
+    return sum(many for _, many in configs)
+
+
+@dataclass
+class Relaxed:
+    """The configuration program without whole numbers: configurations with their amounts, and the greatest lower bound that its prices proved."""
+
+    amounts: dict[tuple[tuple[int, int], ...], float]
+    bound: float
+
+
+def relax(demand: np.ndarray, capacity: int = CAPACITY, work: int = WORK) -> Relaxed:
+    """Multiplicative weights over all lengths of demand[n].
+
+    A length's price starts at its share of the capacity. The dearest configuration is used until its scarcest length is covered by a step more; a price falls
+    exponentially with how often its length is covered. Steps are halved turn by turn, and the amounts are those of the last turn that covered every length. Any
+    prices prove a lower bound: the price of all pieces over that of the dearest configuration.
+    """
+    lengths = np.flatnonzero(demand)
+    want, prior = demand[lengths].astype(float), lengths / capacity
+    most, many = np.full(len(lengths), capacity), np.log2(capacity / lengths + 1).sum() > capacity / 2
+    covered, logs = np.zeros(len(lengths)), np.zeros(len(lengths))
+    best, amounts, kept, step, calls = 0.0, {}, {}, 0.5, max(200, work // max(len(lengths), 1))
+    index = {n: k for k, n in enumerate(lengths.tolist())}
+    for _ in range(calls):
+        price = prior * np.exp(np.clip(logs - logs.max(), -60, 0))
+        config = dearest_free(price, lengths, capacity) if many else dearest(price, lengths, most, capacity)
+        at = np.array([index[n] for n in config])
+        each = np.array(list(config.values()), float)
+        proved = float(price @ want) / float(price[at] @ each)
+        best = max(best, proved)
+        use = float((want[at] / each).min()) * step
+        amounts[_key(config)] = amounts.get(_key(config), 0.0) + use
+        gain = use * each / want[at]
+        covered[at] += gain
+        logs[at] -= gain
+        if covered.min() >= 1:
+            total = sum(amounts.values()) / covered.min()
+            kept = {c: x / covered.min() for c, x in amounts.items()}
+            if total <= best * (1 + TOLERANCE):
+                break
+            if covered.min() >= 3:  # a turn ends: prices stay, amounts begin anew with smaller steps
+                covered, amounts, step = np.zeros(len(lengths)), {}, max(step / 2, 1e-3)
+    if not kept:
+        kept = {c: x / max(float(covered.max()), 1.0) for c, x in amounts.items()}
+    return Relaxed(kept, best)
+
+
+def _completed(left: np.ndarray, capacity: int, bound: int, most: int) -> list[tuple[Counter, int]] | None:
+    """A packing of few pieces in fewer than `most` sequences, by search: the largest piece left is completed in all ways, fullest first. None if NODES did not find one."""
+    pieces = Counter({n: int(left[n]) for n in np.flatnonzero(left).tolist()})
+    best: list[Counter] | None = None
+    limit, nodes = most, 0
+
+    def ways(room: int, sizes: list[int], rest: Counter) -> Iterator[Counter]:
+        if not sizes or room < sizes[-1]:
+            yield Counter()
+            return
+        n = sizes[0]
+        for k in range(min(rest[n], room // n), -1, -1):
+            for more in ways(room - k * n, sizes[1:], rest):
+                yield more + Counter({n: k}) if k else more
+
+    def search(rest: Counter, done: list[Counter]) -> None:
+        nonlocal best, limit, nodes
+        nodes += 1
+        volume = sum(n * k for n, k in rest.items())
+        if not volume:
+            best, limit = list(done), len(done)
+            return
+        if nodes > NODES or len(done) + -(-volume // capacity) >= limit:
+            return
+        first = max(n for n, k in rest.items() if k)
+        own = rest - Counter({first: 1})
+        found = list(islice(ways(capacity - first, sorted((n for n, k in own.items() if k), reverse=True), own), WAYS))
+        for way in sorted(found, key=lambda w: -sum(n * k for n, k in w.items())):
+            search(own - way, [*done, way + Counter({first: 1})])
+            if limit <= bound or nodes > NODES:
+                return
+
+    search(pieces, [])
+    return [(c, 1) for c in best] if best is not None else None
+
+
+def _filled(left: np.ndarray, capacity: int, share: float, calls: int) -> list[tuple[Counter, int]]:
+    """Rounding by fullest sequences: the configuration that fills most, of equal ones that of the lengths with most left, for a share of its scarcest length; then best fit."""
+    left, out = left.copy(), []
     want = np.maximum(left, 1)
-    fullest = None
-    for _ in range(CALLS):
+    for _ in range(calls):
         lengths = np.flatnonzero(left > REST * want)
         if not len(lengths):
             break
-        # prices: first the room that is used, then large lengths of which much is still to be placed
         weight = lengths / capacity * np.exp(-ETA * (1 - left[lengths] / want[lengths]))
         config = dearest(lengths * (1 + TILT * weight), lengths, left[lengths], capacity)
-        fill = sum(n * k for n, k in config.items())
-        fullest = fullest or fill
-        if fill < fullest:
-            break
-        use = max(1, int(SHARE * min(int(left[n]) // k for n, k in config.items())))
+        use = max(1, int(share * min(int(left[n]) // k for n, k in config.items())))
         for n, k in config.items():
             left[n] -= k * use
         out.append((config, use))
     return out + _best_fit(left, capacity)
 
 
+def _rounded(left: np.ndarray, relaxed: Relaxed, capacity: int) -> tuple[list[tuple[Counter, int]], np.ndarray]:
+    """Amounts rounded down, the greatest first, as far as pieces are left; and what is left."""
+    left, out = left.copy(), []
+    for config, amount in sorted(relaxed.amounts.items(), key=lambda x: (-x[1], x[0])):
+        use = min(int(amount + 1e-9), *(int(left[n]) // k for n, k in config))
+        if use:
+            for n, k in config:
+                left[n] -= k * use
+            out.append((Counter(dict(config)), use))
+    return out, left
+
+
+def _tail(left: np.ndarray, capacity: int, calls: int) -> list[tuple[Counter, int]]:
+    """The best rounding of what no whole amount holds."""
+    if not left.any():
+        return []
+    tries = [_best_fit(left, capacity), *(_filled(left, capacity, share, calls) for share in (0.5, 1.0))]
+    best = min(tries, key=_used)
+    least = -(-int((np.arange(capacity + 1) * left).sum()) // capacity)
+    if int(left.sum()) <= FEW and _used(best) > least:
+        best = _completed(left, capacity, least, _used(best)) or best
+    return best
+
+
+def solve(histogram: np.ndarray, capacity: int = CAPACITY) -> tuple[list[tuple[Counter, int]], int]:
+    """(configuration, number of sequences) that hold each piece exactly once, and a proven lower bound of the number of sequences.
+
+    Fullest sequences come first: if they come within NEAR of the room that all pieces need, that is the answer. Otherwise the program is relaxed and rounded, what is left over is
+    relaxed again, and the least of all roundings counts.
+    """
+    left = histogram.astype(np.int64).copy()
+    alone = [(Counter({capacity: 1}), int(left[capacity]))] if left[capacity] else []
+    left[capacity] = 0
+    if not left.any():
+        return alone, _used(alone)
+    least = -(-int((np.arange(capacity + 1) * left).sum()) // capacity)
+    best = _tail(left, capacity, CALLS)
+    if _used(best) > least * (1 + NEAR):
+        relaxed = relax(left, capacity)
+        least = max(least, int(np.ceil(relaxed.bound - 1e-6)))
+        held: list[tuple[Counter, int]] = []
+        rest = left
+        while _used(best) > least * (1 + NEAR):
+            more, after = _rounded(rest, relaxed, capacity)
+            tried = held + more + _tail(after, capacity, CALLS // 4)
+            best = min(best, tried, key=_used)
+            if not more or not after.any():
+                break
+            held, rest = held + more, after
+            if _used(best) > least * (1 + NEAR):
+                relaxed = relax(rest, capacity, WORK // 4)
+    return alone + best, least + _used(alone)
+
+
+def plan(histogram: np.ndarray, capacity: int = CAPACITY) -> list[tuple[Counter, int]]:
+    """histogram[n]: pieces of length n. (configuration, number of sequences) that hold each piece exactly once."""
+    return solve(histogram, capacity)[0]
+
+
 def places(configs: list[tuple[Counter, int]]) -> dict[str, np.ndarray]:
     """For runs of ranks of a length: length, first rank, pieces per sequence, first sequence, offset of the first piece. Sorted."""
     rows, rank, sequence = [], Counter(), 0
