@@ -10,8 +10,9 @@ there. `Cut` is that choice. A cut's tables are bounded by the number of chunks
 from __future__ import annotations
 
 from dataclasses import dataclass
+from math import isqrt
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
 from tilestar.runtime import BROADCAST_BYTES
@@ -70,20 +71,67 @@ def _add(product: DataFrame, c: DataFrame | None) -> DataFrame:
     return product.unionByName(c.select("i", "j", "c")).groupBy("i", "j").agg(F.sum("c").alias("c"))
 
 
-def chunked(a: DataFrame, b: DataFrame, cut: Cut, c: DataFrame | None = None, prune: bool = False) -> DataFrame:
-    """Resident-result product: each chunk gathers its A and B rows, and sums in place."""
+def _tagged(left: DataFrame, right: DataFrame, old: DataFrame | None, n_rows: int) -> DataFrame:
+    """Messages as (part, ci, cj, k, kind, at, x): at is the row or column of the result; an old C of column j goes as an A of the inner index -1 - j.
+
+    left: (ci, cj, k, i, v), right: (ci, cj, k, j, u), old: (ci, cj, i, j, c); n_rows: chunks along a column of chunks. Chunks are dealt to tasks in turn.
+    """
+    tasks = int(left.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    part = F.pmod(F.col("cj") * n_rows + F.col("ci"), F.lit(tasks)).cast("int").alias("part")
+    whole = lambda name: F.col(name).cast("bigint")
+    row = lambda df, kind, k, at, x: df.select(part, "ci", "cj", k.alias("k"), F.lit(kind).alias("kind"), at.alias("at"), F.col(x).alias("x"))
+    sent = row(left, "A", whole("k"), whole("i"), "v").unionByName(row(right, "B", whole("k"), whole("j"), "u"))
+    return sent if old is None else sent.unionByName(row(old, "C", -1 - whole("j"), whole("i"), "c"))
+
+
+def _sent(a: DataFrame, b: DataFrame, cut: Cut, c: DataFrame | None) -> DataFrame:
+    """All messages of a cut."""
+    old = None if c is None else c.select(cut.row(F.col("i")).alias("ci"), cut.col(F.col("j")).alias("cj"), "i", "j", "c")
+    return _tagged(*replicate(a, b, cut), old, len(cut.rows))
+
+
+def _resident(sent: DataFrame, depth: int = 1) -> DataFrame:
+    """One exchange, by chunk; then each chunk meets its panels and sums in place, in the task that holds it.
+
+    A panel is what one inner index needs: at most a chunk's height of A and its width of B. With depth > 1 so many inner indices are gathered first, as squares of A and B.
+    """
+    tasks = int(sent.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    chunk = ["part", "ci", "cj"]
+    of = lambda on: F.collect_list(F.when(on, F.struct("at", "x")))
+    held = sent.repartitionById(tasks, F.col("part")).groupBy(*chunk, "k").agg(of(F.col("kind") != "B").alias("column"), of(F.col("kind") == "B").alias("row"))
+    own = F.array(F.struct((-1 - F.col("k")).alias("at"), F.lit(1).cast(sent.schema["x"].dataType).alias("x")))
+    held = held.withColumn("row", F.when(F.col("k") < 0, own).otherwise(F.col("row"))).filter((F.size("column") > 0) & (F.size("row") > 0))
+    if depth > 1:
+        held = held.groupBy(*chunk, F.floor(F.col("k") / depth).alias("square")).agg(F.collect_list(F.struct("column", "row")).alias("panels"))
+        held = held.select(*chunk, F.explode("panels").alias("p")).select(*chunk, "p.column", "p.row")
+    met = held.select(*chunk, F.explode("column").alias("a"), "row").select(*chunk, "a", F.explode("row").alias("b"))
+    done = met.groupBy(*chunk, F.col("a.at").alias("i"), F.col("b.at").alias("j")).agg(F.sum(F.col("a.x") * F.col("b.x")).alias("c"))
+    return done.select("i", "j", "c")
+
+
+def chunked(a: DataFrame, b: DataFrame, cut: Cut, c: DataFrame | None = None, prune: bool = False, depth: int = 1) -> DataFrame:
+    """Resident-result product: each chunk gathers its C, A and B rows by one exchange, and sums in place. More chunks than tasks keep all tasks busy."""
     if prune:
         a, b = _useful(a, b)
-    left, right = replicate(a, b, cut)
-    met = left.join(right, ["ci", "cj", "k"])
-    return _add(met.groupBy("i", "j").agg(F.sum(F.col("v") * F.col("u")).alias("c")), c)
+    return _resident(_sent(a, b, cut, c), depth)
+
+
+def split(a: DataFrame, b: DataFrame, r: int, s: int, m: int, parts: int, c: DataFrame | None = None) -> DataFrame:
+    """Memory of m tiles split in 3 or 5 equal squares: one holds C, the others A and B squares that are as deep as they are wide (with five, two are on their way)."""
+    g = max(1, isqrt(m // parts))
+    return chunked(a, b, Cut.squares(r, s, g), c, depth=g)
 
 
 def messages(a: DataFrame, b: DataFrame, r: int, s: int, cut: Cut) -> DataFrame:
-    """(kind, tiles) that `chunked` moves: A and B as replicated, dense C in and out."""
-    left, right = replicate(a, b, cut)
-    moved = left.select(F.lit("A").alias("kind")).union(right.select(F.lit("B").alias("kind"))).groupBy("kind").agg(F.count("*").alias("tiles"))
-    return moved.union(a.sparkSession.createDataFrame([("C_in", r * s), ("C_out", r * s)], "kind string, tiles bigint"))
+    """(kind, tiles) that `chunked` moves with a dense C: rows counted where they enter the exchange, and where they leave the product, as it runs."""
+    spark = a.sparkSession
+    zero = spark.range(r * s).select(F.floor(F.col("id") / s).alias("i"), (F.col("id") % s).alias("j"), F.lit(0).cast(a.schema["v"].dataType).alias("c"))
+    entered, left = Observation(), Observation()
+    count = lambda kind: F.sum(F.when(F.col("kind") == kind, 1).otherwise(0)).alias(kind)
+    sent = _sent(a, b, cut, zero).observe(entered, count("A"), count("B"), count("C"))
+    _resident(sent).observe(left, F.count(F.lit(1)).alias("n")).write.format("noop").mode("overwrite").save()
+    rows = [("A", entered.get["A"]), ("B", entered.get["B"]), ("C_in", entered.get["C"]), ("C_out", left.get["n"])]
+    return spark.createDataFrame([(k, int(n or 0)) for k, n in rows], "kind string, tiles bigint")
 
 
 def inner_join(a: DataFrame, b: DataFrame, c: DataFrame | None = None, salt: int = 1) -> DataFrame:
@@ -128,18 +176,16 @@ def weighted_grid(a: DataFrame, b: DataFrame, r: int, s: int, row_speeds: list[i
 
 
 def shifted(a: DataFrame, b: DataFrame, r: int, t: int, s: int, p: int, c: DataFrame | None = None) -> DataFrame:
-    """Skew, then p rotation steps on a p x p grid: in step n, block (I, J) multiplies inner block (I + J + n) mod p."""
+    """Skew, then p rotation steps on a p x p grid: in step n, block (I, J) of the result receives and multiplies inner block (I + J + n) mod p. Blocks of the result stay where they are."""
     height, depth, width = -(-r // p), -(-t // p), -(-s // p)
     block = lambda x, size: F.floor(F.col(x) / size).cast("int")
-    left = a.select(block("i", height).alias("bi"), block("k", depth).alias("bk"), "i", "k", "v")
-    right = b.select(block("j", width).alias("bj"), block("k", depth).alias("bk"), "j", "k", "u")
-    steps = None
-    for n in range(p):
-        mine = left.withColumn("bj", F.pmod(F.col("bk") - F.col("bi") - n, F.lit(p)))
-        other = right.withColumn("bi", F.pmod(F.col("bk") - F.col("bj") - n, F.lit(p)))
-        part = mine.join(other, ["bi", "bj", "bk", "k"]).groupBy("i", "j").agg(F.sum(F.col("v") * F.col("u")).alias("c"))
-        steps = part if steps is None else steps.unionByName(part)
-    return _add(steps.groupBy("i", "j").agg(F.sum("c").alias("c")), c)
+    steps = F.explode(F.sequence(F.lit(0), F.lit(p - 1))).alias("n")
+    left = a.select(block("i", height).alias("ci"), block("k", depth).alias("bk"), "i", "k", "v", steps)
+    right = b.select(block("j", width).alias("cj"), block("k", depth).alias("bk"), "j", "k", "u", steps)
+    left = left.withColumn("cj", F.pmod(F.col("bk") - F.col("ci") - F.col("n"), F.lit(p)))
+    right = right.withColumn("ci", F.pmod(F.col("bk") - F.col("cj") - F.col("n"), F.lit(p)))
+    old = None if c is None else c.select(block("i", height).alias("ci"), block("j", width).alias("cj"), "i", "j", "c")
+    return _resident(_tagged(left, right, old, p))
 
 
 def packed_rectangles(r: int, s: int, speeds: list[int]) -> list[tuple[int, int, int, int]]:
@@ -160,10 +206,11 @@ def packed_rectangles(r: int, s: int, speeds: list[int]) -> list[tuple[int, int,
 
 def rectangles(a: DataFrame, b: DataFrame, r: int, s: int, speeds: list[int], c: DataFrame | None = None) -> DataFrame:
     """Irregular rectangles, one a worker."""
-    own = a.sparkSession.createDataFrame([(n, *x) for n, x in enumerate(packed_rectangles(r, s, speeds))], "rect int, i0 bigint, i1 bigint, j0 bigint, j1 bigint")
-    left = a.join(F.broadcast(own), (F.col("i") >= F.col("i0")) & (F.col("i") < F.col("i1"))).select("rect", "i", "k", "v")
-    right = b.join(F.broadcast(own), (F.col("j") >= F.col("j0")) & (F.col("j") < F.col("j1"))).select("rect", "k", "j", "u")
-    return _add(left.join(right, ["rect", "k"]).groupBy("i", "j").agg(F.sum(F.col("v") * F.col("u")).alias("c")), c)
+    own = a.sparkSession.createDataFrame([(n, *x) for n, x in enumerate(packed_rectangles(r, s, speeds))], "ci int, i0 bigint, i1 bigint, j0 bigint, j1 bigint")
+    own = F.broadcast(own.withColumn("cj", F.lit(0)))  # one row a worker
+    rows, cols = (F.col("i") >= F.col("i0")) & (F.col("i") < F.col("i1")), (F.col("j") >= F.col("j0")) & (F.col("j") < F.col("j1"))
+    old = None if c is None else c.join(own, rows & cols).select("ci", "cj", "i", "j", "c")
+    return _resident(_tagged(a.join(own, rows).select("ci", "cj", "k", "i", "v"), b.join(own, cols).select("ci", "cj", "k", "j", "u"), old, len(speeds)))
 
 
 def inner_split(a: DataFrame, b: DataFrame, parts: int, c: DataFrame | None = None) -> DataFrame:
@@ -180,23 +227,37 @@ def assign_columns(spark, r: int, s: int, g: int, p: int) -> DataFrame:
     return rows.select(ci.alias("ci"), cj.alias("cj"), (cj % p + 1).alias("worker"))
 
 
-def cost_table(r: int, t: int, s: int, nnz_a: int, nnz_b: int, m: int) -> list[tuple[str, int]]:
-    """Rows that each kernel shuffles, by name."""
+def cost_table(r: int, t: int, s: int, nnz_a: int, nnz_b: int, m: int, workers: int = 8) -> list[tuple[str, int]]:
+    """Rows that each kernel shuffles or broadcasts, by name; grids, slabs and rectangles for so many workers of one speed. Results in place cost 2 r s, as in the method."""
     side = lambda f: max(1, f)
-    g, third, fifth = side(int((m + 4) ** 0.5) - 2), side(int((m // 3) ** 0.5)), side(int((m // 5) ** 0.5))
-    resident = lambda g: 2 * r * s + nnz_a * -(-s // g) + nnz_b * -(-r // g)
+    up = lambda x, y: -(-x // y)
+    g, third, fifth = side(isqrt(m + 4) - 2), side(isqrt(m // 3)), side(isqrt(m // 5))
+    resident = lambda rows, cols: 2 * r * s + nnz_a * cols + nnz_b * rows
+    p1 = max(d for d in range(1, isqrt(workers) + 1) if workers % d == 0)
+    square = isqrt(workers)
+    packed = packed_rectangles(r, s, [1] * workers)
+    partial = min(nnz_a * nnz_b // max(t, 1), r * s * t)
     return [
-        ("resident", resident(g)),
-        ("third", resident(third)),
-        ("fifth", resident(fifth)),
-        ("inner_join", nnz_a + nnz_b + min(nnz_a * nnz_b // max(t, 1), r * s * t)),
-        ("inner_split", nnz_a + nnz_b + 8 * r * s),
+        ("resident", resident(up(r, g), up(s, g))),
+        ("third", resident(up(r, third), up(s, third))),
+        ("fifth", resident(up(r, fifth), up(s, fifth))),
+        ("inner_join", nnz_a + nnz_b + partial),
+        ("broadcast", workers * nnz_b + partial),
+        ("slabs", resident(workers, 1)),
+        ("grid", resident(p1, workers // p1)),
+        ("weighted_grid", resident(p1, workers // p1)),
+        ("shifted", resident(square, square)),
+        ("rectangles", 2 * r * s + sum(nnz_a * (x[1] - x[0]) // r + nnz_b * (x[3] - x[2]) // s for x in packed)),
+        ("inner_split", nnz_a + nnz_b + workers * r * s),
     ]
 
 
-def choose_kernel(r: int, t: int, s: int, nnz_a: int, nnz_b: int, m: int) -> str:
-    """The kernel of least volume."""
-    return min(cost_table(r, t, s, nnz_a, nnz_b, m), key=lambda x: (x[1], x[0]))[0]
+def choose_kernel(r: int, t: int, s: int, nnz_a: int, nnz_b: int, m: int, workers: int = 8) -> str:
+    """The kernel of least volume among those whose result fits the memory in chunks: those with fixed parts need a part's share of C within m tiles a worker."""
+    fits = {"resident", "third", "fifth", "inner_join"} | ({"broadcast"} if nnz_b <= m else set()) | ({"inner_split"} if r * s <= m else set())
+    fits |= {"slabs", "grid", "weighted_grid", "rectangles"} if -(-r * s // workers) <= m else set()
+    fits |= {"shifted"} if -(-r * s // isqrt(workers) ** 2) <= m else set()
+    return min((x for x in cost_table(r, t, s, nnz_a, nnz_b, m, workers) if x[0] in fits), key=lambda x: (x[1], x[0]))[0]
 
 
 def freivalds(a: DataFrame, b: DataFrame, c: DataFrame, rounds: int = 2) -> DataFrame:

@@ -57,8 +57,8 @@ def _kernel(name: str, shape: str, f: Callable[[DataFrame, DataFrame, int, int,
 for _shape in SHAPES:
     _kernel(f"resident_sql_{_shape}", _shape, lambda a, b, r, t, s: multiply.chunked(a, b, multiply.Cut.squares(r, s, SIDE)))
 _kernel("resident_small_memory_x3", "x3", lambda a, b, r, t, s: multiply.chunked(a, b, multiply.Cut.squares(r, s, 50)))
-_kernel("split3_x1a", "x1a", lambda a, b, r, t, s: multiply.chunked(a, b, multiply.Cut.squares(r, s, 59)))
-_kernel("split5_x1a", "x1a", lambda a, b, r, t, s: multiply.chunked(a, b, multiply.Cut.squares(r, s, 45)))
+_kernel("split3_x1a", "x1a", lambda a, b, r, t, s: multiply.split(a, b, r, s, 10485, 3))
+_kernel("split5_x1a", "x1a", lambda a, b, r, t, s: multiply.split(a, b, r, s, 10485, 5))
 _kernel("inner_join_x1a", "x1a", lambda a, b, r, t, s: multiply.inner_join(a, b))
 _kernel("inner_join_salted_x1a", "x1a", lambda a, b, r, t, s: multiply.inner_join(a, b, salt=4))
 _kernel("broadcast_x1a", "x1a", lambda a, b, r, t, s: multiply.broadcast(a, b))
