@@ -1,8 +1,8 @@
 """Approximate nearest neighbours: an NN-descent graph, searched greedily.
 
-Index: equal vectors are one node. Every node keeps its K nearest nodes found so far. The graph starts from random-projection trees (leaves compared in full) and
-improves in rounds: each node brings together its neighbours and those it is a neighbour of, all pairs of which at least one is new are compared, and a
-pair is reported only to an end whose K-th distance it beats. Rounds end when few lists change. Every row is indexed; only the planes of the
+Index: equal vectors are one node. Every node keeps its K nearest nodes found so far. The graph starts from random-projection trees (leaves compared in full; a leaf that is
+too large is split between two of its members, as often as it takes) and improves in rounds: each node brings together its neighbours and those it is a neighbour of, all pairs of which at least one is new are compared, and a
+pair is reported only to an end whose K-th distance it beats. Rounds end when few entries of the lists are new (STILL). Every row is indexed; only the upper planes of the
 trees come from a bounded sample, of SAMPLE nodes.
 
 Search: a query starts at its own node's list and expands the nearest unexpanded nodes of its beam, all queries together, until no beam has
@@ -11,12 +11,15 @@ any; the best are ranked by the exact distance on the original vectors. Distance
 Bounds that belong to the method: K forward and K reverse neighbours meet in a round (the nearest ones); a node that is a neighbour of more is no less indexed, as
 each of those has it in its own list.
 
-Defined results: rows take no part if the vector is null, zero, of another length than most, or holds null or non-finite components, or the id is null; repeated rows of
+Defined results: rows take no part if the vector is null, zero, or holds null or non-finite components, or the id is null; vectors of different lengths have no distance, so
+each length is searched on its own; repeated rows of
 an id count once (the smallest vector); queries with fewer candidates than asked get all; ties go to the smaller id; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
+import functools
+import itertools
 from collections.abc import Iterator
 
 import numpy as np
@@ -26,21 +29,19 @@ from pyspark.sql import functions as F
 
 from tilestar.runtime import Scratch
 
-#: Neighbours a node keeps; trees; rows of a leaf; nodes sampled for planes; rounds at most; share of changed neighbours that ends them.
-K, TREES, LEAF, SAMPLE, ROUNDS, STILL = 32, 4, 512, 8192, 5, 0.02
-#: Beam of a search; expansions at most.
-BEAM, STEPS = 256, 6
+#: Neighbours a node keeps; trees; rows of a leaf, twice that at most; nodes sampled for planes; share of new neighbours at which rounds end.
+K, TREES, LEAF, SAMPLE, STILL = 32, 4, 512, 8192, 0.02
+#: Beam of a search.
+BEAM = 256
 CODED = "node bigint, code binary, scale double, square double"
 
 
 def _vectors(df: DataFrame, id_col: str, vector: str) -> DataFrame:
-    """(vec_id, v) of the rows that take part."""
+    """(vec_id, v, dim) of the rows that take part."""
     v = F.col("v")
     rows = df.select(F.col(id_col).cast("bigint").alias("vec_id"), F.col(vector).alias("v")).filter("vec_id is not null and v is not null")
     sound = F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0)
-    rows = rows.filter(sound)
-    sizes = rows.groupBy(F.size("v").alias("dim")).count().orderBy(F.desc("count"), "dim").limit(1).collect()  # one row
-    return rows.filter(F.size("v") == (sizes[0][0] if sizes else 0)).groupBy("vec_id").agg(F.min("v").alias("v"))
+    return rows.filter(sound).groupBy("vec_id").agg(F.min("v").alias("v")).withColumn("dim", F.size("v"))
 
 
 def _nodes(vectors: DataFrame, most: int) -> DataFrame:
@@ -157,13 +158,47 @@ def _planes(sample: np.ndarray, depth: int, seed: int) -> tuple[np.ndarray, np.n
     return plane, bound
 
 
-def _start(nodes: DataFrame, codes: DataFrame, n: int, k: int, tasks: int) -> DataFrame:
+def _split(leaves: DataFrame, scratch: Scratch, tasks: int) -> DataFrame:
+    """leaves (leaf, node, code, ...): those of more than 2 * LEAF rows are split, each member to the nearer of two members drawn by hash, equally near ones by hash, until none is too large."""
+    done, turn = [], 0
+    while True:
+        sizes = leaves.groupBy("leaf").agg(F.count(F.lit(1)).alias("n"))
+        large = scratch.save(sizes.filter(F.col("n") > 2 * LEAF).select(F.col("leaf").alias("large")), f"large{turn}")
+        if large.isEmpty():
+            return functools.reduce(DataFrame.unionByName, done, leaves)
+        marked = leaves.join(scratch.small(large, f"large{turn}"), F.col("leaf") == F.col("large"), "left")
+        done.append(marked.filter("large is null").drop("large"))
+        rest = marked.filter("large is not null").drop("large")
+        draw = F.xxhash64("node", F.lit(turn))
+        own = F.struct(draw.alias("draw"), "code", "scale", "square")
+        pivots = rest.groupBy("leaf").agg(F.min(own).alias("a"), F.max(own).alias("b"))
+        fields = [f"{p}.{c}" for p in "ab" for c in ("code", "scale", "square")]
+        pivots = scratch.save(pivots.select(F.col("leaf").alias("large"), *(F.col(f).alias(f.replace(".", "_")) for f in fields)), f"pivots{turn}")
+        met = rest.join(scratch.small(pivots, f"pivots{turn}"), F.col("leaf") == F.col("large")).withColumn("coin", F.pmod(draw, F.lit(2)))
+
+        def sides(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                x, scale, square = _bytes(b.column("code")), b.column("scale").to_numpy(), b.column("square").to_numpy()
+                d = [
+                    b.column(f"{p}_square").to_numpy() + square - 2 * scale * b.column(f"{p}_scale").to_numpy() * np.einsum("ij,ij->i", x, _bytes(b.column(f"{p}_code")), dtype=np.float64)
+                    for p in "ab"
+                ]
+                right = np.where(d[0] == d[1], b.column("coin").to_numpy(), d[1] < d[0]).astype(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(2 * b.column("leaf").to_numpy() + right), *(b.column(c) for c in ("node", "code", "scale", "square"))], names=["leaf", "node", "code", "scale", "square"])
+
+        # leaves of later turns get numbers of their own: the number doubles, and settled ones leave the table
+        leaves = scratch.save(met.mapInArrow(sides, "leaf bigint, " + CODED), f"leaves{turn + 1}")
+        done[-1] = done[-1].withColumn("leaf", F.xxhash64("leaf", F.lit(turn)))
+        leaves = leaves.repartition(tasks)
+        turn += 1
+
+
+def _start(nodes: DataFrame, codes: DataFrame, n: int, k: int, tasks: int, scratch: Scratch) -> DataFrame:
     """(u, w, d) from random-projection trees."""
     drawn = nodes.orderBy(F.xxhash64("node"), "node").limit(SAMPLE).select("v").collect()  # the documented bound
     sample = np.array([r[0] for r in drawn], float) if drawn else np.zeros((0, 1))
     depth = max(0, min(int(np.ceil(np.log2(max(n / LEAF, 1)))), int(np.log2(max(len(sample) / 8, 1)))))
     trees = [_planes(sample, depth, t) for t in range(TREES)]
-    subs = -(-n // (LEAF << depth))
 
     def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -172,27 +207,25 @@ def _start(nodes: DataFrame, codes: DataFrame, n: int, k: int, tasks: int) -> Da
                 at = np.zeros(len(x), np.int64)
                 for _ in range(depth):
                     at = 2 * at + 1 + (np.einsum("ij,ij->i", x, plane[at]) > bound[at])
-                rng = np.random.default_rng(t)
-                leaf = (at * TREES + t) * subs + (b.column(0).to_numpy() * int(rng.integers(1, 1 << 30)) + t) % subs
-                yield pa.RecordBatch.from_arrays([pa.array(leaf), *b.columns], names=["leaf", *b.schema.names])
+                yield pa.RecordBatch.from_arrays([pa.array(at * TREES + t), *b.columns], names=["leaf", *b.schema.names])
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def parts() -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
             for b in _runs(batches, 1):
                 node, code, scale, square = b.column(1).to_numpy(), _bytes(b.column(2)), b.column(3).to_numpy(), b.column(4).to_numpy()
                 for lo, hi in _groups(b, 1):
-                    for at in range(lo, hi, 2 * LEAF):  # an uneven leaf goes in pieces
-                        s = slice(at, min(hi, at + 2 * LEAF))
-                        d = _distances(code[s], scale[s], square[s], code[s], scale[s], square[s])
-                        np.fill_diagonal(d, np.inf)
-                        m = min(k, len(d) - 1)
-                        if m > 0:
-                            j = np.argpartition(d, m - 1, axis=1)[:, :m]
-                            yield np.repeat(node[s], m), node[s][j.ravel()], np.take_along_axis(d, j, 1).ravel()
+                    s = slice(lo, hi)
+                    d = _distances(code[s], scale[s], square[s], code[s], scale[s], square[s])
+                    np.fill_diagonal(d, np.inf)
+                    m = min(k, len(d) - 1)
+                    if m > 0:
+                        j = np.argpartition(d, m - 1, axis=1)[:, :m]
+                        yield np.repeat(node[s], m), node[s][j.ravel()], np.take_along_axis(d, j, 1).ravel()
 
         yield from _gathered(parts(), k)
 
-    dealt = codes.mapInArrow(spread, "leaf bigint, " + CODED).repartition(tasks, "leaf").sortWithinPartitions("leaf")
+    leaves = scratch.save(codes.mapInArrow(spread, "leaf bigint, " + CODED), "leaves0")
+    dealt = _split(leaves, scratch, tasks).repartition(tasks, "leaf").sortWithinPartitions("leaf", "node")
     return dealt.mapInArrow(compare, "u bigint, w bigint, d double")
 
 
@@ -234,12 +267,12 @@ def _local_join(graph: DataFrame, codes: DataFrame, k: int, tasks: int) -> DataF
     return rows.repartition(tasks, "x").sortWithinPartitions("x").mapInArrow(run, "u bigint, w bigint, d double")
 
 
-def build(nodes: DataFrame, codes: DataFrame, scratch: Scratch, k: int = K, rounds: int = ROUNDS) -> DataFrame:
+def build(nodes: DataFrame, codes: DataFrame, scratch: Scratch, k: int = K) -> DataFrame:
     """The graph: (u, near), near sorted by (d, w)."""
     tasks = int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     n = nodes.count()
-    graph = scratch.save(_merged(_start(nodes, codes, max(n, 1), k, tasks).withColumn("fresh", F.lit(1)), k, tasks), "graph0")
-    for turn in range(1, rounds + 1):
+    graph = scratch.save(_merged(_start(nodes, codes, max(n, 1), k, tasks, scratch).withColumn("fresh", F.lit(1)), k, tasks), "graph0")
+    for turn in itertools.count(1):
         found = _local_join(graph, codes, k, tasks).withColumn("fresh", F.lit(1))
         old = graph.select("u", F.explode("near").alias("e")).select("u", "e.w", "e.d", F.lit(0).alias("fresh"))
         graph = scratch.save(_merged(old.unionByName(found), k, tasks), f"graph{turn}")
@@ -250,7 +283,7 @@ def build(nodes: DataFrame, codes: DataFrame, scratch: Scratch, k: int = K, roun
     return graph
 
 
-def _search(graph: DataFrame, codes: DataFrame, starts: DataFrame, scratch: Scratch, beam: int, steps: int) -> DataFrame:
+def _search(graph: DataFrame, codes: DataFrame, starts: DataFrame, scratch: Scratch, beam: int) -> DataFrame:
     """starts (q): distinct query nodes. (q, x): the nodes of each final beam."""
     tasks = int(graph.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     near = graph.select(F.col("u").alias("x"), F.transform("near", lambda e: e["w"]).alias("next"))
@@ -278,7 +311,7 @@ def _search(graph: DataFrame, codes: DataFrame, starts: DataFrame, scratch: Scra
         return top.select("q", F.explode("top").alias("e")).select("q", "e.x", "e.d", "e.done")
 
     now = scratch.save(best(reach(starts.select("q", F.col("q").alias("x")))), "beam0")
-    for step in range(1, steps + 1):
+    for step in itertools.count(1):
         front = now.filter("done = 0")
         if front.isEmpty():
             break
@@ -294,15 +327,22 @@ def euclidean(a: Column, b: Column) -> Column:
 
 def nearest(df: DataFrame, is_query: Column | str, top: int = 10, id_col: str = "vec_id", vector: str = "embedding", k: int = K, beam: int = BEAM) -> DataFrame:
     """(query_id, rank, vec_id, score): for each row that is_query (over vec_id) holds for, its `top` nearest other rows."""
-    spark = df.sparkSession
-    scratch = Scratch(spark, "neighbours")
+    scratch = Scratch(df.sparkSession, "neighbours")
     vectors = scratch.save(_vectors(df, id_col, vector), "vectors")
+    dims = [r[0] for r in vectors.select("dim").distinct().orderBy("dim").collect()]  # the lengths that occur, one as a rule
+    parts = [_nearest(vectors.filter(F.col("dim") == dim).select("vec_id", "v"), is_query, top, k, beam, Scratch(df.sparkSession, f"neighbours-{dim}")) for dim in dims]
+    if not parts:
+        return df.sparkSession.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
+    return functools.reduce(DataFrame.unionByName, parts)
+
+
+def _nearest(vectors: DataFrame, is_query: Column | str, top: int, k: int, beam: int, scratch: Scratch) -> DataFrame:
     nodes = scratch.save(_nodes(vectors, top + 1), "nodes")
     codes = scratch.save(_codes(nodes), "codes")
     graph = build(nodes, codes, scratch, max(k, top + 1))
     asked = vectors.filter(is_query).select(F.col("vec_id").alias("query_id"), "v").join(nodes.select("node", "v"), "v").select("query_id", "v", F.col("node").alias("q"))
     asked = scratch.save(asked, "asked")
-    found = _search(graph, codes, asked.select("q").distinct(), scratch, max(beam, 2 * top), STEPS)
+    found = _search(graph, codes, asked.select("q").distinct(), scratch, max(beam, 2 * top))
     pairs = asked.join(found, "q").join(nodes.select(F.col("node").alias("x"), F.col("v").alias("w"), "ids"), "x")
     scored = pairs.select("query_id", euclidean(F.col("v"), F.col("w")).alias("score"), F.explode("ids").alias("vec_id")).filter("vec_id <> query_id")
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy("score", "vec_id"))
