@@ -79,8 +79,55 @@ def bound_grid(spark: SparkSession, n: int) -> DataFrame:
     return kinds[0].union(kinds[1])
 
 
-def window_balance(trace: DataFrame, m: int) -> DataFrame:
-    """trace (scenario_id, step, kind): in every window of m consecutive messages, how many are of each kind."""
-    w = Window.partitionBy("scenario_id").orderBy("step").rowsBetween(0, m - 1)
-    count = lambda kind: F.sum(F.when(F.col("kind") == kind, 1).otherwise(0)).over(w).alias(f"n_{kind.lower()}")
-    return trace.select("scenario_id", "step", *(count(k) for k in ("A", "B", "C", "R")), F.count("*").over(w).alias("n"))
+def tile_messages(spark: SparkSession, r: int, t: int, s: int, g: int) -> DataFrame:
+    """(step, kind, held_a, held_b, held_c): the messages, tile by tile, of the schedule that keeps one A, g B and g x g C, and what is held before each.
+
+    A chunk receives its C; for each inner step g tiles of B, then those of A one by one; then returns C. Chunks go down a column of chunks, then the next.
+    """
+    rows, cols = -(-r // g), -(-s // g)
+    chunk = spark.range(rows * cols).select("id", F.least(F.lit(g), r - (F.col("id") % rows) * g).alias("a"), F.least(F.lit(g), s - F.floor(F.col("id") / rows) * g).alias("b"))
+    a, b, p = F.col("a"), F.col("b"), F.col("p")
+    chunk = chunk.withColumn("n", 2 * a * b + t * (a + b))
+    first = F.coalesce(F.sum("n").over(Window.partitionBy(F.lit(0)).orderBy("id").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))  # one row a chunk
+    each = chunk.withColumn("first", first).select("first", "a", "b", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("n") - 1)).alias("p"))
+    q = p - a * b
+    k, o = F.floor(q / (a + b)), q % (a + b)
+    moving = (q >= 0) & (q < t * (a + b))
+    kind = F.when(q < 0, "C").when(~moving, "R").when(o < b, "B").otherwise("A")
+    held = lambda x: F.when(moving, x).otherwise(0).cast("bigint")
+    return each.select(
+        (F.col("first") + p).alias("step"),
+        kind.alias("kind"),
+        held(F.least(F.lit(1), k * a + F.greatest(F.lit(0), o - b))).alias("held_a"),
+        held(F.least(b, k * b + F.least(o, b))).alias("held_b"),
+        (F.least(p, a * b) - F.greatest(F.lit(0), q - t * (a + b))).cast("bigint").alias("held_c"),
+    )
+
+
+def window_balance(messages: DataFrame, m: int) -> DataFrame:
+    """For every m consecutive messages: tiles held at their start, tiles sent and returned, and whether held <= m and sent + returned = m."""
+    w = Window.partitionBy(F.lit(0)).orderBy("step").rowsBetween(0, m - 1)  # a schedule is one sequence
+    count = lambda kind, name: F.sum(F.when(F.col("kind") == kind, 1).otherwise(0)).over(w).alias(name)
+    sums = [count("A", "sent_a"), count("B", "sent_b"), count("C", "sent_c"), count("R", "returned")]
+    rows = messages.select("step", "held_a", "held_b", "held_c", *sums, F.count("*").over(w).alias("n")).filter(F.col("n") == m)
+    fits = F.col("held_a") + F.col("held_b") + F.col("held_c") <= m
+    return rows.drop("n").withColumns({"fits": fits, "balanced": F.col("sent_a") + F.col("sent_b") + F.col("sent_c") + F.col("returned") == m})
+
+
+def balance_sql(r: int, t: int, s: int, g: int, m: int) -> str:
+    """window_balance of tile_messages: DuckDB. Held tiles are counted from the messages themselves."""
+    over = f"OVER (ORDER BY step ROWS BETWEEN CURRENT ROW AND {m - 1} FOLLOWING)"
+    past = "OVER (PARTITION BY chunk ORDER BY p ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)"
+    return f"""
+WITH c AS (SELECT cj * {-(-r // g)} + ci AS chunk, least({g}, {r} - ci * {g}) AS a, least({g}, {s} - cj * {g}) AS b FROM range({-(-r // g)}) x(ci), range({-(-s // g)}) y(cj)),
+e AS (SELECT chunk, a, b, 'C' AS kind, 0 AS k, n FROM c, range(0, 100) z(n) WHERE n < a * b UNION ALL SELECT chunk, a, b, 'B', k, n FROM c, range(1, {t + 1}) y(k), range(0, 100) z(n) WHERE n < b
+  UNION ALL SELECT chunk, a, b, 'A', k, 100 + n FROM c, range(1, {t + 1}) y(k), range(0, 100) z(n) WHERE n < a UNION ALL SELECT chunk, a, b, 'R', {t + 1}, n FROM c, range(0, 100) z(n) WHERE n < a * b),
+o AS (SELECT *, row_number() OVER (ORDER BY chunk, k, n) - 1 AS step, row_number() OVER (PARTITION BY chunk ORDER BY k, n) AS p FROM e),
+h AS (SELECT step, kind, CASE WHEN kind = 'R' THEN 0 ELSE least(1, coalesce(count(*) FILTER (kind = 'A') {past}, 0)) END AS held_a,
+  CASE WHEN kind = 'R' THEN 0 ELSE least(b, coalesce(count(*) FILTER (kind = 'B') {past}, 0)) END AS held_b,
+  coalesce(count(*) FILTER (kind = 'C') {past}, 0) - coalesce(count(*) FILTER (kind = 'R') {past}, 0) AS held_c FROM o),
+w AS (SELECT step, held_a, held_b, held_c, count(*) FILTER (kind = 'A') {over} AS sent_a, count(*) FILTER (kind = 'B') {over} AS sent_b,
+  count(*) FILTER (kind = 'C') {over} AS sent_c, count(*) FILTER (kind = 'R') {over} AS returned, count(*) {over} AS n FROM h)
+SELECT step::BIGINT AS step, held_a::BIGINT AS held_a, held_b::BIGINT AS held_b, held_c::BIGINT AS held_c, sent_a, sent_b, sent_c, returned,
+       held_a + held_b + held_c <= {m} AS fits, sent_a + sent_b + sent_c + returned = {m} AS balanced FROM w WHERE n = {m}
+"""

@@ -13,7 +13,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from tilestar.functions.bounds import up
-from tilestar.operators.tiles import TILE, _tile_array
+from tilestar.operators.tiles import TILE, _tile_array, block, resident_multiply, retile, to_cells, to_tiles
+from tilestar.plans import select
 from tilestar.runtime import Scratch
 
 
@@ -29,41 +30,67 @@ def eliminate(x: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return low, np.triu(u)
 
 
-def factor(tiles: DataFrame, n: int, q: int, scratch: Scratch) -> tuple[DataFrame, DataFrame]:
-    """(L, U) of an n x n tile matrix, one tile row and column a step. The control loop runs on the driver; tiles stay on the executors, but for the pivot tile.
+def forward(low: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """y with low @ y = x for a lower triangle; x: (..., n, m)."""
+    y = x.astype(float).copy()
+    for k in range(len(low)):
+        y[..., k, :] = (y[..., k, :] - (low[k, :k] @ y[..., :k, :])) / low[k, k]
+    return y
+
+
+def factor(tiles: DataFrame, n: int, q: int, scratch: Scratch, g: int = 1) -> tuple[DataFrame, DataFrame]:
+    """(L, U) of an n x n tile matrix, g tile rows and columns a step (the second level of blocks). The control loop runs on the driver; tiles stay on the executors, but for the
+    pivot block of g x g tiles, which one worker's memory holds.
 
     Every step writes the remaining core, so that no lineage builds up. The padded edge of the last tile must have ones on its diagonal.
     """
+    if g > 1:
+        blocks, side = -(-n // g), g * q
+        beyond = tiles.sparkSession.range(n * q, blocks * side).select(F.col("id").alias("row"), F.col("id").alias("col"), F.lit(1.0).alias("val"))
+        whole = to_tiles(to_cells(tiles, q).select("row", "col", "val").unionByName(beyond), side)
+        return tuple(block(retile(x, side, q), (0, n), (0, n)) for x in factor(whole, blocks, side, scratch))
     spark = tiles.sparkSession
     core, lows, ups = scratch.save(tiles, "core0"), [], []
     for k in range(n):
         first = core.filter((F.col("bi") == k) & (F.col("bj") == k)).collect()  # one tile
         low, upper = eliminate(np.array(first[0]["tile"]).reshape(q, q) if first else np.zeros((q, q)))
-        low_inv, up_inv = np.linalg.inv(low), np.linalg.inv(upper)
         ends = spark.createDataFrame([(k, k, low.ravel().tolist(), upper.ravel().tolist())], "bi int, bj int, low array<double>, up array<double>")
 
-        def solve(left: bool, by: np.ndarray):
+        def solve(by: np.ndarray, right: bool):
+            """Rows x of the vertical panel become x U^-1, columns y of the horizontal panel L^-1 y, by substitution."""
+
             def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 for b in batches:
                     if b.num_rows:
                         x = np.asarray(b.column(2).flatten()).reshape(-1, q, q)
-                        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), _tile_array((by @ x if left else x @ by).reshape(len(x), -1))], names=["bi", "bj", "tile"])
+                        y = forward(by.T, x.swapaxes(1, 2)).swapaxes(1, 2) if right else forward(by, x)
+                        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), _tile_array(np.ascontiguousarray(y).reshape(len(x), -1))], names=["bi", "bj", "tile"])
 
             return run
 
-        column = scratch.save(core.filter((F.col("bj") == k) & (F.col("bi") > k)).mapInArrow(solve(False, up_inv), TILE), f"column{k}")
-        row = scratch.save(core.filter((F.col("bi") == k) & (F.col("bj") > k)).mapInArrow(solve(True, low_inv), TILE), f"row{k}")
+        column = scratch.save(core.filter((F.col("bj") == k) & (F.col("bi") > k)).mapInArrow(solve(upper, True), TILE), f"column{k}")
+        row = scratch.save(core.filter((F.col("bi") == k) & (F.col("bj") > k)).mapInArrow(solve(low, False), TILE), f"row{k}")
         lows += [ends.select("bi", "bj", F.col("low").alias("tile")), column]
         ups += [ends.select("bi", "bj", F.col("up").alias("tile")), row]
         if k == n - 1:
             break
         rest = core.filter((F.col("bi") > k) & (F.col("bj") > k))
-        both = rest.select("bi", "bj", "tile").unionByName(_outer(column, row, q))
+        both = rest.select("bi", "bj", "tile").unionByName(_outer(column, row, q, n))
         core = scratch.save(_sum_tiles(both, q), f"core{k + 1}")
         scratch.drop(f"core{k}")
     return _union(lows), _union(ups)
 
 
+def residual(m: DataFrame, low: DataFrame, upper: DataFrame, n: int, q: int) -> DataFrame:
+    """(largest, relative): of m - L U, the greatest absolute value, and its Frobenius norm over that of m. m (row, col, val), factors of n x n tiles."""
+    back = to_cells(resident_multiply(low, upper, n, n, max(1, n // 2), q), q).select("row", "col", (-F.col("val")).alias("val"))
+    cells = m.select("row", "col", F.col("val").cast("double").alias("val"))
+    both = cells.unionByName(back.join(F.broadcast(cells.agg(F.max("row").alias("r"), F.max("col").alias("c"))), (F.col("row") <= F.col("r")) & (F.col("col") <= F.col("c"))).select("row", "col", "val"))
+    left = both.groupBy("row", "col").agg(F.sum("val").alias("val"))
+    size = cells.agg(F.sum(F.col("val") * F.col("val")).alias("all"))
+    return left.agg(F.max(F.abs("val")).alias("largest"), F.sum(F.col("val") * F.col("val")).alias("rest")).crossJoin(size).select("largest", F.sqrt(F.col("rest") / F.col("all")).alias("relative"))
+
+
 def _union(parts: list[DataFrame]) -> DataFrame:
     out = parts[0]
     for p in parts[1:]:
@@ -71,13 +98,10 @@ def _union(parts: list[DataFrame]) -> DataFrame:
     return out
 
 
-def _outer(column: DataFrame, row: DataFrame, q: int) -> DataFrame:
+def _outer(column: DataFrame, row: DataFrame, q: int, n: int) -> DataFrame:
     """Minus the products of a tile column and a tile row, through the resident-result product."""
-    from tilestar.operators.tiles import resident_multiply
-
     minus = column.withColumn("tile", F.transform("tile", lambda x: -x))
-    far = max(column.agg(F.max("bi")).first()[0] or 0, row.agg(F.max("bj")).first()[0] or 0) + 1
-    return resident_multiply(minus, row, far, far, max(1, min(far, 32)), q)
+    return resident_multiply(minus, row, n, n, max(1, min(-(-n // 4), 32)), q)
 
 
 def _sum_tiles(tiles: DataFrame, q: int) -> DataFrame:
@@ -111,8 +135,6 @@ def _substitute(tri: DataFrame, y: DataFrame, n: int, q: int, scratch: Scratch,
 
 def _factors_of(m: DataFrame, n: int, q: int, scratch: Scratch) -> tuple[DataFrame, DataFrame, int]:
     """Factors of an n x n matrix (row, col, val), and their side in tiles. Rows beyond the edge and rows without a cell get a pivot of one."""
-    from tilestar.operators.tiles import to_tiles
-
     blocks = -(-n // q)
     pad = m.sparkSession.range(blocks * q).join(m.select("row").distinct(), F.col("id") == F.col("row"), "left_anti").select(F.col("id").alias("row"), F.col("id").alias("col"), F.lit(1.0).alias("val"))
     low, upper = factor(to_tiles(m.select("row", "col", F.col("val").cast("double").alias("val")).unionByName(pad), q), blocks, q, scratch)
@@ -172,27 +194,50 @@ def virtual_workers(df: DataFrame) -> DataFrame:
     return df.select("worker_id", "g", "gi", F.explode(F.sequence(F.lit(1).cast("bigint"), n)).alias("part"))
 
 
-def plan(platform: DataFrame, r: int) -> DataFrame:
+def plan(platform: DataFrame, r: int, rule: str = "global", steps: int = 60) -> DataFrame:
     """For each platform the block side of least estimated time: (platform_id, g, time).
 
-    Every side up to the largest worker's is tried: panels go to the fastest worker for them; the core's updates flow at the rate of bandwidth-first enrolment,
-    workers smaller than the side at the quality of their better chunk shape.
+    Every side up to the largest worker's is tried, divisors of r or not. Pivots and panels go to the worker that does them fastest. The core's whole column blocks are dealt by the
+    selection of the product, on rows of the core: a worker of the side's memory or more moves 3 g tiles for g * g updates (the virtual workers that fit share its link and its
+    speed, so they are one), a smaller one has the better of its two chunk shapes. The rate of `steps` messages carries the core's updates.
     """
-    own = platform.filter("g > 0")
-    sides = own.groupBy("platform_id").agg(F.max("g").alias("top")).select("platform_id", F.explode(F.sequence(F.lit(1).cast("bigint"), F.least("top", F.lit(r).cast("bigint")))).alias("side")).filter(F.lit(r) % F.col("side") == 0)
-    rows = sides.join(own, "platform_id")
-    g, gi = F.col("side").cast("double"), F.col("g").cast("double")
-    quality = F.when(gi >= g, g / 3).when(2 * gi <= g, gi / 3).otherwise(gi * gi / (g + 2 * gi * gi / g))  # updates per tile
-    per_update = F.greatest(F.col("w").cast("double"), F.col("c") / quality)
-    n = r / g
-    panel_updates, panel_messages = g * g * g * n + g * g * g * n * (n - 1) / 2, 2 * g * g * n + 4 * g * g * n * (n - 1) / 2
-    panel_time = panel_messages * F.col("c") + panel_updates * F.col("w")
-    core_updates = (2.0 * r**3 - 3 * g * r**2 + g * g * r) / 6
-    est = rows.groupBy("platform_id", "side").agg(F.min(panel_time).alias("panel"), F.least(F.sum(1 / per_update), F.max(quality / F.col("c"))).alias("rate"), F.first(core_updates).alias("core"))
-    est = est.select("platform_id", F.col("side").alias("g"), (F.col("panel") + F.col("core") / F.col("rate")).alias("time"))
+    own = platform.filter("g > 0").select("platform_id", "worker_id", "c", "w", "g")
+    top = own.groupBy("platform_id").agg(F.least(F.max("g"), F.lit(r).cast("bigint")).alias("top"))
+    rows = top.select("platform_id", F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("top"))).alias("side")).join(own, "platform_id")
+    g, gi, c = F.col("side"), F.col("g"), F.col("c")
+    width = F.greatest(F.floor(gi * gi / g).cast("bigint"), F.lit(1).cast("bigint"))
+    send = F.when(gi >= g, 3 * g * c).when(2 * gi <= g, 3 * gi * c).otherwise((g + 2 * width) * c)
+    gain = F.when(gi >= g, g * g).when(2 * gi <= g, gi * gi).otherwise(g * width)
+    numbered = rows.withColumns({"send": send, "gain": gain, "square": F.lit(0).cast("bigint"), "platform_id": (F.col("platform_id") * 10_000 + g).cast("int")})
+    folded = select.fold(select.as_rows(numbered), steps, rule)
+    rate = folded.select(F.floor(F.col("platform_id") / 10_000).cast("int").alias("platform_id"), (F.col("platform_id") % 10_000).cast("bigint").alias("side"), F.element_at("works", -1).alias("work"), F.element_at("ends", -1).alias("end"))
+    each = rate.select("*", F.explode(F.sequence(F.lit(1).cast("bigint"), F.ceil(F.lit(r) / F.col("side")))).alias("k"))
+    size, rest = F.least("side", r - (F.col("k") - 1) * F.col("side")), F.greatest(F.lit(0).cast("bigint"), r - F.col("k") * F.col("side"))
+    sums = each.groupBy("platform_id", "side", "work", "end").agg(
+        F.sum(2 * size * size + 4 * size * rest).alias("messages"), F.sum(size * size * size + size * size * rest).alias("updates"), F.sum(rest * rest * size).alias("core")
+    )
+    panel = sums.join(own, "platform_id").groupBy("platform_id", "side", "work", "end", "core").agg(F.min(F.col("messages") * c + F.col("updates") * F.col("w")).alias("panel"))
+    est = panel.select("platform_id", F.col("side").alias("g"), (F.col("panel") + F.col("core") * F.col("end").cast("double") / F.col("work")).alias("time"))
     return est.groupBy("platform_id").agg(F.min_by("g", F.struct(F.round("time", 6), F.col("g"))).alias("g"), F.round(F.min("time"), 3).alias("time"))
 
 
+def plan_sql(platform_sql: str, r: int, steps: int = 60) -> str:
+    """`plan` by the global rule: DuckDB."""
+    shaped = f"""SELECT (platform_id * 10000 + side)::INTEGER AS platform_id, worker_id, c, w, g,
+ CASE WHEN g >= side THEN 3 * side * c WHEN 2 * g <= side THEN 3 * g * c ELSE (side + 2 * greatest(g * g // side, 1)) * c END AS send,
+ CASE WHEN g >= side THEN side * side WHEN 2 * g <= side THEN g * g ELSE side * greatest(g * g // side, 1) END AS gain
+FROM ({platform_sql}) o, range(1, {r + 1}) t(side) WHERE g > 0 AND side <= (SELECT max(g) FROM ({platform_sql}) z WHERE z.platform_id = o.platform_id)"""
+    return f"""
+WITH tr AS ({select.selection_sql(shaped, steps, message=("send", "gain"))}),
+e AS (SELECT platform_id // 10000 AS platform_id, platform_id % 10000 AS side, work, finish FROM tr WHERE step = {steps}),
+k AS (SELECT e.*, least(side, {r} - (k - 1) * side) AS p, greatest(0, {r} - k * side) AS rest FROM e, range(1, {r + 1}) t(k) WHERE (k - 1) * side < {r}),
+s AS (SELECT platform_id, side, work, finish, sum(2 * p * p + 4 * p * rest) AS messages, sum(p * p * p + p * p * rest) AS updates, sum(rest * rest * p) AS core FROM k GROUP BY ALL),
+b AS (SELECT s.platform_id, side, work, finish, core, min(messages * c + updates * w) AS panel FROM s JOIN ({platform_sql}) o ON o.platform_id = s.platform_id WHERE o.g > 0 GROUP BY ALL),
+t AS (SELECT platform_id, side AS g, panel + core * finish::DOUBLE / work AS time FROM b)
+SELECT platform_id::INTEGER AS platform_id, arg_min(g, {{'t': round(time, 6), 'g': g}})::BIGINT AS g, round(min(time), 3)::DOUBLE AS time FROM t GROUP BY 1
+"""
+
+
 def enrolled(g: Column, c: Column, w: Column) -> Column:
     """Workers on the core beside the one that does pivots and panels."""
     return up(g * w, 3 * c)

@@ -15,10 +15,10 @@ from math import isqrt
 from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
-from tilestar.runtime import BROADCAST_BYTES
+from tilestar.runtime import BROADCAST_MEMORY, Scratch
 
-#: Bytes of a coordinate row, for the size check of broadcasts.
-ROW_BYTES = 24
+#: Bytes of a coordinate row in memory with its place in a hashed relation, for the size check of broadcasts.
+ROW_BYTES = 64
 
 
 def _side(x: Column, edges: list[int]) -> Column:
@@ -71,13 +71,14 @@ def _add(product: DataFrame, c: DataFrame | None) -> DataFrame:
     return product.unionByName(c.select("i", "j", "c")).groupBy("i", "j").agg(F.sum("c").alias("c"))
 
 
-def _tagged(left: DataFrame, right: DataFrame, old: DataFrame | None, n_rows: int) -> DataFrame:
+def _tagged(left: DataFrame, right: DataFrame, old: DataFrame | None, n_rows: int | None) -> DataFrame:
     """Messages as (part, ci, cj, k, kind, at, x): at is the row or column of the result; an old C of column j goes as an A of the inner index -1 - j.
 
-    left: (ci, cj, k, i, v), right: (ci, cj, k, j, u), old: (ci, cj, i, j, c); n_rows: chunks along a column of chunks. Chunks are dealt to tasks in turn.
+    left: (ci, cj, k, i, v), right: (ci, cj, k, j, u), old: (ci, cj, i, j, c); n_rows: chunks along a column of chunks. Chunks are dealt to tasks in turn; without n_rows
+    ci is a worker, and all its chunks are its own.
     """
     tasks = int(left.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    part = F.pmod(F.col("cj") * n_rows + F.col("ci"), F.lit(tasks)).cast("int").alias("part")
+    part = F.pmod(F.col("ci") if n_rows is None else F.col("cj") * n_rows + F.col("ci"), F.lit(tasks)).cast("int").alias("part")
     whole = lambda name: F.col(name).cast("bigint")
     row = lambda df, kind, k, at, x: df.select(part, "ci", "cj", k.alias("k"), F.lit(kind).alias("kind"), at.alias("at"), F.col(x).alias("x"))
     sent = row(left, "A", whole("k"), whole("i"), "v").unionByName(row(right, "B", whole("k"), whole("j"), "u"))
@@ -109,6 +110,11 @@ def _resident(sent: DataFrame, depth: int = 1) -> DataFrame:
     return done.select("i", "j", "c")
 
 
+def owned(left: DataFrame, right: DataFrame, old: DataFrame | None = None) -> DataFrame:
+    """Product of messages (worker ci, chunk cj): each worker's chunks stay in its task."""
+    return _resident(_tagged(left, right, old, None))
+
+
 def chunked(a: DataFrame, b: DataFrame, cut: Cut, c: DataFrame | None = None, prune: bool = False, depth: int = 1) -> DataFrame:
     """Resident-result product: each chunk gathers its C, A and B rows by one exchange, and sums in place. More chunks than tasks keep all tasks busy."""
     if prune:
@@ -145,10 +151,10 @@ def inner_join(a: DataFrame, b: DataFrame, c: DataFrame | None = None, salt: int
     return _add(met.groupBy("i", "j").agg(F.sum(F.col("v") * F.col("u")).alias("c")), c)
 
 
-def broadcast(a: DataFrame, b: DataFrame, c: DataFrame | None = None, most: int = BROADCAST_BYTES) -> DataFrame:
-    """B everywhere, A partitioned: B is broadcast if its rows, counted, fit the bound, and joined by a shuffle otherwise."""
-    b = F.broadcast(b) if b.limit(most // ROW_BYTES + 1).count() <= most // ROW_BYTES else b
-    return inner_join(a, b, c)
+def broadcast(a: DataFrame, b: DataFrame, c: DataFrame | None = None, most: int = BROADCAST_MEMORY) -> DataFrame:
+    """B everywhere, A partitioned: B, written once, is broadcast if its rows in memory fit the bound, and joined by a shuffle otherwise."""
+    b = Scratch(b.sparkSession, "broadcast").save(b, "b")
+    return inner_join(a, F.broadcast(b) if b.count() * ROW_BYTES <= most else b, c)
 
 
 def shares(total: int, speeds: list[int]) -> list[int]:

@@ -59,34 +59,42 @@ def resident_multiply(a: DataFrame, b: DataFrame, r: int, s: int, g: int, q: int
         rows = rows.unionByName(c.select(part("bi").alias("ci"), part("bj").alias("cj"), F.lit(-1).alias("k"), F.lit(2).alias("kind"), "bi", "bj", "tile"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        chunk, k_now, square, row = None, None, {}, {}
+        # the square as strips of q rows, and which of its tiles there are; the row of B as one wide block, so an A tile is one multiplication
+        chunk, k_now, square, there, row, wide, at = None, None, {}, set(), {}, None, None
+
+        def strip(i: int) -> np.ndarray:
+            if i not in square:
+                square[i] = np.zeros((q, g * q))
+            return square[i]
 
         def flush() -> Iterator[pa.RecordBatch]:
-            keys = sorted(square)
+            keys = sorted(there)
             if keys:
-                yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.int32()), pa.array([k[1] for k in keys], pa.int32()), _tile_array(np.stack([square[k].ravel() for k in keys]))], names=["bi", "bj", "tile"])
+                own = _tile_array(np.stack([square[i][:, j * q : j * q + q].ravel() for i, j in keys]))
+                yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in keys], pa.int32()), pa.array([int(chunk[1]) * g + j for _, j in keys], pa.int32()), own], names=["bi", "bj", "tile"])
 
         for batch in batches:
             ci, cj, k, kind, bi, bj = (batch.column(n).to_numpy() for n in range(6))
             for n, tile in enumerate(batch.column(6)):
                 if (ci[n], cj[n]) != chunk:
                     yield from flush()
-                    chunk, k_now, square, row = (ci[n], cj[n]), None, {}, {}
+                    chunk, k_now, square, there = (ci[n], cj[n]), None, {}, set()
                 if k[n] != k_now:
-                    k_now, row = k[n], {}
+                    k_now, row, wide = k[n], {}, None
                 x = np.asarray(tile.values).reshape(q, q)
+                i, j = int(bi[n]), int(bj[n]) - int(cj[n]) * g
                 if kind[n] == 2:
-                    square[int(bi[n]), int(bj[n])] = square.get((int(bi[n]), int(bj[n])), 0) + x
+                    strip(i)[:, j * q : j * q + q] += x
+                    there.add((i, j))
                 elif kind[n] == 0:
-                    row[int(bj[n])] = row.get(int(bj[n]), 0) + x
-                else:
-                    for j, y in row.items():
-                        at = (int(bi[n]), j)
-                        z = x @ y
-                        if at in square:
-                            square[at] += z
-                        else:
-                            square[at] = z
+                    row[j] = row.get(j, 0) + x
+                elif row:
+                    if wide is None:
+                        cols = sorted(row)
+                        wide = np.concatenate([row[c] for c in cols], axis=1)
+                        at = slice(cols[0] * q, cols[-1] * q + q) if cols[-1] - cols[0] + 1 == len(cols) else np.concatenate([np.arange(c * q, c * q + q) for c in cols])
+                    strip(i)[:, at] += x @ wide
+                    there.update((i, c) for c in row)
         yield from flush()
 
     tasks = int(a.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -138,3 +146,22 @@ def chain_order(dims: list[int]) -> tuple[int, str]:
             j = i + width
             cost[i, j] = min((cost[i, k][0] + cost[k + 1, j][0] + dims[i] * dims[k + 1] * dims[j + 1], f"({cost[i, k][1]}{cost[k + 1, j][1]})") for k in range(i, j))
     return cost[0, n - 1]
+
+
+def retile(tiles: DataFrame, q: int, side: int) -> DataFrame:
+    """The same matrix with tiles of another side; the edge is padded by zeros."""
+    return to_tiles(to_cells(tiles, q).select("row", "col", "val"), side)
+
+
+def block(tiles: DataFrame, rows: tuple[int, int], cols: tuple[int, int]) -> DataFrame:
+    """Tiles of rows [r0, r1) and columns [c0, c1), numbered from 0; the bounds reach the scan as filters."""
+    inside = (F.col("bi") >= rows[0]) & (F.col("bi") < rows[1]) & (F.col("bj") >= cols[0]) & (F.col("bj") < cols[1])
+    return tiles.filter(inside).withColumns({"bi": F.col("bi") - rows[0], "bj": F.col("bj") - cols[0]})
+
+
+def norms(cells: DataFrame) -> DataFrame:
+    """(largest, one, inf, square) of a matrix (row, col, val): greatest absolute value, greatest column and row sum of absolute values, sum of squares."""
+    size = F.abs("val")
+    sums = lambda key: cells.groupBy(key).agg(F.sum(size).alias("s")).agg(F.max("s"))
+    one, inf = sums("col").toDF("one"), sums("row").toDF("inf")
+    return cells.agg(F.max(size).alias("largest"), F.sum(F.col("val") * F.col("val")).alias("square")).crossJoin(one).crossJoin(inf).select("largest", "one", "inf", "square")  # one row each

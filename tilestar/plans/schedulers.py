@@ -108,7 +108,7 @@ class Run:
 
 def _cyclic(run: Run, p: int) -> None:
     """Rounds of P chunks in one chunk row: P squares, P panels for each inner step, P returns."""
-    g = run.workers[0].g
+    g = min(x.g for x in run.workers)
     n_cols = -(-run.s // g)
     for first in range(0, n_cols, p):
         columns = range(first, min(n_cols, first + p))
@@ -154,8 +154,9 @@ def play(policy: str, r: int, t: int, s: int, platform: list[tuple[int, int, int
         raise ValueError("no worker has the buffers of a 1 x 1 chunk")
     run = Run(r, t, s, workers, layout, overlap, two_port)
     if policy.startswith("rr"):
-        x = workers[0]
-        p = min(len(workers), -(-x.g * x.w // (2 * x.c))) if policy == "rr_selected" else len(workers)
+        # the closed form on the workers' mean times; with equal workers it is the closed form itself
+        g, c, w = min(x.g for x in workers), sum(x.c for x in workers), sum(x.w for x in workers)
+        p = min(len(workers), -(-g * w // (2 * c))) if policy == "rr_selected" else len(workers)
         _cyclic(run, p)
     else:
         _greedy(run, policy == "minmin_overlap")
@@ -194,8 +195,8 @@ def scenarios(spark, shapes, policies=tuple(POLICIES), p: int = 8, c: int = 100,
     return spark.createDataFrame(rows, "scenario_id int, policy string, r bigint, t bigint, s bigint, port string, platform array<struct<c:bigint,w:bigint,m:bigint>>")
 
 
-def on_platforms(platform: DataFrame, r: int, t: int, s: int, policies=("minmin_overlap", "demand_overlap", "demand_plain", "third_demand", "fifth_demand")) -> DataFrame:
-    """Every policy on every platform of a table."""
+def on_platforms(platform: DataFrame, r: int, t: int, s: int, policies=tuple(POLICIES)) -> DataFrame:
+    """Every policy on every platform of a table. Round robin takes the workers in order of id, and all of them the chunk of the smallest."""
     own = platform.filter("m >= 12").groupBy("platform_id").agg(F.sort_array(F.collect_list(F.struct("worker_id", "c", "w", "m"))).alias("ws"))
     each = F.explode(F.array(*(F.lit(p) for p in policies))).alias("policy")
     fixed = [F.lit(x).cast("bigint").alias(n) for n, x in (("r", r), ("t", t), ("s", s))]
@@ -203,13 +204,36 @@ def on_platforms(platform: DataFrame, r: int, t: int, s: int, policies=("minmin_
     return own.select(F.col("platform_id").alias("scenario_id"), each, *fixed, F.lit("one_port").alias("port"), shape)
 
 
-def violations(traced: DataFrame) -> DataFrame:
-    """(rule, n) of a one-port trace: the port used twice at once, work before its panel has come, a return before the work is done. Expected 0 each."""
+#: What holds in every trace: the port carries one message at a time; work waits for its panel; a return waits for the work; a worker holds no more than its memory;
+#: every (chunk, inner step) comes once, and the chunks make up the result.
+RULES = ("port", "early_work", "early_return", "memory", "once", "whole")
+
+
+def violations(scenarios: DataFrame) -> DataFrame:
+    """(rule, n): violations of RULES in the traces of one-port scenarios. Expected 0 each."""
     from pyspark.sql import Window
 
+    traced = simulate(scenarios, trace=True)
     port = Window.partitionBy("scenario_id", "policy").orderBy("step")
     own = Window.partitionBy("scenario_id", "policy", "worker_id").orderBy("step")
     x = traced.withColumns({"free": F.lag("finish").over(port), "last": F.lag("work_finish").over(own)})
     bad = {"port": F.col("start") < F.col("free"), "early_work": F.col("work_start") < F.col("finish"), "early_return": (F.col("kind") == "R") & (F.col("start") < F.col("last"))}
-    counts = x.agg(*(F.sum(F.when(cond, 1).otherwise(0)).alias(k) for k, cond in bad.items()))
-    return counts.select(F.expr("stack(3, " + ", ".join(f"'{k}', {k}" for k in bad) + ") as (rule, n)"))
+    timing = x.agg(*(F.sum(F.when(cond, 1).otherwise(0)).cast("bigint").alias(k) for k, cond in bad.items()))
+    # tiles come where a message starts to arrive, and go when a panel is worked off or a square is back
+    kind = F.col("kind")
+    come = traced.filter("kind <> 'R'").select("scenario_id", "policy", "worker_id", F.col("start").alias("at"), F.lit(1).alias("order"), F.col("tiles").alias("more"))
+    go = traced.filter("kind <> 'C'").select(
+        "scenario_id", "policy", "worker_id", F.when(kind == "P", F.col("work_finish")).otherwise(F.col("finish")).alias("at"), F.lit(0).alias("order"), (-F.col("tiles")).alias("more")
+    )
+    held = come.unionByName(go).withColumn("held", F.sum("more").over(Window.partitionBy("scenario_id", "policy", "worker_id").orderBy("at", "order").rowsBetween(Window.unboundedPreceding, 0)))
+    has = scenarios.select("scenario_id", "policy", F.posexplode("platform").alias("n", "p")).select("scenario_id", "policy", (F.col("n") + 1).alias("worker_id"), "p.m")
+    memory = held.join(has, ["scenario_id", "policy", "worker_id"]).agg(F.sum(F.when(F.col("held") > F.col("m"), 1).otherwise(0)).cast("bigint").alias("memory"))
+    steps = traced.filter("kind = 'P'").groupBy("scenario_id", "policy", "ci", "cj", "k").count()
+    once = steps.agg(F.sum(F.when(F.col("count") > 1, 1).otherwise(0)).cast("bigint").alias("once"))
+    cells = traced.filter("kind = 'R'").groupBy("scenario_id", "policy").agg(F.sum("tiles").alias("returned"))
+    updates = simulate(scenarios).select("scenario_id", "policy", "updates")
+    shape = scenarios.select("scenario_id", "policy", (F.col("r") * F.col("s")).alias("cells"), (F.col("r") * F.col("t") * F.col("s")).alias("all"))
+    whole = shape.join(cells, ["scenario_id", "policy"], "left").join(updates, ["scenario_id", "policy"], "left")
+    whole = whole.agg(F.sum(F.when((F.col("returned") == F.col("cells")) & (F.col("updates") == F.col("all")), 0).otherwise(1)).cast("bigint").alias("whole"))
+    one = timing.crossJoin(memory).crossJoin(once).crossJoin(whole)  # one row each
+    return one.select(F.expr(f"stack({len(RULES)}, " + ", ".join(f"'{k}', {k}" for k in RULES) + ") as (rule, n)"))

@@ -1,6 +1,6 @@
 """Which of unlike workers gets the next message: steady-state rates, and greedy ratio selection.
 
-A platform is one row: workers sorted by id, as an array of (worker_id, c, w, g). Selection is sequential, so it is a fold inside the row, and platforms
+A platform is one row: workers sorted by id, as an array of (worker_id, c, w, g, send, gain, square): times of a message and of a C square, updates that a message brings. Selection is sequential, so it is a fold inside the row, and platforms
 run in parallel. Ratios are compared by cross-multiplication of whole numbers, ties go to the worker that comes first.
 """
 
@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-WORKER = "array<struct<worker_id:int,c:bigint,w:bigint,g:bigint>>"
+WORKER = "array<struct<worker_id:int,c:bigint,w:bigint,g:bigint,send:bigint,gain:bigint,square:bigint>>"
 
 
 def bandwidth_first(platform: DataFrame, fractional: bool = True) -> DataFrame:
@@ -58,10 +58,11 @@ def _argmax(n: Column, ratio) -> Column:
     return F.aggregate(F.sequence(F.lit(0), n - 1), zero, better)["k"]
 
 
-def fold(platforms: DataFrame, steps: Column | int, rule: str, lead: str = "workers") -> DataFrame:
+def fold(platforms: DataFrame, steps: Column | int, rule: str, lead: str = "workers", charge_c: int | None = None) -> DataFrame:
     """platforms with an array `workers`: adds picks (worker ids), ends and work after each step.
 
     rule: global, local; global2, local2 commit the best pair of messages; global2_receding, local2_receding commit its first.
+    charge_c: inner steps of a chunk, if its C square is to be charged: the first of so many messages to a worker brings it, and takes back the one before.
     """
     local, pair, recede = rule.startswith("local"), "2" in rule, rule.endswith("receding")
     ws = F.col(lead)
@@ -70,20 +71,28 @@ def fold(platforms: DataFrame, steps: Column | int, rule: str, lead: str = "work
         F.lit(0).cast("bigint").alias("work"),
         F.lit(0).cast("bigint").alias("comm"),
         F.transform(ws, lambda w: F.lit(0).cast("bigint")).alias("ready"),
+        F.transform(ws, lambda w: F.lit(0).cast("bigint")).alias("sent"),
         F.array().cast("array<int>").alias("picks"),
         F.array().cast("array<bigint>").alias("ends"),
         F.array().cast("array<bigint>").alias("works"),
     )
-    arrive = lambda comm, ready, w: F.greatest(comm + 2 * w["g"] * w["c"], ready)
+
+    def cost(w: Column, sent: Column) -> Column:
+        if charge_c is None:
+            return w["send"]
+        return w["send"] + F.when(sent % charge_c == 0, F.when(sent == 0, w["square"]).otherwise(2 * w["square"])).otherwise(0)
+
+    arrive = lambda comm, ready, w, sent: F.greatest(comm + cost(w, sent), ready)
 
     def send(s: Column, k: Column) -> Column:
         w = ws[k]
-        end = arrive(s["comm"], s["ready"][k], w)
-        work = s["work"] + w["g"] * w["g"]
+        end = arrive(s["comm"], s["ready"][k], w, s["sent"][k])
+        work = s["work"] + w["gain"]
         return F.struct(
             long_(work).alias("work"),
             long_(end).alias("comm"),
-            F.transform(s["ready"], lambda r, i: F.when(i == k, end + w["g"] * w["g"] * w["w"]).otherwise(r)).alias("ready"),
+            F.transform(s["ready"], lambda r, i: F.when(i == k, end + w["gain"] * w["w"]).otherwise(r)).alias("ready"),
+            F.transform(s["sent"], lambda n, i: F.when(i == k, n + 1).otherwise(n)).alias("sent"),
             F.concat(s["picks"], F.array(w["worker_id"])).alias("picks"),
             F.concat(s["ends"], F.array(long_(end))).alias("ends"),
             F.concat(s["works"], F.array(long_(work))).alias("works"),
@@ -93,8 +102,8 @@ def fold(platforms: DataFrame, steps: Column | int, rule: str, lead: str = "work
         def ratio(k: Column):
             w = ws[k]
             if local:
-                return w["g"] * w["g"], F.greatest(2 * w["g"] * w["c"], s["ready"][k] - s["comm"])
-            return s["work"] + w["g"] * w["g"], arrive(s["comm"], s["ready"][k], w)
+                return w["gain"], F.greatest(cost(w, s["sent"][k]), s["ready"][k] - s["comm"])
+            return s["work"] + w["gain"], arrive(s["comm"], s["ready"][k], w, s["sent"][k])
 
         return ratio
 
@@ -103,10 +112,10 @@ def fold(platforms: DataFrame, steps: Column | int, rule: str, lead: str = "work
             p = F.size(ws)
             i, j = F.floor(n / p).cast("int"), (n % p).cast("int")
             a, b = ws[i], ws[j]
-            first = arrive(s["comm"], s["ready"][i], a)
-            ready = F.when(i == j, first + a["g"] * a["g"] * a["w"]).otherwise(s["ready"][j])
-            second = arrive(first, ready, b)
-            gain = a["g"] * a["g"] + b["g"] * b["g"]
+            first = arrive(s["comm"], s["ready"][i], a, s["sent"][i])
+            ready = F.when(i == j, first + a["gain"] * a["w"]).otherwise(s["ready"][j])
+            second = arrive(first, ready, b, s["sent"][j] + F.when(i == j, 1).otherwise(0))
+            gain = a["gain"] + b["gain"]
             return (gain, second - s["comm"]) if local else (s["work"] + gain, second)
 
         return ratio
@@ -126,9 +135,20 @@ def fold(platforms: DataFrame, steps: Column | int, rule: str, lead: str = "work
 
 
 def as_rows(platform: DataFrame) -> DataFrame:
-    """(platform_id, workers): a row per platform, workers that have a side, by id."""
-    worker = F.struct("worker_id", "c", "w", "g")
-    return platform.filter("g > 0").groupBy("platform_id").agg(F.sort_array(F.collect_list(worker)).cast(WORKER).alias("workers"))
+    """(platform_id, workers): a row per platform, workers that have a side, by id. Columns send, gain and square, where there are any, replace those of the product."""
+    g, c = F.col("g"), F.col("c")
+    usual = {"send": 2 * g * c, "gain": g * g, "square": g * g * c}
+    own = platform.filter("g > 0").withColumns({k: v for k, v in usual.items() if k not in platform.columns})
+    worker = F.struct("worker_id", "c", "w", "g", "send", "gain", "square")
+    return own.groupBy("platform_id").agg(F.sort_array(F.collect_list(worker)).cast(WORKER).alias("workers"))
+
+
+def until_owned(r: int, t: int, s: int) -> Column:
+    """Steps after which, whoever they went to, workers own s columns: no worker needs more messages a column, and each may have a block under way."""
+    per = lambda w: t * F.ceil(F.lit(r) / w["g"])
+    ws = F.col("workers")
+    slowest = F.array_max(F.transform(ws, lambda w: F.ceil(per(w) * (s + w["g"]) / w["g"])))
+    return (slowest + F.aggregate(ws, F.lit(0).cast("bigint"), lambda n, w: n + per(w))).cast("int")
 
 
 def trace(folded: DataFrame) -> DataFrame:
@@ -160,18 +180,22 @@ def preallocate(picks: DataFrame, platform: DataFrame, r: int, t: int, s: int) -
     return used.groupBy("platform_id", "worker_id").agg(F.sum("gain").cast("bigint").alias("columns"), F.count("*").alias("picks"))
 
 
-def selection_sql(platform_sql: str, steps: int, local: bool = False) -> str:
-    """The greedy as a recursive query: DuckDB."""
-    ratio = "(g * g)::DOUBLE / greatest(2 * g * c, rd - comm)" if local else "(work + g * g)::DOUBLE / greatest(comm + 2 * g * c, rd)"
+def selection_sql(platform_sql: str, steps: int, local: bool = False, charge_c: int | None = None, message: tuple[str, str] = ("2 * g * c", "g * g")) -> str:
+    """The greedy as a recursive query: DuckDB. message: its time and its updates, over the platform's columns."""
+    cost = "num.send"
+    if charge_c is not None:
+        cost += f" + CASE WHEN st.sent[num.k] % {charge_c} = 0 THEN num.g * num.g * num.c * CASE WHEN st.sent[num.k] = 0 THEN 1 ELSE 2 END ELSE 0 END"
+    ratio = "gain::DOUBLE / greatest(cost, rd - comm)" if local else "(work + gain)::DOUBLE / greatest(comm + cost, rd)"
     return f"""
 WITH RECURSIVE pf AS ({platform_sql}),
-num AS (SELECT platform_id, worker_id, c, w, g, row_number() OVER (PARTITION BY platform_id ORDER BY worker_id) AS k FROM pf WHERE g > 0),
+num AS (SELECT platform_id, worker_id, c, w, g, {message[0]} AS send, {message[1]} AS gain, row_number() OVER (PARTITION BY platform_id ORDER BY worker_id) AS k FROM pf WHERE g > 0),
 st AS (
-  SELECT platform_id, 0 AS step, 0::BIGINT AS work, 0::BIGINT AS comm, list(0::BIGINT) AS ready, 0 AS worker_id FROM num GROUP BY platform_id
+  SELECT platform_id, 0 AS step, 0::BIGINT AS work, 0::BIGINT AS comm, list(0::BIGINT) AS ready, list(0::BIGINT) AS sent, 0 AS worker_id FROM num GROUP BY platform_id
   UNION ALL
-  SELECT st.platform_id, st.step + 1, st.work + x.g * x.g, x.fin, list_transform(st.ready, lambda v, i: CASE WHEN i = x.k THEN x.fin + x.g * x.g * x.w ELSE v END), x.worker_id
-  FROM st, LATERAL (SELECT n.*, greatest(st.comm + 2 * n.g * n.c, st.ready[n.k]) AS fin
-                    FROM (SELECT num.*, st.ready[num.k] AS rd, st.work AS work, st.comm AS comm FROM num WHERE num.platform_id = st.platform_id) n
+  SELECT st.platform_id, st.step + 1, st.work + x.gain, x.fin, list_transform(st.ready, lambda v, i: CASE WHEN i = x.k THEN x.fin + x.gain * x.w ELSE v END),
+         list_transform(st.sent, lambda v, i: CASE WHEN i = x.k THEN v + 1 ELSE v END), x.worker_id
+  FROM st, LATERAL (SELECT n.*, greatest(st.comm + n.cost, st.ready[n.k]) AS fin
+                    FROM (SELECT num.*, {cost} AS cost, st.ready[num.k] AS rd, st.work AS work, st.comm AS comm FROM num WHERE num.platform_id = st.platform_id) n
                     ORDER BY {ratio} DESC, n.k LIMIT 1) x
   WHERE st.step < {steps})
 SELECT platform_id, step, worker_id, comm AS finish, work FROM st WHERE step > 0

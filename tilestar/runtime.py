@@ -6,6 +6,7 @@ import atexit
 import functools
 import os
 import pickle
+import re
 import shutil
 import tempfile
 import uuid
@@ -15,9 +16,12 @@ from typing import Any
 from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, BinaryType, DataType, MapType, StringType, StructType
 
-#: A side is broadcast only if its written size is at most this many bytes; beyond it, joins shuffle.
-BROADCAST_BYTES = 24 << 20
+#: A side is broadcast only if it is written in at most so many bytes, and takes at most so many in memory; beyond that, joins shuffle.
+BROADCAST_BYTES, BROADCAST_MEMORY = 24 << 20, 128 << 20
+#: Bytes of a row and of a cell in memory, beside text, bytes and the elements of arrays.
+ROW_BYTES, CELL_BYTES = 32, 8
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -39,9 +43,12 @@ def shared_dir(spark: SparkSession) -> str:
     root = spark.conf.get("spark.checkpoint.dir", None)
     if root:
         return root.rstrip("/")
-    if spark.sparkContext.master.startswith("local"):
+    if re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
         return _own_dir()
-    return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_scratch"
+    house = spark.conf.get("spark.sql.warehouse.dir").rstrip("/")
+    if house.startswith(("file:", "/")):
+        raise ValueError("machines do not share a local warehouse folder: set spark.checkpoint.dir to a folder that all of them reach")
+    return f"{house}/_scratch"
 
 
 class Scratch:
@@ -69,8 +76,27 @@ class Scratch:
             fs.delete(path, True)
 
     def small(self, df: DataFrame, name: str) -> DataFrame:
-        """df, read from table `name`, marked for broadcast if its written size is within the bound."""
-        return F.broadcast(df) if self.size(name) <= BROADCAST_BYTES else df
+        """df, read from table `name`, marked for broadcast if it is small, as written and in memory."""
+        return F.broadcast(df) if self.size(name) <= BROADCAST_BYTES and in_memory(df) <= BROADCAST_MEMORY else df
+
+
+def _cell(value: Column, kind: DataType) -> Column:
+    """Bytes of a value in a row of Spark's own format."""
+    if isinstance(kind, (StringType, BinaryType)):
+        return F.lit(CELL_BYTES) + F.coalesce(F.octet_length(value), F.lit(0))
+    if isinstance(kind, StructType):
+        return functools.reduce(lambda a, f: a + _cell(value[f.name], f.dataType), kind.fields, F.lit(CELL_BYTES))
+    if isinstance(kind, ArrayType):
+        return F.aggregate(F.coalesce(value, F.array().cast(kind)), F.lit(3 * CELL_BYTES).cast("bigint"), lambda n, x: n + _cell(x, kind.elementType).cast("bigint"))
+    if isinstance(kind, MapType):
+        return _cell(F.map_keys(value), ArrayType(kind.keyType)) + _cell(F.map_values(value), ArrayType(kind.valueType))
+    return F.lit(CELL_BYTES)
+
+
+def in_memory(df: DataFrame) -> int:
+    """Bytes of df's rows in memory, counted in one pass over a written table that is small on disk."""
+    each = functools.reduce(lambda a, f: a + _cell(F.col(f"`{f.name}`"), f.dataType), df.schema.fields, F.lit(ROW_BYTES))
+    return df.agg(F.sum(each.cast("bigint"))).first()[0] or 0
 
 
 def let(value: Column, body: Callable[[Column], Column]) -> Column:

@@ -8,9 +8,11 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from tilestar.runtime import Scratch, table
 
@@ -31,19 +33,69 @@ def stream(spark: SparkSession, sf: str) -> DataFrame:
     return _timed(spark.readStream.schema(schema).option("maxFilesPerTrigger", 1000).parquet(f"{sf}/events.parque[t]"))
 
 
-def finish(df: DataFrame, mode: str = "append") -> DataFrame:
-    """Runs a streaming frame over all that is available into a table in scratch storage (append) or through foreachBatch (complete, update)."""
+def replay(spark: SparkSession, sf: str, files: int = 3, late_every: int = 0) -> DataFrame:
+    """The events as a stream of files in order of time, one file a micro-batch; every late_every-th event comes two files late.
+
+    Two, since a micro-batch drops what was closed when the one before it began: what is one file late still counts.
+    """
+    scratch = Scratch(spark, "replay")
+    events = batch(spark, sf)
+    low, high = events.agg(F.min(F.unix_micros("ts")), F.max(F.unix_micros("ts"))).first()
+    part = F.floor((F.unix_micros("ts") - F.lit(low)) * files / F.lit(high - low + 1)).cast("int") if low is not None else F.lit(0)
+    if late_every:
+        part = F.least(F.lit(files - 1), part + F.when(F.col("event_id") % late_every == 0, 2).otherwise(0))
+    for n in range(files):  # one after the other: the source reads them in order of their times
+        events.filter(part == n).coalesce(1).write.parquet(f"{scratch.base}/in/{n}")
+    return spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{scratch.base}/in/*")
+
+
+def finish(df: DataFrame, mode: str = "append", keys: tuple[str, ...] = ()) -> DataFrame:
+    """Runs a streaming frame over all that is available into a table in scratch storage.
+
+    append: the table. complete: the rows of the last micro-batch. update: of each key the row of the last micro-batch that has it. Every micro-batch writes a folder of
+    its own and may do so again, so a restart repeats nothing.
+    """
     spark = df.sparkSession
     scratch = Scratch(spark, "stream")
-    check = f"{scratch.base}/checkpoint"
     out = f"{scratch.base}/out"
-    writer = df.writeStream.outputMode(mode).option("checkpointLocation", check).trigger(availableNow=True)
+    writer = df.writeStream.outputMode(mode).option("checkpointLocation", f"{scratch.base}/checkpoint").trigger(availableNow=True)
     if mode == "append":
         query = writer.format("parquet").option("path", out).start()
     else:
-        query = writer.foreachBatch(lambda rows, n: rows.write.mode("overwrite" if mode == "complete" else "append").parquet(out)).start()
+        query = writer.foreachBatch(lambda rows, n: rows.write.mode("overwrite").parquet(f"{out}/batch={n}")).start()
     query.awaitTermination()
-    return spark.read.schema(df.schema).parquet(out)
+    if mode == "append":
+        return spark.read.schema(df.schema).parquet(out)
+    path, fs = scratch._fs("out")
+    if not fs.exists(path):
+        return spark.createDataFrame([], df.schema)
+    every = spark.read.schema(StructType([*df.schema.fields, StructField("batch", LongType())])).option("basePath", out).parquet(out)
+    if mode == "complete":
+        return every.filter(F.col("batch") == every.agg(F.max("batch")).first()[0]).drop("batch")
+    rest = [c for c in df.columns if c not in keys]
+    last = every.groupBy(*keys).agg(F.max_by(F.struct(*rest), F.col("batch")).alias("last"))
+    return last.select(*keys, *(F.col(f"last.{c}") for c in rest)).select(*df.columns)
+
+
+def accumulated(events: DataFrame, g: int = 8, watermark: str = "1 hour") -> DataFrame:
+    """(i, j, c): C += A_k B_k for each panel (hour) that the watermark closes, merged into the table of C micro-batch by micro-batch."""
+    spark = events.sparkSession
+    scratch = Scratch(spark, "accumulated")
+    empty = spark.createDataFrame([], "i bigint, j string, c bigint")
+
+    def latest(before: int) -> DataFrame:
+        path, fs = scratch._fs("")
+        done = [int(x.getPath().getName()[1:]) for x in fs.listStatus(path) if x.getPath().getName().startswith("c")] if fs.exists(path) else []
+        done = [n for n in done if n < before]
+        return spark.read.schema(empty.schema).parquet(f"{scratch.base}/c{max(done)}") if done else empty
+
+    def merge(rows: DataFrame, n: int) -> None:
+        both = latest(n).unionByName(product_of_panels(rows))
+        both.groupBy("i", "j").agg(F.sum("c").alias("c")).write.mode("overwrite").parquet(f"{scratch.base}/c{n}")
+
+    stream = outer_products(events, g, watermark).writeStream.outputMode("append").option("checkpointLocation", f"{scratch.base}/_checkpoint")
+    stream.trigger(availableNow=True).foreachBatch(merge).start().awaitTermination()
+    return latest(1 << 62)
 
 
 def outer_products(events: DataFrame, g: int = 8, watermark: str = "1 hour") -> DataFrame:
@@ -51,10 +103,9 @@ def outer_products(events: DataFrame, g: int = 8, watermark: str = "1 hour") ->
 
     Rows (hour, i, event_type, n_a, n_b) come from two counts of one hour's events; the product is additive over hours.
     """
-    hour = F.window("ts", "1 hour")["start"].alias("hour")
     one = events.withWatermark("ts", watermark) if events.isStreaming else events
-    cells = one.groupBy(hour, (F.col("user_id") % g).alias("i"), "event_type").agg(F.count("*").alias("n"))
-    return cells
+    cells = one.groupBy(F.window("ts", "1 hour").alias("w"), (F.col("user_id") % g).alias("i"), "event_type").agg(F.count("*").alias("n"))
+    return cells.select(F.col("w.start").alias("hour"), "i", "event_type", "n")
 
 
 def product_of_panels(cells: DataFrame) -> DataFrame:
@@ -64,6 +115,83 @@ def product_of_panels(cells: DataFrame) -> DataFrame:
     return a.join(b, "hour").groupBy("i", "j").agg(F.sum(F.col("a") * F.col("b")).cast("bigint").alias("c"))
 
 
+#: The kinds of events, which are the columns of C.
+KINDS = ("click", "error", "purchase", "signup", "view")
+
+
+def resident_tiles(events: DataFrame, r: int = 8, g: int = 4, kinds: tuple[str, ...] = KINDS, watermark: str = "1 hour") -> DataFrame:
+    """(i, j, c), a row each time a chunk changes: C of r rows (users mod r) and a column a kind, in chunks of g x g that are kept as state.
+
+    A's part of an event goes to every chunk column, B's to every chunk row. A chunk holds its C and the panels (hours) that the watermark has not closed; by linearity
+    a panel may go on growing: C += dA B + A dB + dA dB. Rows of closed panels are late and dropped.
+    """
+    rows, cols, hour_ms = -(-r // g), -(-len(kinds) // g), 3_600_000
+    timed = events.withWatermark("ts", watermark)
+    hour = (F.floor(F.unix_millis("ts") / hour_ms) * hour_ms).alias("hour")
+    i, j = F.col("user_id") % r, F.array_position(F.array(*map(F.lit, kinds)), F.col("event_type")) - 1
+    messages = F.concat(
+        F.transform(F.sequence(F.lit(0), F.lit(cols - 1)), lambda x: F.struct(F.floor(i / g).cast("int").alias("ci"), x.alias("cj"), F.lit(0).alias("kind"), (i % g).cast("int").alias("at"))),
+        F.transform(F.sequence(F.lit(0), F.lit(rows - 1)), lambda x: F.struct(x.alias("ci"), F.floor(j / g).cast("int").alias("cj"), F.lit(1).alias("kind"), (j % g).cast("int").alias("at"))),
+    )
+    sent = timed.filter(j >= 0).select("ts", hour, F.explode(messages).alias("x")).select("ts", "hour", "x.*")
+
+    def add(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        c, open_panels = np.zeros((g, g)), {}
+        if state.exists:
+            flat, hours, a, b = state.get
+            c = np.array(flat).reshape(g, g)
+            open_panels = {h: (np.array(a[k * g : k * g + g]), np.array(b[k * g : k * g + g])) for k, h in enumerate(hours)}
+        closed = state.getCurrentWatermarkMs()
+        for f in frames:
+            f = f[f["hour"] + hour_ms > closed]
+            for h, part in f.groupby("hour"):
+                more = [np.bincount(part["at"][part["kind"] == kind], minlength=g).astype(float) for kind in (0, 1)]
+                a, b = open_panels.get(h, (np.zeros(g), np.zeros(g)))
+                c += np.outer(more[0], b) + np.outer(a, more[1]) + np.outer(*more)
+                open_panels[h] = a + more[0], b + more[1]
+        kept = sorted((h, *v) for h, v in open_panels.items() if h + hour_ms > closed)
+        state.update((c.ravel().tolist(), [int(h) for h, _, _ in kept], [float(x) for _, a, _ in kept for x in a], [float(x) for _, _, b in kept for x in b]))
+        at = np.argwhere(c > 0)
+        yield pd.DataFrame({"i": key[0] * g + at[:, 0], "j": [kinds[key[1] * g + x] for x in at[:, 1]], "c": c[at[:, 0], at[:, 1]].astype("int64")})
+
+    return sent.groupBy("ci", "cj").applyInPandasWithState(add, "i bigint, j string, c bigint", "c array<double>, hours array<bigint>, a array<double>, b array<double>", "update", "NoTimeout")
+
+
+def backlog(events: DataFrame, capacity: int, most: int, pools: int = 4, watermark: str = "1 hour") -> DataFrame:
+    """(pool, hour, n, workers, waiting): demand-driven enrolment. Each hour a pool enrols a worker per started `capacity` of what waits and arrives, `most` at most; the rest waits.
+
+    State: what waited after the last closed hour, and the counts of the open ones. A row is given again when an earlier hour of its pool changes.
+    """
+    hour_ms = 3_600_000
+    hour = (F.floor(F.unix_millis("ts") / hour_ms) * hour_ms).cast("bigint").alias("hour")
+    rows = events.withWatermark("ts", watermark).select("ts", hour, (F.col("user_id") % pools).alias("pool"))
+
+    def serve(key, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        last, waiting, hours, counts = state.get if state.exists else (-1, 0, [], [])
+        closed, n = state.getCurrentWatermarkMs(), dict(zip(hours, counts, strict=True))
+        for f in frames:
+            for h, k in f[f["hour"] + hour_ms > closed]["hour"].value_counts().items():
+                n[int(h)] = n.get(int(h), 0) + int(k)
+        if not n:
+            return
+        out, done = [], (last, waiting)
+        first = last + hour_ms if last >= 0 else min(n)
+        for h in range(first, max(n) + 1, hour_ms):
+            todo = waiting + n.get(h, 0)
+            workers = min(most, -(-todo // capacity))
+            waiting = todo - min(todo, workers * capacity)
+            out.append((key[0], h, n.get(h, 0), workers, waiting))
+            if h + hour_ms <= closed:
+                done = (h, waiting)
+        still = sorted((h, k) for h, k in n.items() if h > done[0])
+        state.update((int(done[0]), int(done[1]), [h for h, _ in still], [k for _, k in still]))
+        yield pd.DataFrame(out, columns=["pool", "hour", "n", "workers", "waiting"])
+
+    return rows.groupBy("pool").applyInPandasWithState(
+        serve, "pool bigint, hour bigint, n bigint, workers bigint, waiting bigint", "last bigint, waiting bigint, hours array<bigint>, counts array<bigint>", "update", "NoTimeout"
+    )
+
+
 def resident_state(events: DataFrame, g: int = 8) -> DataFrame:
     """(i, n, total): running sums per row of C kept as state; the last row of a key is its sum."""
 
@@ -122,7 +250,7 @@ def late_panels(events: DataFrame, cut: str) -> DataFrame:
 
 
 def demand(events: DataFrame, capacity: int = 40) -> DataFrame:
-    """Arrivals per hour against a capacity: workers that the backlog would enrol, one per started `capacity`. (hour, n, workers)."""
+    """Arrivals per hour against a capacity: workers that they need, one per started `capacity`, nothing left waiting (see `backlog`). (hour, n, workers)."""
     hourly = events.groupBy(F.date_trunc("hour", "ts").alias("hour")).agg(F.count("*").alias("n"))
     return hourly.withColumn("workers", F.ceil(F.col("n") / capacity).cast("bigint"))
 

@@ -316,21 +316,25 @@ SELECT c, w, r, s, max(last) FILTER (fresh > 0)::BIGINT AS makespan FROM u GROUP
 ORACLES["buffer_demand_t1"] = """WITH x AS (SELECT * FROM (VALUES (1, 1, 2, 2), (2, 20, 40, 2)) t(worker_id, c, w, g)), y AS (SELECT *, max(2 * c * g) OVER () AS wait FROM x),
 z AS (SELECT *, 2 * g * ceil(wait / (w * g * g)) + g * g + 2 * g AS need, g * g + 4 * g AS m FROM y)
 SELECT 0 AS platform_id, worker_id, m::BIGINT AS m, g::BIGINT AS g, wait::BIGINT AS wait, need::BIGINT AS need, need <= m AS fits FROM z"""
-ORACLES["lu_plan_regions"] = f"""WITH o AS (SELECT * FROM ({_REGIONS}) WHERE g > 0), top AS (SELECT platform_id, least(max(g), 60) AS top FROM o GROUP BY 1),
-s AS (SELECT platform_id, n AS side FROM top, range(1, 61) t(n) WHERE n <= top AND 60 % n = 0),
-x AS (SELECT o.platform_id, side::DOUBLE AS h, o.g::DOUBLE AS gi, c::DOUBLE AS c, w::DOUBLE AS w, 60.0::DOUBLE / side AS n FROM s JOIN o ON o.platform_id = s.platform_id),
-y AS (SELECT *, CASE WHEN gi >= h THEN h / 3 WHEN 2 * gi <= h THEN gi / 3 ELSE gi * gi / (h + 2 * gi * gi / h) END AS quality,
-  (2 * h * h * n + 4 * h * h * n * (n - 1) / 2) * c + (h * h * h * n + h * h * h * n * (n - 1) / 2) * w AS panel FROM x),
-z AS (SELECT platform_id, h, min(panel) + any_value((2.0 * 216000 - 3 * h * 3600 + h * h * 60) / 6) / least(sum(1 / greatest(w, c / quality)), max(quality / c)) AS time FROM y GROUP BY 1, 2)
-SELECT platform_id, min_by(h, round(time, 6) * 1000 + h * 1e-9)::BIGINT AS g, round(min(time), 3)::DOUBLE AS time FROM z GROUP BY 1"""
+ORACLES["lu_plan_regions"] = lu.plan_sql(_REGIONS, 60)
 
 _COUNTS = " UNION ALL ".join(
     f"SELECT '{n}' AS shape, {r}::BIGINT AS r, {t}::BIGINT AS t, {s}::BIGINT AS s, (SELECT count(*) FROM ({matrices.a_sql(r, t)})) AS a, (SELECT count(*) FROM ({matrices.b_sql(t, s)})) AS b" for n, (r, t, s) in SHAPES.items()
 )
+# memory 10,485: sides 100, 59 and 45; eight workers in a row, in a grid of 2 x 4, in a square of 2 x 2, and in three columns of 3, 3 and 2 rectangles.
+# The parts of a result of r x s are too large for a worker's memory unless r * s <= 8 * 10485; all of it never fits one worker, nor does B.
 ORACLES["kernel_choice"] = f"""WITH x AS ({_COUNTS}),
 y AS (SELECT shape, unnest([100, 59, 45]) AS g, unnest(['resident', 'third', 'fifth']) AS kernel, r, t, s, a, b FROM x),
+q AS (SELECT shape, r, s, a, b, unnest([0, 3, 6, 1, 4, 7, 2, 5]) AS n, unnest([0, 1, 2, 0, 1, 2, 0, 1]) AS nth, unnest([3, 3, 3, 3, 3, 3, 2, 2]) AS many, unnest([0, 0, 0, 3, 3, 3, 6, 6]) AS past FROM x),
 z AS (SELECT shape, kernel, 2 * r * s + a * ((s + g - 1) // g) + b * ((r + g - 1) // g) AS moved FROM y
-  UNION ALL SELECT shape, 'inner_join', a + b + least(a * b // t, r * s * t) FROM x UNION ALL SELECT shape, 'inner_split', a + b + 8 * r * s FROM x)
+  UNION ALL SELECT shape, 'inner_join', a + b + least(a * b // t, r * s * t) FROM x
+  UNION ALL SELECT shape, 'broadcast', 8 * b + least(a * b // t, r * s * t) FROM x WHERE b <= 10485
+  UNION ALL SELECT shape, 'inner_split', a + b + 8 * r * s FROM x WHERE r * s <= 10485
+  UNION ALL SELECT shape, 'slabs', 2 * r * s + a + 8 * b FROM x WHERE r * s <= 8 * 10485
+  UNION ALL SELECT shape, k, 2 * r * s + 4 * a + 2 * b FROM x, (VALUES ('grid'), ('weighted_grid')) v(k) WHERE r * s <= 8 * 10485
+  UNION ALL SELECT shape, 'shifted', 2 * r * s + 2 * a + 2 * b FROM x WHERE r * s <= 4 * 10485
+  UNION ALL SELECT shape, 'rectangles', 2 * any_value(r) * any_value(s) + sum(a * (r * (nth + 1) // many - r * nth // many) // r + b * (s * (past + many) // 8 - s * past // 8) // s)
+    FROM q WHERE r * s <= 8 * 10485 GROUP BY shape)
 SELECT shape, arg_min(kernel, (moved, kernel)) AS kernel FROM z GROUP BY shape"""
 
 

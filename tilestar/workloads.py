@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from tilestar.functions import bounds, layout
 from tilestar.operators import lu, multiply, tiles
-from tilestar.plans import enrol, onepass, schedulers, select
+from tilestar.plans import enrol, execute, onepass, schedulers, select
 from tilestar.runtime import Scratch, table
 from tilestar.sources import matrices, platforms
 from tilestar.streaming import panels
@@ -289,12 +289,13 @@ def _(spark, sf):
     return spark.range(1).select(F.round(loss, 9).alias("loss"), F.round(bound, 9).alias("bound"))
 
 
-@query("window_balance")
+_BALANCE = 6, 6, 12, 4
+
+
+@query("window_balance", bounds.balance_sql(*_BALANCE, m=21))
 def _(spark, sf):
-    """Kinds of messages in windows of m, over a simulated trace of whole-tile messages."""
-    trace = schedulers.simulate(schedulers.scenarios(spark, ((6, 6, 12, 21),), ("demand_plain",)), trace=True)
-    one = trace.select("scenario_id", "step", F.when(F.col("kind") == "P", "A").otherwise(F.col("kind")).alias("kind"))
-    return bounds.window_balance(one, 21)
+    """Held and sent tiles in every window of m messages of a single-buffer schedule, tile by tile: what is held at its start, and what moves in it."""
+    return bounds.window_balance(bounds.tile_messages(spark, *_BALANCE), 21)
 
 
 @query("kernel_choice")
@@ -401,15 +402,35 @@ def _(spark, sf):
     return select.preallocate(select.trace(select.fold(select.as_rows(platform), 400, "global")), platform, 20, 4, 60)
 
 
+def _planned(spark: SparkSession, rule: str, charge_c: int | None = None) -> DataFrame:
+    """Messages of the three-worker platform for (20, 20, 160), by a selection that runs until all columns are owned."""
+    platform = platforms.literal(spark, platforms.THREE)
+    trace = select.trace(select.fold(select.as_rows(platform), select.until_owned(20, 20, 160), rule, charge_c=charge_c))
+    return execute.messages(trace, platform, 20, 20, 160)
+
+
 @query("execute_x1min", product_sql(20, 20, 160))
 def _(spark, sf):
-    """Selection owns the columns: each worker's share of the columns becomes a part of the cut, and the product runs on it."""
-    platform = platforms.literal(spark, platforms.THREE)
-    owned = select.preallocate(select.trace(select.fold(select.as_rows(platform), 400, "local")), platform, 20, 20, 160)
-    widths = [r[0] for r in owned.orderBy("worker_id").select("columns").collect()]  # one row a worker
-    edges = sorted({e for e in multiply.shares(160, [w for w in widths if w] or [1])})
-    a, b = matrices.left(spark, sf, 20, 20), matrices.right(spark, sf, 20, 160)
-    return multiply.chunked(a, b, multiply.Cut((0,), tuple(edges)))
+    """The product in the order of the selection, on the columns that each worker owns."""
+    return execute.execute(matrices.left(spark, sf, 20, 20), matrices.right(spark, sf, 20, 160), _planned(spark, "local"))
+
+
+@query("execute_charged_x1min", product_sql(20, 20, 160))
+def _(spark, sf):
+    """As execute_x1min, by the global rule with C charged."""
+    return execute.execute(matrices.left(spark, sf, 20, 20), matrices.right(spark, sf, 20, 160), _planned(spark, "global", 20))
+
+
+@query("execute_messages", execute.messages_sql(select.selection_sql(_T2, 2374, True), _T2, 20, 20, 160))
+def _(spark, sf):
+    """Tiles of A, B and C that the execution sends to each worker, and its first and last message."""
+    return _planned(spark, "local").groupBy("worker_id").agg(F.count("*").alias("messages"), F.sum("a").alias("a"), F.sum("b").alias("b"), F.sum("c").alias("c"), F.min("step").alias("first"), F.max("step").alias("last"))
+
+
+for _name, _workers, _sql in (("t1", platforms.FAST_SLOW, _T1), ("t2", platforms.THREE, _T2)):
+    for _rule in ("global", "local"):
+        QUERIES[f"{_rule}_charged_{_name}"] = lambda spark, sf, w=_workers, rule=_rule: select.trace(select.fold(select.as_rows(platforms.literal(spark, w)), 60, rule, charge_c=20))
+        ORACLES[f"{_rule}_charged_{_name}"] = select.selection_sql(_sql, 60, _rule == "local", 20)
 
 
 # ---- one-pass problem ------------------------------------------------------------------------------------------------------------------
@@ -474,7 +495,7 @@ def _(spark, sf):
 
 @query("sched_two_port")
 def _(spark, sf):
-    return schedulers.simulate(schedulers.scenarios(spark, schedulers.SET_ONE[:1], port="two_port"))
+    return schedulers.simulate(schedulers.scenarios(spark, schedulers.SET_ONE, port="two_port"))
 
 
 @query("sched_regions")
@@ -482,9 +503,19 @@ def _(spark, sf):
     return schedulers.simulate(schedulers.on_platforms(platforms.regions(spark, sf), 40, 20, 80))
 
 
-@query("sched_invariants", "SELECT rule, 0::BIGINT AS n FROM (VALUES ('port'), ('early_work'), ('early_return')) t(rule)")
+_RULES = " UNION ALL ".join(f"SELECT '{x}' AS rule, 0::BIGINT AS n" for x in schedulers.RULES)
+
+
+@query("sched_invariants", _RULES)
 def _(spark, sf):
-    return schedulers.violations(schedulers.simulate(schedulers.scenarios(spark, ((30, 20, 47, 140),)), trace=True))
+    """Violations in whole traces of all policies: a ragged toy, and the shapes of all sets at a fifth of their side, with buffers for the same number of chunks."""
+    shapes = tuple((r // 5, t // 5, s // 5, (schedulers.side("overlap", m) // 5 + 2) ** 2 - 4) for r, t, s, m in schedulers.SET_ONE + schedulers.SET_MEMORY)
+    return schedulers.violations(schedulers.scenarios(spark, ((30, 20, 47, 140), *shapes)))
+
+
+@query("sched_invariants_regions", _RULES)
+def _(spark, sf):
+    return schedulers.violations(schedulers.on_platforms(platforms.regions(spark, sf), 40, 20, 80))
 
 
 @query("sched_similar")
@@ -531,27 +562,61 @@ def _(spark, sf):
     return lu.plan(platforms.regions(spark, sf), 60)
 
 
-def _reconstructed(spark: SparkSession, m: DataFrame, n: int, q: int) -> DataFrame:
-    """Product of the factors of m (row, col, val), rounded: must be m again."""
-    blocks = -(-n // q)
+def _whole(spark: SparkSession, m: DataFrame, n: int, q: int) -> DataFrame:
+    """Tiles of m (row, col, val); rows without a cell, and those beyond the edge, get a pivot of one."""
     own = m.select("row").distinct()
-    # rows without a cell, and those beyond the edge, get a pivot of one
-    pad = spark.range(blocks * q).join(own, F.col("id") == F.col("row"), "left_anti").select(F.col("id").alias("row"), F.col("id").alias("col"), F.lit(1.0).alias("val"))
-    whole = tiles.to_tiles(m.select("row", "col", F.col("val").cast("double").alias("val")).unionByName(pad), q)
-    low, up = lu.factor(whole, blocks, q, Scratch(spark, "lu"))
-    back = tiles.to_cells(tiles.resident_multiply(low, up, blocks, blocks, blocks, q), q)
+    pad = spark.range(-(-n // q) * q).join(own, F.col("id") == F.col("row"), "left_anti").select(F.col("id").alias("row"), F.col("id").alias("col"), F.lit(1.0).alias("val"))
+    return tiles.to_tiles(m.select("row", "col", F.col("val").cast("double").alias("val")).unionByName(pad), q)
+
+
+def _reconstructed(spark: SparkSession, m: DataFrame, n: int, q: int, g: int = 1) -> DataFrame:
+    """Product of the factors of m (row, col, val), rounded: must be m again."""
+    blocks, own = -(-n // q), m.select("row").distinct()
+    low, up = lu.factor(_whole(spark, m, n, q), blocks, q, Scratch(spark, "lu"), g)
+    back = tiles.to_cells(tiles.resident_multiply(low, up, blocks, blocks, max(1, -(-blocks // 3)), q), q)
     return back.join(F.broadcast(own), "row", "left_semi").filter(F.col("col") < n).select("row", "col", F.round("val").cast("bigint").alias("val")).filter("val <> 0")
 
 
+def _trade_matrix(spark: SparkSession, sf: str) -> DataFrame:
+    return matrices.trade(spark, sf).select(F.col("i").cast("bigint").alias("row"), F.col("j").cast("bigint").alias("col"), F.col("v").alias("val"))
+
+
 @query("lu_trade_reconstruct", f"SELECT i::BIGINT AS row, j::BIGINT AS col, v AS val FROM ({matrices.TRADE_SQL}) WHERE v <> 0")
 def _(spark, sf):
-    m = matrices.trade(spark, sf).select(F.col("i").cast("bigint").alias("row"), F.col("j").cast("bigint").alias("col"), F.col("v").alias("val"))
-    return _reconstructed(spark, m, 25, 5)
+    return _reconstructed(spark, _trade_matrix(spark, sf), 25, 5)
+
+
+@query("lu_blocked_reconstruct", f"SELECT i::BIGINT AS row, j::BIGINT AS col, v AS val FROM ({matrices.TRADE_SQL}) WHERE v <> 0")
+def _(spark, sf):
+    """Second-level blocks of two tiles, of which the last is ragged."""
+    return _reconstructed(spark, _trade_matrix(spark, sf), 25, 5, 2)
+
+
+@query("lu_trade_residual", "SELECT 0.0::DOUBLE AS largest, 0.0::DOUBLE AS relative")
+def _(spark, sf):
+    """Greatest entry and relative norm of M - L U, to nine digits."""
+    m = _trade_matrix(spark, sf)
+    low, up = lu.factor(_whole(spark, m, 25, 5), 5, 5, Scratch(spark, "lu"))
+    return lu.residual(m, low, up, 5, 5).select(F.abs(F.round("largest", 6)).alias("largest"), F.abs(F.round("relative", 9)).alias("relative"))
+
+
+@query("norms_x1a", f"""WITH a AS ({matrices.a_sql(100, 100)}) SELECT max(abs(v)) AS largest, (SELECT max(s) FROM (SELECT sum(abs(v)) AS s FROM a GROUP BY k))::BIGINT AS one,
+(SELECT max(s) FROM (SELECT sum(abs(v)) AS s FROM a GROUP BY i))::BIGINT AS inf, sum(v * v)::BIGINT AS square FROM a""")
+def _(spark, sf):
+    return tiles.norms(matrices.left(spark, sf, 100, 100).toDF("row", "col", "val"))
+
+
+@query("block_x1a", f"SELECT i - 20 AS row, k - 40 AS col, v AS val FROM ({matrices.a_sql(100, 100)}) WHERE i >= 20 AND i < 60 AND k >= 40 AND k < 60")
+def _(spark, sf):
+    """A block of tiles of side 4, re-tiled to side 10."""
+    whole = tiles.to_tiles(matrices.left(spark, sf, 100, 100).toDF("row", "col", "val"), 4)
+    part = tiles.retile(tiles.block(whole, (5, 15), (10, 15)), 4, 10)
+    return tiles.to_cells(part, 10).select("row", "col", F.round("val").cast("bigint").alias("val")).filter("val <> 0")
 
 
 @query("lu_gram_reconstruct", f"WITH e AS ({matrices.EMBED_SQL}) SELECT * FROM (SELECT x.col AS row, y.col AS col, sum(x.val * y.val)::BIGINT AS val FROM e x JOIN e y ON x.row = y.row GROUP BY 1, 2) WHERE val <> 0")
 def _(spark, sf):
-    return _reconstructed(spark, QUERIES["gram_embeddings"](spark, sf), 64, 16)
+    return _reconstructed(spark, QUERIES["gram_embeddings"](spark, sf), 64, 16, 2)
 
 
 # ---- streaming -------------------------------------------------------------------------------------------------------------------------
@@ -578,7 +643,7 @@ def _(spark, sf):
 
 @query("resident_state", "SELECT user_id % 8 AS i, count(*)::BIGINT AS n, sum(round(value * 100))::BIGINT AS total FROM events GROUP BY 1")
 def _(spark, sf):
-    return panels.finish(panels.resident_state(panels.stream(spark, sf)), "update")
+    return panels.finish(panels.resident_state(panels.replay(spark, sf)), "update", ("i",))
 
 
 @query("sliding_counts", f"""SELECT strftime(h - to_hours(k), '%Y-%m-%d %H:%M') AS start, event_type, count(*)::BIGINT AS n FROM (SELECT {_HOUR} AS h, event_type FROM events), range(0, 2) t(k) GROUP BY 1, 2""")
@@ -609,6 +674,48 @@ def _(spark, sf):
     return panels.demand(panels.batch(spark, sf), 4).select(F.date_format("hour", "yyyy-MM-dd HH").alias("hour"), "n", "workers")
 
 
+_CLOSED = f"(SELECT * FROM events WHERE {_HOUR} + INTERVAL 1 HOUR <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events))"
+
+
+@query("panels_accumulated", PANEL_SQL.replace("FROM events", f"FROM {_CLOSED}"))
+def _(spark, sf):
+    """C merged micro-batch by micro-batch from the panels that the watermark closes."""
+    return panels.accumulated(panels.replay(spark, sf))
+
+
+@query("resident_tiles_stream", PANEL_SQL)
+def _(spark, sf):
+    """C as tiles in the state of its chunks, three micro-batches."""
+    return panels.finish(panels.resident_tiles(panels.replay(spark, sf)), "update", ("i", "j"))
+
+
+#: Rows that come in the file of their quarter of the time, or two files late, and not after the watermark that the micro-batch before began with has closed their hour.
+_IN_TIME = f"""WITH e AS (SELECT *, {_HOUR} AS h, epoch_us(ts) AS us FROM events), b AS (SELECT min(us) AS lo, max(us) AS hi FROM e),
+f AS (SELECT e.*, least(3, (us - lo) * 4 // (hi - lo + 1) + CASE WHEN event_id % 50 = 0 THEN 2 ELSE 0 END) AS file FROM e, b),
+w AS (SELECT x.file, max(y.ts) - INTERVAL 1 HOUR AS closed FROM (SELECT DISTINCT file FROM f) x LEFT JOIN f y ON y.file < x.file - 1 GROUP BY x.file),
+k AS (SELECT f.* FROM f JOIN w ON f.file = w.file WHERE closed IS NULL OR h + INTERVAL 1 HOUR > closed)"""
+
+
+@query("late_stream", f"{_IN_TIME} SELECT strftime(h, '%Y-%m-%d %H') AS hour, user_id % 8 AS i, event_type, count(*)::BIGINT AS n FROM k GROUP BY 1, 2, 3")
+def _(spark, sf):
+    """Hourly panels of a stream in which every fiftieth event comes two files late: those whose hour the watermark has closed are dropped, the others are counted."""
+    rows = panels.finish(panels.outer_products(panels.replay(spark, sf, 4, late_every=50)), "update", ("hour", "i", "event_type"))
+    return rows.withColumn("hour", F.date_format("hour", "yyyy-MM-dd HH"))
+
+
+@query(
+    "backlog_stream",
+    """WITH RECURSIVE e AS (SELECT user_id % 4 AS pool, epoch_ms(ts) // 3600000 AS h FROM events), n AS (SELECT pool, h, count(*) AS n FROM e GROUP BY 1, 2),
+a AS (SELECT pool, min(h) AS lo, max(h) AS hi FROM n GROUP BY 1), s AS (SELECT a.pool, x.h, coalesce(n.n, 0) AS n, a.lo FROM a, LATERAL (SELECT unnest(range(lo, hi + 1)) AS h) x LEFT JOIN n ON n.pool = a.pool AND n.h = x.h),
+r AS (SELECT pool, lo - 1 AS h, 0::BIGINT AS n, 0::BIGINT AS workers, 0::BIGINT AS waiting FROM a
+  UNION ALL SELECT s.pool, s.h, s.n, least(2, (r.waiting + s.n + 1) // 2)::BIGINT, (r.waiting + s.n - least(r.waiting + s.n, 2 * least(2, (r.waiting + s.n + 1) // 2)))::BIGINT FROM r JOIN s ON s.pool = r.pool AND s.h = r.h + 1)
+SELECT r.pool, (r.h * 3600000)::BIGINT AS hour, r.n, workers, waiting FROM r JOIN a ON a.pool = r.pool WHERE r.h >= lo""",
+)
+def _(spark, sf):
+    """Demand-driven enrolment with what waits as state: two workers a pool at most, two events an hour each."""
+    return panels.finish(panels.backlog(panels.replay(spark, sf), 2, 2), "update", ("pool", "hour"))
+
+
 # ---- relational surround ---------------------------------------------------------------------------------------------------------------
 
 
