@@ -2,12 +2,15 @@
 
 Kernel: two strings are compared by their common subsequences of three characters that span at most `SPAN` characters, each weighted by
 DECAY to the power of its span in either string, so insults with gaps or inserted characters stay close to the plain ones. It is scaled by length.
-Units are lower-cased words, and runs of single-character words joined ("i d i o t").
+Units are lower-cased words, and runs of single-character words joined ("i d i o t"). A sentence scores as its most offensive unit: the kernel of two sentences is that of
+the units that stand for them.
 
-Training: labelled documents give each of their words the label of the sentence it stands in; words far more common in toxic documents are positive,
-others negative. Landmarks are drawn from both; the kernel to the landmarks, whitened (Nyström), feeds a linear squared-hinge SVM in the primal. As the kernel is an inner
-product of subsequence weights, the trained machine folds into one weight per three-character subsequence, so a word costs a few table reads.
-A logistic model over a document's word margins, fitted on training documents, turns margins into a score of 0 to 1.
+Training, on labelled sentences: the sentences of the labelled documents have the label of their document, and which unit stands for a sentence is learned with the machine.
+It begins with the unit whose share of toxic documents lies most standard errors above its share of clean ones; in later rounds it is the unit of the greatest margin. A
+document gives its sentences of positive margin, a clean one also its worst sentences and, so that ordinary units are known too, some drawn by hash. The kernel to landmark units,
+whitened (Nyström), feeds a linear squared-hinge SVM in the primal. As the kernel is an inner
+product of subsequence weights, the trained machine folds into one weight per three-character subsequence, so a unit costs a few table reads.
+A logistic model over a document's unit margins, fitted on training documents, turns margins into a score of 0 to 1.
 
 Only rows of the training part are read for labels: those whose crc32(doc_id as text) mod 4 is not 2. At most TRAIN_DOCS labelled documents, those of the smallest
 hash of their id, are used to fit; all documents are scored on their whole texts.
@@ -19,6 +22,8 @@ extra columns are ignored; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import re
+import zlib
 from collections.abc import Iterator
 from itertools import combinations
 
@@ -27,16 +32,19 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tilestar.llm.words import words_of
+from tilestar.runtime import Scratch, kept_in_workers
 
-#: Bound of the training sample, in documents; of the words it gives, positive and negative; of landmarks.
-TRAIN_DOCS, POSITIVE, NEGATIVE, LANDMARKS = 20_000, 800, 20_000, 256
-#: Negatives that training starts with; hardest of the others that each further round adds; rounds.
-EASY, HARD, ROUNDS = 4_000, 2_000, 3
+#: Bound of the training sample, in documents; landmarks.
+TRAIN_DOCS, LANDMARKS = 20_000, 256
+#: Sentences that a document gives at most; worst ones and drawn units that a clean one gives in any case; rate at which a unit counts as clean; rounds.
+SENTENCES, WORST, DRAWN, SHARED, ROUNDS = 12, 3, 6, 0.25, 3
 SPAN, DECAY, RIDGE = 6, 0.6, 0.05
 #: Longest unit; longer words are read in overlapping stretches.
 REACH = 24
+#: Symbols of the kernel: letters and digits that stand for them have their own, other code points share the rest by remainder, so that the letters of one script stay apart.
 SYMBOLS = 64
+_SPACE = re.compile("[ \t\n\x0b\x0c\r]+")
+_SENTENCE = re.compile("[.!?]+[ \t\x0b\x0c\r]+|\n+")
 #: Marks the ends of a word; what is taken off its ends before.
 EDGE, TRIM = "\x01", ".,;:!?\"'()[]{}*#%&$|<>-_"
 THRESHOLD = 0.3
@@ -62,7 +70,7 @@ _SYMBOL = _symbol_table()
 
 def units(text: str | None) -> tuple[set[str], int]:
     """Distinct units of a text, and its number of words."""
-    words = (text or "").lower().split()
+    words = [w for w in _SPACE.split((text or "").lower()) if w]
     out = {w.strip(TRIM) for w in set(words)}
     out.discard("")
     run: list[str] = []
@@ -80,6 +88,11 @@ def units(text: str | None) -> tuple[set[str], int]:
     return out, len(words)
 
 
+def sentences(text: str | None) -> list[list[str]]:
+    """The units of each sentence that has any, in order of their code points."""
+    return [sorted(own) for part in _SENTENCE.split(text or "") if (own := {u for u in units(part)[0] if len(u) > 2})]
+
+
 def _codes(words: list[str]) -> tuple[np.ndarray, np.ndarray]:
     """Symbols (n x REACH + SPAN - 1) and lengths."""
     raw = np.array([f"{EDGE}{w}{EDGE}" for w in words], f"<U{REACH}").view(np.uint32).reshape(len(words), REACH)
@@ -180,36 +193,30 @@ def _fold(marks: list[str], alpha: np.ndarray, bias: float) -> Machine:
     return Machine(table.astype(np.float32), bias)
 
 
-def fit_words(positive: list[str], negative: list[str], support: list[int] | None = None, landmarks: int = LANDMARKS) -> Machine:
-    """SVM on Nyström features of labelled words, folded into subsequence weights. Negatives of small margin join in rounds.
-
-    support: toxic documents of each positive word, its weight in the loss.
-    """
-    held = np.array(support or [1] * len(positive), float)
-    marks = positive[: landmarks * 2 // 3]
-    marks = marks + negative[: landmarks - len(marks)]
+def fit_units(examples: list[tuple[str, float, float]], landmarks: int = LANDMARKS) -> Machine:
+    """SVM on Nyström features of units, folded into subsequence weights. examples: (unit, toxic sentences that it stands for, clean ones), both classes present."""
+    hot = sorted((x for x in examples if x[1] > 0), key=lambda x: (x[2] - x[1], x[0]))
+    cold = sorted((x for x in examples if x[2] > 0), key=lambda x: (x[1] - x[2], x[0]))
+    marks = [x[0] for x in hot[: landmarks * 2 // 3]]
+    known = set(marks)
+    marks += [x[0] for x in cold if x[0] not in known][: landmarks - len(marks)]
     inner = kernel(marks, marks).astype(np.float64)
     value, vector = np.linalg.eigh((inner + inner.T) / 2)
     keep = value > 1e-6 * value.max()
     white = vector[:, keep] / np.sqrt(value[keep])
-    features = lambda words: np.column_stack([kernel(words, marks) @ white, np.ones(len(words))])
-    z_hot, z_cold = features(positive), features(negative)
-    chosen = np.arange(len(negative)) < EASY
-    w = np.zeros(z_hot.shape[1])
-    for turn in range(ROUNDS):
-        z = np.concatenate([z_hot, z_cold[chosen]])
-        y = np.concatenate([np.ones(len(z_hot)), -np.ones(int(chosen.sum()))])
-        cost = len(y) / 2 * np.concatenate([held / held.sum(), np.full(int(chosen.sum()), 1 / max(int(chosen.sum()), 1))])
-        for _ in range(30):  # Newton steps on the squared hinge
-            active = y * (z @ w) < 1
-            za, ca = z[active], cost[active]
-            new = np.linalg.solve((za * ca[:, None]).T @ za + RIDGE * np.eye(len(w)), za.T @ (ca * y[active]))
-            if np.allclose(new, w, atol=1e-9):
-                break
-            w = new
-        rest = np.flatnonzero(~chosen)
-        if turn < ROUNDS - 1 and len(rest):
-            chosen[rest[np.argsort(-(z_cold[rest] @ w), kind="stable")[:HARD]]] = True
+    z = np.concatenate([np.column_stack([kernel([x[0] for x in part], marks) @ white, np.ones(len(part))]) for part in (hot, cold)])
+    y = np.concatenate([np.ones(len(hot)), -np.ones(len(cold))])
+    # a unit's weight grows with the root of its sentences, so that none drowns the others; both classes weigh the same
+    held = [np.sqrt([x[k] for x in part]) for part, k in ((hot, 1), (cold, 2))]
+    cost = len(y) / 2 * np.concatenate([h / h.sum() for h in held])
+    w = np.zeros(z.shape[1])
+    for _ in range(30):  # Newton steps on the squared hinge
+        active = y * (z @ w) < 1
+        za, ca = z[active], cost[active]
+        new = np.linalg.solve((za * ca[:, None]).T @ za + RIDGE * np.eye(len(w)), za.T @ (ca * y[active]))
+        if np.allclose(new, w, atol=1e-9):
+            break
+        w = new
     return _fold(marks, white @ w[:-1], float(w[-1]))
 
 
@@ -218,28 +225,80 @@ def held_out(doc_id: object) -> object:
 
 
 def _training(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """(text, toxic) of the bounded training sample."""
+    """(doc_id, text, toxic) of the bounded training sample; of several texts of an id the smallest."""
     own = labels.select(F.col("doc_id").cast("bigint").alias("doc_id"), "toxic").filter("doc_id is not null and toxic is not null").filter(~held_out(F.col("doc_id")))
     chosen = own.groupBy("doc_id").agg(F.max("toxic").alias("toxic")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(TRAIN_DOCS)  # the documented bound
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(F.broadcast(chosen), "doc_id").dropDuplicates(["doc_id"]).select("text", "toxic")
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
+    return rows.groupBy("doc_id").agg(F.min("text").alias("text"), F.max(F.when(F.col("toxic") > 0, 1).otherwise(0)).alias("toxic"))
+
+
+class Shares:
+    """Margins of units before there is a machine: how many standard errors their share of toxic documents lies above that of clean ones, less what chance makes of so many units."""
+
+    def __init__(self, beyond: dict[str, float]) -> None:
+        self.beyond = beyond
+
+    def margins(self, words: list[str]) -> np.ndarray:
+        return np.array([self.beyond.get(w, -1.0) for w in words])
+
+
+def _shares(sample: DataFrame, toxic: int, clean: int) -> Shares:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            rows = [(t, u) for t, text in zip(b.column(1).to_pylist(), b.column(0).to_pylist(), strict=True) for u in {u for s in sentences(text) for u in s}]
+            t, u = zip(*rows, strict=True) if rows else ((), ())
+            yield pa.RecordBatch.from_arrays([pa.array(t, pa.int32()), pa.array(u, pa.string())], names=["toxic", "word"])
+
+    words = sample.select("text", "toxic").mapInArrow(run, "toxic int, word string")
+    counts = words.groupBy("word").agg(F.sum("toxic").alias("t"), F.sum(1 - F.col("toxic")).alias("c"))
+    share = (F.col("t") + F.col("c") + 1) / F.lit(toxic + clean + 2)
+    z = (F.col("t") / F.lit(toxic) - F.col("c") / F.lit(clean)) / F.sqrt(share * (1 - share) * F.lit(1 / toxic + 1 / clean))
+    own = Scratch(sample.sparkSession, "toxicity").save(counts.select("word", z.alias("z")), "shares")
+    chance = float(np.sqrt(2 * np.log(max(own.count(), 2))))
+    return Shares({w: x - chance for w, x in own.filter(F.col("z") > chance).collect()})  # of at most TRAIN_DOCS documents, units that tell the classes apart
+
+
+def _units(sample: DataFrame, machine: Machine | Shares, toxic: int, clean: int) -> list[tuple[str, float, float]]:
+    """(unit, toxic sentences that it stands for, clean ones). Clean labels hold for every sentence, toxic ones do not: a unit that clean sentences have at SHARED of its rate in toxic ones is clean."""
+    held = kept_in_workers(sample.sparkSession, machine)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            texts = [sentences(t) for t in b.column(1).to_pylist()]
+            every = sorted({u for text in texts for s in text for u in s})
+            value = dict(zip(every, held().margins(every).tolist(), strict=True)) if every else {}
+            rows = []
+            for i, t, text in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), texts, strict=True):
+                worst = sorted(((value[u], u) for u in (max(s, key=lambda u: (value[u], u)) for s in text)), reverse=True)[:SENTENCES]
+                rows += [(u, t) for k, (m, u) in enumerate(worst) if m > 0 or not t and k < WORST]
+                if not t:
+                    drawn = sorted({u for s in text for u in s}, key=lambda u: zlib.crc32(f"{i} {u}".encode("utf-8", "surrogatepass")))
+                    rows += [(u, 0) for u in drawn[:DRAWN]]
+            u, t = zip(*rows, strict=True) if rows else ((), ())
+            yield pa.RecordBatch.from_arrays([pa.array(u, pa.string()), pa.array(t, pa.int32())], names=["word", "toxic"])
+
+    rows = sample.select("doc_id", "text", "toxic").mapInArrow(run, "word string, toxic int")
+    counts = rows.groupBy("word").agg(F.sum("toxic").cast("double").alias("hot"), F.sum(1 - F.col("toxic")).cast("double").alias("cold")).orderBy("word").collect()  # some a document of the sample
+    return [(w, 0.0 if cold / clean >= SHARED * hot / toxic else hot, cold) for w, hot, cold in counts if hot or cold]
 
 
 def train(docs: DataFrame, labels: DataFrame) -> tuple[Machine | None, float]:
     """A fitted machine, or None where one class is missing; and the share of toxic training labels."""
-    sample = _training(docs, labels)
+    spark = docs.sparkSession
+    sample = Scratch(spark, "toxicity").save(_training(docs, labels).repartition(int(spark.conf.get("spark.sql.shuffle.partitions")), "doc_id").sortWithinPartitions("doc_id"), "sample")
     n = {bool(t): c for t, c in sample.groupBy(F.col("toxic") > 0).count().collect()}
     toxic, clean = n.get(True, 0), n.get(False, 0)
     prior = toxic / max(toxic + clean, 1)
     if not toxic or not clean:
         return None, prior
-    word = sample.select(F.explode(F.array_distinct(F.transform(words_of(F.lower("text")), lambda w: F.btrim(w, F.lit(TRIM))))).alias("word"), F.when(F.col("toxic") > 0, 1).otherwise(0).alias("t"))
-    counts = word.groupBy("word").agg(F.sum("t").alias("t"), F.sum(1 - F.col("t")).alias("c")).filter(F.length("word").between(3, REACH - 2))
-    is_hot = (F.col("t") >= 3) & (F.col("t") * clean > 6 * (F.col("c") + 1) * toxic)
-    hot = [(r[0], r[1]) for r in counts.filter(is_hot).orderBy(F.desc("t"), "word").limit(POSITIVE).collect()]
-    cold = [r[0] for r in counts.filter(~is_hot & (F.col("c") >= 1) & (F.col("t") * clean <= 2 * F.col("c") * toxic)).orderBy(F.xxhash64("word"), "word").limit(NEGATIVE).collect()]
-    if not hot or not cold:
+    machine, by = None, _shares(sample, toxic, clean)
+    for _ in range(ROUNDS):
+        examples = _units(sample, by, toxic, clean)
+        if not any(x[1] for x in examples) or not any(x[2] for x in examples):
+            break
+        by = machine = fit_units(examples)
+    if machine is None:
         return None, prior
-    machine = fit_words([w for w, _ in hot], cold, [t for _, t in hot])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
