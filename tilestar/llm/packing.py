@@ -38,7 +38,7 @@ CAPACITY, END = 1024, 2
 #: Rounding by fullest sequences: decay of a price with the share placed; weight of that beside the room used; share of each length left to best fit; knapsack calls.
 ETA, TILT, REST, CALLS = 4.0, 1e-2, 0.2, 400
 #: Relaxed program: knapsack calls times lengths; gap of its amounts to the proven bound that ends it; gap of a whole packing to the bound that needs no better one.
-WORK, TOLERANCE, NEAR = 150_000, 1e-4, 5e-4
+WORK, TOLERANCE, NEAR = 100_000, 1e-4, 5e-4
 #: Search for the last pieces: so many pieces at most, nodes, ways to complete a sequence.
 FEW, NODES, WAYS = 400, 3000, 200
 PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint"
@@ -287,7 +287,7 @@ def _tail(left: np.ndarray, capacity: int, calls: int) -> list[tuple[Counter, in
 def solve(histogram: np.ndarray, capacity: int = CAPACITY) -> tuple[list[tuple[Counter, int]], int]:
     """(configuration, number of sequences) that hold each piece exactly once, and a proven lower bound of the number of sequences.
 
-    Fullest sequences come first: if they come within NEAR of the room that all pieces need, that is the answer. Otherwise the program is relaxed and rounded, what is left over is
+    Fullest sequences come first: if they come within NEAR, rounded up to whole sequences, of the room that all pieces need, that is the answer. Otherwise the program is relaxed and rounded, what is left over is
     relaxed again, and the least of all roundings counts.
     """
     left = histogram.astype(np.int64).copy()
@@ -297,19 +297,19 @@ def solve(histogram: np.ndarray, capacity: int = CAPACITY) -> tuple[list[tuple[C
         return alone, _used(alone)
     least = -(-int((np.arange(capacity + 1) * left).sum()) // capacity)
     best = _tail(left, capacity, CALLS)
-    if _used(best) > least * (1 + NEAR):
+    if _used(best) > np.ceil(least * (1 + NEAR)):
         relaxed = relax(left, capacity)
         least = max(least, int(np.ceil(relaxed.bound - 1e-6)))
         held: list[tuple[Counter, int]] = []
         rest = left
-        while _used(best) > least * (1 + NEAR):
+        while _used(best) > np.ceil(least * (1 + NEAR)):
             more, after = _rounded(rest, relaxed, capacity)
             tried = held + more + _tail(after, capacity, CALLS // 4)
             best = min(best, tried, key=_used)
             if not more or not after.any():
                 break
             held, rest = held + more, after
-            if _used(best) > least * (1 + NEAR):
+            if _used(best) > np.ceil(least * (1 + NEAR)):
                 relaxed = relax(rest, capacity, WORK // 4)
     return alone + best, least + _used(alone)
 
