@@ -15,7 +15,7 @@ from math import isqrt
 from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
-from tilestar.runtime import BROADCAST_MEMORY, Scratch
+from tilestar.runtime import BROADCAST_MEMORY, Scratch, in_memory
 
 #: Bytes of a coordinate row in memory with its place in a hashed relation, for the size check of broadcasts.
 ROW_BYTES = 64
@@ -151,6 +151,17 @@ def inner_join(a: DataFrame, b: DataFrame, c: DataFrame | None = None, salt: int
     return _add(met.groupBy("i", "j").agg(F.sum(F.col("v") * F.col("u")).alias("c")), c)
 
 
+def inner_join_heavy(a: DataFrame, b: DataFrame, heavy: int = 100_000, salt: int = 16) -> DataFrame:
+    """As `inner_join`; an inner index that more than `heavy` rows of A have is split by rows of A, and its rows of B go to every part. Others are joined as they are."""
+    hot = a.groupBy("k").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") > heavy).select("k", F.lit(True).alias("hot"))
+    hot = Scratch(a.sparkSession, "heavy").save(hot, "hot")
+    hot = F.broadcast(hot) if in_memory(hot) <= BROADCAST_MEMORY else hot
+    left = a.join(hot, "k", "left").withColumn("z", F.when(F.col("hot"), F.pmod(F.xxhash64("i"), F.lit(salt)).cast("int")).otherwise(0))
+    every = F.when(F.col("hot"), F.sequence(F.lit(0), F.lit(salt - 1))).otherwise(F.array(F.lit(0)))
+    right = b.join(hot, "k", "left").withColumn("z", F.explode(every))
+    return left.select("k", "z", "i", "v").join(right.select("k", "z", "j", "u"), ["k", "z"]).groupBy("i", "j").agg(F.sum(F.col("v") * F.col("u")).alias("c"))
+
+
 def broadcast(a: DataFrame, b: DataFrame, c: DataFrame | None = None, most: int = BROADCAST_MEMORY) -> DataFrame:
     """B everywhere, A partitioned: B, written once, is broadcast if its rows in memory fit the bound, and joined by a shuffle otherwise."""
     b = Scratch(b.sparkSession, "broadcast").save(b, "b")

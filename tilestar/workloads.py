@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from tilestar.functions import bounds, layout
 from tilestar.operators import lu, multiply, tiles
 from tilestar.plans import enrol, execute, onepass, schedulers, select
-from tilestar.runtime import Scratch, table
+from tilestar.runtime import Scratch, bucketed, table
 from tilestar.sources import matrices, platforms
 from tilestar.streaming import panels
 
@@ -128,7 +128,7 @@ def _(spark, sf):
 SELECT q, id, dot, rank FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY dot DESC, id)::INTEGER AS rank FROM d) WHERE rank <= 5""",
 )
 def _(spark, sf):
-    """Product of a block of query rows with all rows, by the resident-result kernel; top five of each."""
+    """Product of a block of query rows with all rows, by the inner index; top five of each."""
     e = matrices.embeddings(spark, sf)
     left = e.filter(F.col("row") % 50 == 0).select(F.col("row").alias("i"), F.col("col").alias("k"), F.col("val").alias("v"))
     right = e.select(F.col("col").alias("k"), F.col("row").alias("j"), F.col("val").alias("u"))
@@ -146,10 +146,62 @@ TERMS = "SELECT {id} AS id, term, count(*)::BIGINT AS n FROM (SELECT {id}, unnes
 SELECT d.id AS i, b.id AS j, sum(d.n * b.n)::BIGINT AS c FROM d JOIN b USING (term) GROUP BY 1, 2""",
 )
 def _(spark, sf):
-    """Documents x terms times terms x benchmark, sparse; frequent terms are salted."""
+    """Documents x terms times terms x benchmark, sparse; only the terms that many documents have are salted."""
     d = matrices.terms(table(spark, sf, "documents"), "doc_id").select(F.col("id").alias("i"), F.col("term").alias("k"), F.col("n").alias("v"))
     b = matrices.terms(table(spark, sf, "benchmark"), "item_id").select(F.col("term").alias("k"), F.col("id").alias("j"), F.col("n").alias("u"))
-    return multiply.inner_join(d, b, salt=8)
+    return multiply.inner_join_heavy(d, b)
+
+
+@query(
+    "term_cooccurrence",
+    f"""WITH b AS (SELECT DISTINCT id, term FROM ({TERMS.format(id='item_id', table='benchmark')})), d AS (SELECT term FROM b GROUP BY 1 HAVING count(*) >= 5)
+SELECT x.term AS left_term, y.term AS right_term, count(*)::BIGINT AS c FROM b x JOIN b y ON x.id = y.id WHERE x.term < y.term AND x.term IN (SELECT term FROM d) AND y.term IN (SELECT term FROM d) GROUP BY 1, 2""",
+)
+def _(spark, sf):
+    """Terms x items times items x terms: in how many benchmark items two terms meet, for terms of five items or more, above the diagonal."""
+    own = matrices.terms(table(spark, sf, "benchmark"), "item_id").select("id", "term")
+    often = own.groupBy("term").count().filter("count >= 5").select("term")
+    cells = own.join(often, "term").select(F.col("term").alias("i"), F.col("id").alias("k"), F.lit(1).cast("bigint").alias("v"))
+    out = multiply.inner_join(cells, cells.select("k", F.col("i").alias("j"), F.col("v").alias("u"))).filter("i < j")
+    return out.select(F.col("i").alias("left_term"), F.col("j").alias("right_term"), "c")
+
+
+@query(
+    "label_terms",
+    f"""WITH d AS ({TERMS.format(id='doc_id', table='documents')}), l AS (SELECT doc_id, 'quality' AS label, max(quality) AS x FROM labels GROUP BY 1 UNION ALL SELECT doc_id, 'toxic', max(toxic) FROM labels GROUP BY 1)
+SELECT term, label, sum(n * x)::BIGINT AS c FROM d JOIN l ON d.id = l.doc_id WHERE x <> 0 GROUP BY 1, 2""",
+)
+def _(spark, sf):
+    """Terms x documents times the tall 0/1 matrix of labels: the inner index is cut in parts, the result is small in one direction."""
+    d = matrices.terms(table(spark, sf, "documents"), "doc_id").select(F.col("term").alias("i"), F.col("id").alias("k"), F.col("n").alias("v"))
+    own = table(spark, sf, "labels").groupBy("doc_id").agg(F.max("quality").alias("quality"), F.max("toxic").alias("toxic"))
+    each = F.explode(F.array(*(F.struct(F.lit(c).alias("j"), F.col(c).cast("bigint").alias("u")) for c in ("quality", "toxic")))).alias("x")
+    l = own.select(F.col("doc_id").alias("k"), each).select("k", "x.j", "x.u").filter("u <> 0")
+    return multiply.inner_split(d, l, 8).select(F.col("i").alias("term"), F.col("j").alias("label"), "c")
+
+
+def _gram_tiles(spark: SparkSession, sf: str, q: int, bytes_: int = 1 << 20) -> DataFrame:
+    """E'E by tiles of side q, with the resident side that the same bytes give for that q."""
+    e = matrices.embeddings(spark, sf)
+    side = max(1, int((bytes_ // (8 * q * q) + 4) ** 0.5) - 2)
+    n = -(-64 // q)
+    rows = tiles.to_tiles(e, q)
+    turned = tiles.to_tiles(e.select(F.col("col").alias("row"), F.col("row").alias("col"), "val"), q)
+    out = tiles.to_cells(tiles.resident_multiply(turned, rows, n, n, min(side, n), q), q)
+    return out.select("row", "col", F.round("val").cast("bigint").alias("val"))
+
+
+_GRAM_SQL = f"WITH e AS ({matrices.EMBED_SQL}) SELECT * FROM (SELECT x.col AS row, y.col AS col, sum(x.val * y.val)::BIGINT AS val FROM e x JOIN e y ON x.row = y.row GROUP BY 1, 2) WHERE val <> 0"
+for _q in (8, 16):
+    QUERIES[f"gram_tiles_q{_q}"] = lambda spark, sf, q=_q: _gram_tiles(spark, sf, q)
+    ORACLES[f"gram_tiles_q{_q}"] = _GRAM_SQL
+
+
+@query("bucketed_join_x1a", product_sql(100, 100, 800))
+def _(spark, sf):
+    """Both operands stored in buckets of the inner index, so that their join moves nothing."""
+    a, b, *_ = _operands(spark, sf, "x1a")
+    return multiply.inner_join(*(bucketed(x, ["k"], 8) for x in (a, b)))
 
 
 ROLES = "SELECT role AS a, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations"
@@ -207,6 +259,21 @@ def _(spark, sf):
     return rows.withColumn("m", layout.buffers(F.col("mib") * 1048576, F.col("q")))
 
 
+@query("chunk_volumes", """SELECT g, t, q, (2 * g * g + 2 * g * t)::BIGINT AS volume, round(2.0::DOUBLE / t + 2.0::DOUBLE / g, 9)::DOUBLE AS per_update, round((2.0::DOUBLE / t + 2.0::DOUBLE / g) / q, 12)::DOUBLE AS per_element
+FROM (SELECT unnest([4, 50, 100])::BIGINT AS g), (SELECT unnest([20, 100])::BIGINT AS t), (SELECT unnest([40, 80])::BIGINT AS q)""")
+def _(spark, sf):
+    """Tiles of a chunk's life, per tile update, and per multiply-add of elements."""
+    rows = spark.createDataFrame([(g, t, q) for g in (4, 50, 100) for t in (20, 100) for q in (40, 80)], "g bigint, t bigint, q bigint")
+    g, t, q = F.col("g"), F.col("t"), F.col("q")
+    return rows.select("g", "t", "q", bounds.chunk_volume(g, t).alias("volume"), F.round(bounds.traffic_ratio(g, t), 9).alias("per_update"), F.round(bounds.traffic_ratio_elements(g, t, q), 12).alias("per_element"))
+
+
+@query("lu_sides", "SELECT m, (floor(sqrt(m + 4)) - 2)::BIGINT AS g FROM (SELECT unnest([21, 2703, 5242, 10485])::BIGINT AS m)")
+def _(spark, sf):
+    rows = spark.createDataFrame([(m,) for m in (21, 2703, 5242, 10485)], "m bigint")
+    return rows.select("m", layout.side_lu(F.col("m")).alias("g"))
+
+
 @query("rectangle_sides", """WITH x AS (SELECT unnest([21, 100, 2703])::BIGINT AS m), y AS (SELECT m, r, s FROM x, (VALUES (3::BIGINT, 50::BIGINT), (100, 100)) t(r, s)),
 c AS (SELECT m, r, s, a, least(s, (m - 2 * a) // (a + 2)) AS b FROM y, range(1, 1000) q(a) WHERE a <= least(r, greatest((m - 2) // 3, 1)))
 SELECT m, r, s, arg_min(a, ((a + b)::DOUBLE / (a * b), a))::BIGINT AS rect_a, arg_min(b, ((a + b)::DOUBLE / (a * b), a))::BIGINT AS rect_b FROM c WHERE b >= 1 GROUP BY 1, 2, 3""")
@@ -337,6 +404,13 @@ def _(spark, sf):
     return multiply.assign_columns(spark, 200, 1600, 100, 4)
 
 
+@query("enrol_machine", """SELECT g, q, least(8, ceil(g * q / 2.0::DOUBLE * flop / word))::BIGINT AS p FROM (SELECT unnest([50, 100])::BIGINT AS g), (SELECT unnest([40, 80])::BIGINT AS q), (SELECT 5.6e-10::DOUBLE AS flop, 6.4e-7::DOUBLE AS word)""")
+def _(spark, sf):
+    """Workers by machine constants: seconds of a multiply-add, and of eight bytes on a link of 100 Mb/s."""
+    rows = spark.createDataFrame([(g, q) for g in (50, 100) for q in (40, 80)], "g bigint, q bigint")
+    return rows.select("g", "q", enrol.enrol_machine(F.lit(8).cast("bigint"), F.col("g"), F.col("q"), F.lit(5.6e-10), F.lit(6.4e-7)).alias("p"))
+
+
 _T2 = "SELECT 0 AS platform_id, worker_id, c::BIGINT AS c, w::BIGINT AS w, g::BIGINT AS g FROM (VALUES (1, 2, 2, 6), (2, 3, 3, 18), (3, 5, 1, 10)) t(worker_id, c, w, g)"
 _T1 = "SELECT 0 AS platform_id, worker_id, c::BIGINT AS c, w::BIGINT AS w, g::BIGINT AS g FROM (VALUES (1, 1, 2, 2), (2, 20, 40, 2)) t(worker_id, c, w, g)"
 _REGIONS = f"SELECT platform_id, worker_id, c, w, g FROM ({platforms.REGIONS_SQL})"
@@ -390,10 +464,14 @@ def _(spark, sf):
     return select.buffer_demand(platforms.literal(spark, platforms.FAST_SLOW))
 
 
-@query("rate_bound_check", "SELECT 0 AS platform_id, 0 AS step WHERE false")
+@query("rate_bound_check", f"SELECT platform_id, 60::BIGINT AS steps, 0::BIGINT AS beyond FROM ({_REGIONS}) WHERE g > 0 GROUP BY 1")
 def _(spark, sf):
+    """Steps of each platform's selection, and how many beat the steady-state bound."""
     platform = platforms.regions(spark, sf)
-    return select.check_rate_bound(select.fold(select.as_rows(platform), 60, "global"), platform)
+    folded = select.fold(select.as_rows(platform), 60, "global")
+    beyond = select.check_rate_bound(folded, platform).groupBy("platform_id").agg(F.count("*").alias("beyond"))
+    steps = select.trace(folded).groupBy("platform_id").agg(F.count("*").alias("steps"))
+    return steps.join(beyond, "platform_id", "left").select("platform_id", "steps", F.coalesce("beyond", F.lit(0).cast("bigint")).alias("beyond"))
 
 
 @query("preallocate_regions")
@@ -740,9 +818,9 @@ def _(spark, sf):
     return part.join(F.broadcast(bands), (F.col("p_retailprice") >= F.col("low")) & (F.col("p_retailprice") < F.col("high"))).groupBy("band").agg(F.count("*").alias("parts"))
 
 
-@query("anti_suppliers", "SELECT s_suppkey FROM supplier WHERE s_suppkey NOT IN (SELECT l_suppkey FROM lineitem WHERE l_quantity > 49)")
+@query("anti_suppliers", "SELECT s_suppkey FROM supplier WHERE s_suppkey NOT IN (SELECT l_suppkey FROM lineitem WHERE l_quantity > 49 AND l_discount >= 0.09 AND l_tax >= 0.07)")
 def _(spark, sf):
-    return table(spark, sf, "supplier").join(table(spark, sf, "lineitem").filter("l_quantity > 49"), F.col("s_suppkey") == F.col("l_suppkey"), "left_anti").select("s_suppkey")
+    return table(spark, sf, "supplier").join(table(spark, sf, "lineitem").filter("l_quantity > 49 AND l_discount >= 0.09D AND l_tax >= 0.07D"), F.col("s_suppkey") == F.col("l_suppkey"), "left_anti").select("s_suppkey")
 
 
 @query("semi_parts", "SELECT p_partkey, p_brand FROM part WHERE p_partkey IN (SELECT l_partkey FROM lineitem WHERE l_quantity >= 50)")
