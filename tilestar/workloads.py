@@ -550,6 +550,14 @@ def _(spark, sf):
     return spark.createDataFrame([(x, onepass.reachable_tasks(x, 6, 4)) for x in range(11)], "x bigint, tasks bigint")
 
 
+@query("onepass_winners", "SELECT * FROM (VALUES (4::BIGINT, 7::BIGINT, 'min_min', 49::BIGINT), (8, 9, 'thrifty', 132)) t(c, w, winner, makespan)")
+def _(spark, sf):
+    """Which greedy wins each counter-example, and its makespan."""
+    runs = onepass.run(spark.createDataFrame([(n, *x) for n, x in enumerate(x for x in _TOY if x[0] != "duplicate_b")], _ONE))
+    best = runs.groupBy(F.col("c").cast("bigint").alias("c"), F.col("w").cast("bigint").alias("w")).agg(F.min(F.struct("makespan", "policy")).alias("best"))
+    return best.select("c", "w", F.col("best.policy").alias("winner"), "best.makespan")
+
+
 # ---- schedulers ------------------------------------------------------------------------------------------------------------------------
 
 
@@ -605,6 +613,29 @@ def _(spark, sf):
     return runs.select("scenario_id", "policy", F.round(gap, 6).alias("gap"), (gap <= 0.06).alias("similar"))
 
 
+@query(
+    "sched_ranking",
+    """SELECT s::INTEGER AS scenario_id, policy, "similar" FROM range(0, 3) t(s),
+(VALUES ('rr_selected', true), ('rr_all', true), ('demand_overlap', true), ('demand_plain', true), ('minmin_overlap', false), ('third_demand', false)) p(policy, "similar")""",
+)
+def _(spark, sf):
+    """Set one, as the experiments rank it: which policies come within 6 % of the best."""
+    runs = QUERIES["sched_similar"](spark, sf).filter("policy <> 'fifth_demand'")  # of which nothing is reported
+    return runs.select("scenario_id", "policy", "similar")
+
+
+@query(
+    "sched_workers",
+    """SELECT s::INTEGER AS scenario_id, policy, n::INTEGER AS workers_used FROM range(0, 3) t(s), (VALUES ('rr_selected', 4), ('rr_all', 8), ('minmin_overlap', 2), ('demand_overlap', 8), ('demand_plain', 8), ('third_demand', 8), ('fifth_demand', 8)) p(policy, n)
+UNION ALL SELECT * FROM (VALUES (3, 'rr_selected', 2), (4, 'rr_selected', 4)) v""",
+)
+def _(spark, sf):
+    """Workers used in set one, and by the selecting policy with the least and the most memory of set three, as the experiments report them."""
+    rows = schedulers.scenarios(spark, schedulers.SET_ONE)
+    ends = schedulers.scenarios(spark, (schedulers.SET_MEMORY[0], schedulers.SET_MEMORY[-1]), ("rr_selected",)).withColumn("scenario_id", F.col("scenario_id") + 3)
+    return schedulers.simulate(rows.unionByName(ends)).select("scenario_id", "policy", "workers_used")
+
+
 # ---- LU --------------------------------------------------------------------------------------------------------------------------------
 
 _LU_CASES = "(SELECT g * n AS r, g FROM (SELECT unnest([2, 4, 6])::BIGINT AS g), (SELECT unnest([1, 2, 3, 5, 10])::BIGINT AS n))"
