@@ -4,8 +4,8 @@ Documents are tokenised and closed with an end token; those over the capacity ar
 of the pieces is the histogram of their lengths, at most `capacity` numbers, whatever the size of the corpus. Over it the configuration program (fill
 each length's demand with as few sequences, each a multiset of lengths within the capacity) is relaxed and solved by multiplicative weights: lengths have prices, a
 knapsack dynamic program finds the dearest configuration, it is used, and the prices of its lengths fall exponentially with how often they are covered. The prices also
-prove a lower bound on the number of sequences. Amounts are rounded down, what is left is relaxed again, and the last pieces are placed by fullest sequences, best fit or search,
-whichever needs least. Where fullest sequences alone come within NEAR of the proven bound, the program is not needed. `solve` returns the bound with the plan.
+prove a lower bound on the number of sequences. Amounts are rounded down, what is left is relaxed again while that helps, and the last pieces are placed by fullest sequences, best fit or search,
+whichever needs least. `solve` returns the bound with the plan.
 
 Pieces then get their places by rank within their length; ranks come from counts per length and bucket, so no length is gathered in one task.
 
@@ -35,12 +35,13 @@ from tilestar.runtime import Scratch, kept_in_workers
 
 #: Fixed values of the contract.
 CAPACITY, END = 1024, 2
-#: Rounding by fullest sequences: decay of a price with the share placed; weight of that beside the room used; share of each length left to best fit; knapsack calls.
-ETA, TILT, REST, CALLS = 4.0, 1e-2, 0.2, 400
+#: Rounding by fullest sequences: share of a configuration's scarcest length that one step places; decay of a price with the share placed; weight of that beside the room used;
+#: share of each length left to best fit; knapsack calls.
+SHARE, ETA, TILT, REST, CALLS = 0.5, 4.0, 1e-2, 0.2, 200
 #: Relaxed program: knapsack calls times lengths; gap of its amounts to the proven bound that ends it; gap of a whole packing to the bound that needs no better one.
-WORK, TOLERANCE, NEAR = 100_000, 1e-4, 5e-4
+WORK, TOLERANCE, NEAR = 60_000, 1e-4, 5e-4
 #: Search for the last pieces: so many pieces at most, nodes, ways to complete a sequence.
-FEW, NODES, WAYS = 400, 3000, 200
+FEW, NODES, WAYS = 60, 1000, 100
 PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint"
 
 
@@ -276,7 +277,7 @@ def _tail(left: np.ndarray, capacity: int, calls: int) -> list[tuple[Counter, in
     """The best rounding of what no whole amount holds."""
     if not left.any():
         return []
-    tries = [_best_fit(left, capacity), *(_filled(left, capacity, share, calls) for share in (0.5, 1.0))]
+    tries = [_best_fit(left, capacity), _filled(left, capacity, SHARE, calls)]
     best = min(tries, key=_used)
     least = -(-int((np.arange(capacity + 1) * left).sum()) // capacity)
     if int(left.sum()) <= FEW and _used(best) > least:
@@ -287,30 +288,29 @@ def _tail(left: np.ndarray, capacity: int, calls: int) -> list[tuple[Counter, in
 def solve(histogram: np.ndarray, capacity: int = CAPACITY) -> tuple[list[tuple[Counter, int]], int]:
     """(configuration, number of sequences) that hold each piece exactly once, and a proven lower bound of the number of sequences.
 
-    Fullest sequences come first: if they come within NEAR, rounded up to whole sequences, of the room that all pieces need, that is the answer. Otherwise the program is relaxed and rounded, what is left over is
-    relaxed again, and the least of all roundings counts.
+    The program is relaxed and rounded; what is left is relaxed again while that helps, until the packing comes within NEAR of the bound, rounded up to whole sequences. If it does
+    not, rounding alone is tried on all pieces too, and the least counts.
     """
     left = histogram.astype(np.int64).copy()
     alone = [(Counter({capacity: 1}), int(left[capacity]))] if left[capacity] else []
     left[capacity] = 0
     if not left.any():
         return alone, _used(alone)
-    least = -(-int((np.arange(capacity + 1) * left).sum()) // capacity)
-    best = _tail(left, capacity, CALLS)
-    if _used(best) > np.ceil(least * (1 + NEAR)):
-        relaxed = relax(left, capacity)
-        least = max(least, int(np.ceil(relaxed.bound - 1e-6)))
-        held: list[tuple[Counter, int]] = []
-        rest = left
-        while _used(best) > np.ceil(least * (1 + NEAR)):
-            more, after = _rounded(rest, relaxed, capacity)
-            tried = held + more + _tail(after, capacity, CALLS // 4)
-            best = min(best, tried, key=_used)
-            if not more or not after.any():
-                break
-            held, rest = held + more, after
-            if _used(best) > np.ceil(least * (1 + NEAR)):
-                relaxed = relax(rest, capacity, WORK // 4)
+    relaxed = relax(left, capacity)
+    least = max(-(-int((np.arange(capacity + 1) * left).sum()) // capacity), int(np.ceil(relaxed.bound - 1e-6)))
+    enough = int(np.ceil(least * (1 + NEAR)))
+    held, after = _rounded(left, relaxed, capacity)
+    best = held + _tail(after, capacity, CALLS // 4)
+    while _used(best) > enough and after.any():
+        more, after = _rounded(after, relax(after, capacity, WORK // 4), capacity)
+        held = held + more
+        tried = held + _tail(after, capacity, CALLS // 4)
+        better = _used(tried) < _used(best)
+        best = min(best, tried, key=_used)
+        if not better or not more:
+            break
+    if _used(best) > enough:
+        best = min(best, _tail(left, capacity, CALLS), key=_used)
     return alone + best, least + _used(alone)
 
 
