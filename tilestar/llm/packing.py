@@ -174,22 +174,29 @@ class Relaxed:
 def relax(demand: np.ndarray, capacity: int = CAPACITY, work: int = WORK) -> Relaxed:
     """Multiplicative weights over all lengths of demand[n].
 
-    A length's price starts at its share of the capacity. The dearest configuration is used until its scarcest length is covered by a step more; a price falls
+    A length's price starts at its share of the capacity, or at that of the sequences that hold nothing else, or alike, or only long ones have one: whichever proves most. The dearest configuration is used until its scarcest length is covered by a step more; a price falls
     exponentially with how often its length is covered. Steps are halved turn by turn, and the amounts are those of the last turn that covered every length. Any
     prices prove a lower bound: the price of all pieces over that of the dearest configuration.
     """
     lengths = np.flatnonzero(demand)
-    want, prior = demand[lengths].astype(float), lengths / capacity
+    want = demand[lengths].astype(float)
     most, many = np.full(len(lengths), capacity), np.log2(capacity / lengths + 1).sum() > capacity / 2
     covered, logs = np.zeros(len(lengths)), np.zeros(len(lengths))
-    best, amounts, kept, step, calls = 0.0, {}, {}, 0.5, max(200, work // max(len(lengths), 1))
+    amounts, kept, step, calls = {}, {}, 0.5, max(200, work // max(len(lengths), 1))
     index = {n: k for k, n in enumerate(lengths.tolist())}
+
+    def priced(price: np.ndarray) -> tuple[Counter, np.ndarray, np.ndarray, float]:
+        """The dearest configuration, its lengths and their numbers, and the bound that the prices prove."""
+        config = dearest_free(price, lengths, capacity) if many else dearest(price, lengths, most, capacity)
+        at, each = np.array([index[n] for n in config]), np.array(list(config.values()), float)
+        return config, at, each, float(price @ want) / float(price[at] @ each)
+
+    priors = [lengths / capacity, 1 / (capacity // lengths), np.ones(len(lengths)), (2 * lengths > capacity) + 1e-6]
+    proofs = [priced(p)[-1] for p in priors]
+    prior, best = priors[int(np.argmax(proofs))], max(proofs)
     for _ in range(calls):
         price = prior * np.exp(np.clip(logs - logs.max(), -60, 0))
-        config = dearest_free(price, lengths, capacity) if many else dearest(price, lengths, most, capacity)
-        at = np.array([index[n] for n in config])
-        each = np.array(list(config.values()), float)
-        proved = float(price @ want) / float(price[at] @ each)
+        config, at, each, proved = priced(price)
         best = max(best, proved)
         use = float((want[at] / each).min()) * step
         amounts[_key(config)] = amounts.get(_key(config), 0.0) + use
