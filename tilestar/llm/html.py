@@ -7,7 +7,7 @@ beside this module (a block that begins with the mark is main text) says which b
 Character references are decoded, white space inside a block becomes one space, blocks are trimmed, empty ones dropped, and the rest joined in
 page order by a line feed. Nothing else is dropped or capped.
 
-Defined results: null html counts as empty and gives an empty text; broken markup is read as far as it makes sense (a "<" that starts no tag, or whose tag never ends, is text; an
+Defined results: null html counts as empty and gives an empty text; broken markup is read as far as it makes sense (a "<" that starts no tag, or whose tag never ends, is text, but for a tag's name that ends the page; an
 unclosed quote is an ordinary character; an open comment or script ends with the page), in time proportional to its length; repeated rows are extracted alike; extra columns
 are ignored; an empty table gives an empty result.
 """
@@ -157,7 +157,7 @@ def blocks(page: str | None) -> list[tuple[str, int, int, Place]]:
     page = page or ""
     out, parts, linked = [], [], []
     stack, count = [Place()], Counter()
-    links, at, end, tags, text_from = 0, 0, len(page), Tags(page), 0
+    links, at, end, tags, text_from, solid = 0, 0, len(page), Tags(page), 0, len(page.rstrip())
 
     def close() -> None:
         if parts:
@@ -199,9 +199,13 @@ def blocks(page: str | None) -> list[tuple[str, int, int, Place]]:
             text_from = at
             continue
         closing = nxt == "/"
-        m = NAME.match(page, at + 1 + closing) if not tags.over else None
+        m = NAME.match(page, at + 1 + closing)
         stop = tags.end(m.end()) if m else -1
         if stop < 0:
+            if m and m.end() >= solid:  # the page breaks off within a tag's name
+                text(at)
+                text_from = end
+                break
             at += 1
             continue
         text(at)
