@@ -23,7 +23,7 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each component of near copies (0.8 or more of their five-word shingles), that of the smallest doc_id."""
+    """One document of each component of near copies (0.8 or more of their five-word shingles; SimHash trie, then an exact join), that of the smallest doc_id."""
     return nearcopies.keep_one(docs).select(*docs.columns)
 
 

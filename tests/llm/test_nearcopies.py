@@ -75,3 +75,24 @@ def test_members_unlike_their_lists_first_are_compared(spark):
 
 def test_empty_table(spark):
     assert nearcopies.keep_one(spark.createDataFrame([], SCHEMA)).count() == 0
+
+
+def test_simhash_trie_has_its_part(spark, monkeypatch):
+    """What the trie proposes is confirmed on the texts, by pairs of few differing bits, and the exact join is left without pairs where the trie has linked all."""
+    word = [f"w{k}" for k in range(2000)]
+    rows = [(k, " ".join([*word[: 900 + k], "end"]), "en") for k in range(12)] + [(50, "something else in seven words of text", "en")]
+    met = {}
+    verified = nearcopies._verified
+
+    def spy(pairs, *rest):
+        edges = verified(pairs, *rest)
+        met[rest[-1]] = edges.count()
+        return edges
+
+    monkeypatch.setattr(nearcopies, "_verified", spy)
+    got = corpus_pipeline.near_dedup(spark, spark.createDataFrame(rows, SCHEMA), "")
+    assert sorted(r["doc_id"] for r in got.collect()) == [0, 50] == brute_kept(rows)
+    assert met["trie"] >= 1 and met["trie"] + met["first"] + met["more"] <= 2 * len(rows)
+    sets = [nearcopies.shingles(t) for _, t, _ in rows]
+    differing = lambda a, b: int((nearcopies.simhash_of(a) ^ nearcopies.simhash_of(b)) & (2**64 - 1)).bit_count()
+    assert differing(sets[0], sets[1]) <= 4 < 15 < differing(sets[0], sets[-1])

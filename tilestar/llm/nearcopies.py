@@ -3,7 +3,11 @@
 A shingle is `WIDTH` consecutive words, ASCII case ignored, as a 64-bit hash; a text of fewer words is one shingle, a text without words has none.
 Documents link if 5 |A and B| >= 4 |A or B|, or if both sets are empty; linked ones are of one component.
 
-Join: equal sets are merged first. Of n shingles in one fixed order, two sets that link share one of their first n - ceil(4n/5) + 1, so only those are
+Two joins find the links; both end in the same verification on the texts. SimHash: the fingerprints of the sets meet in the trie self-join of `simhash` at its two
+differing bits; what it proposes and the texts confirm, links. At 0.8 most pairs differ in more bits, so a second, exact join finds the links that it leaves, among
+sets that it has not brought into one component.
+
+Exact join: equal sets are merged first. Of n shingles in one fixed order, two sets that link share one of their first n - ceil(4n/5) + 1, so only those are
 shuffled. The order puts shingles last that many documents share; any order is right, this one keeps the lists of a shingle short. At their first common shingle, the
 i-th of A and the j-th of B counted from 0, sets that link still have min(|A| - i, |B| - j) >= 4 (|A| + |B|) / 9, so no other pairs of a list are met: a passage that many
 documents share brings together only those that are little else. Each list's members are compared with its smallest member; then, in lists that still hold several components, all members of different components are compared.
@@ -39,6 +43,8 @@ CHUNK, OFTEN, ORDERED = 1 << 20, 4, 1 << 17
 PAIRS = 1 << 18
 #: Bits of a fingerprint, at least and at most; more shingles than half of that share bits, which drops fewer pairs and loses none.
 FEWEST, MOST = 64, 1 << 16
+#: Odd multiplier that mixes a hash before its bits are counted, and hashes whose bits are counted at once.
+MIX, SIMHASH_CHUNK = np.uint64(0x9E3779B97F4A7C15), 1 << 16
 
 
 def shingles(text: str | None, width: int = WIDTH) -> np.ndarray:
@@ -67,6 +73,16 @@ def differing(a: bytes, b: bytes) -> int:
     return int(np.bitwise_count(x ^ y).sum())
 
 
+def simhash_of(s: np.ndarray) -> int:
+    """SimHash of a set of hashes, signed: bit k is set if it is set in over half of them; 0 for none."""
+    count = np.zeros(64, np.int64)
+    for k in range(0, len(s), SIMHASH_CHUNK):
+        h = s[k : k + SIMHASH_CHUNK]
+        h = (h ^ (h >> np.uint64(31))) * MIX  # a run's hash is a sum, whose low bits depend on low bits alone
+        count += np.unpackbits((h ^ (h >> np.uint64(29))).view(np.uint8).reshape(-1, 8), axis=1).sum(axis=0, dtype=np.int64)
+    return int(np.packbits(2 * count > len(s)).view(np.int64)[0])
+
+
 def prefix(s: np.ndarray, common: np.ndarray, count: np.ndarray) -> np.ndarray:
     """The first n - ceil(4n/5) + 1 of n shingles, in order of (count, hash); common: sorted hashes that have a count, all others count zero."""
     rank = np.zeros(len(s), np.int64)
@@ -88,15 +104,16 @@ def first_of(id_col: str, text: str):
 
 
 def _marks(rows: DataFrame) -> DataFrame:
-    """rows: (row, text). (row, key of the set, its size and fingerprint, shingles that are frequent in a part of the table with their counts)."""
+    """rows: (row, text). (row, key of the set, its size, fingerprint and SimHash, shingles that are frequent in a part of the table with their counts)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            keys, sizes, marks, often, held, n = [], [], [], [], [], 0
+            keys, sizes, marks, prints, often, held, n = [], [], [], [], [], [], 0
             for k, t in enumerate(b.column(1)):
                 s = shingles(t.as_py())
                 sizes.append(len(s))
                 marks.append(parity(s))
+                prints.append(simhash_of(s))
                 keys.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
                 held.append(s)
                 n += len(s)
@@ -107,10 +124,10 @@ def _marks(rows: DataFrame) -> DataFrame:
                     held, n = [], 0
                 often.append(found)
             kind = pa.list_(pa.struct([("h", pa.int64()), ("n", pa.int64())]))
-            cols = [b.column(0), pa.array(keys, pa.binary()), pa.array(sizes, pa.int64()), pa.array(marks, pa.binary()), pa.array(often, kind)]
-            yield pa.RecordBatch.from_arrays(cols, names=["row", "key", "size", "mark", "often"])
+            cols = [b.column(0), pa.array(keys, pa.binary()), pa.array(sizes, pa.int64()), pa.array(marks, pa.binary()), pa.array(prints, pa.int64()), pa.array(often, kind)]
+            yield pa.RecordBatch.from_arrays(cols, names=["row", "key", "size", "mark", "print", "often"])
 
-    return rows.mapInArrow(run, "row bigint, key binary, size bigint, mark binary, often array<struct<h: bigint, n: bigint>>")
+    return rows.mapInArrow(run, "row bigint, key binary, size bigint, mark binary, print bigint, often array<struct<h: bigint, n: bigint>>")
 
 
 def _postings(rows: DataFrame, common: np.ndarray, count: np.ndarray) -> DataFrame:
@@ -216,21 +233,46 @@ def _across(lists: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, "a bigint, b bigint").distinct()
 
 
+def by_trie(rows: DataFrame, marks: DataFrame, scratch: Scratch) -> DataFrame:
+    """rows: (node, text), no set twice; marks: (row, size, mark, print). Edges (a, b) that the trie of SimHash fingerprints proposes and the texts confirm.
+
+    Sets of one fingerprint are compared with their smallest; those of linked fingerprints by the smallest of either.
+    """
+    from tilestar.llm import simhash
+
+    own = scratch.save(marks.select(F.col("row").alias("node"), "print").join(rows.select("node"), "node", "left_semi"), "prints")
+    lead = scratch.save(own.groupBy("print").agg(F.min("node").alias("lead")), "print_lead")
+    of = scratch.small(lead, "print_lead")
+    same = own.join(of, "print").filter("node <> lead").select(F.col("lead").alias("a"), F.col("node").alias("b"))
+    met = scratch.save(simhash.links(lead.select(F.col("print").alias("fp"))).distinct(), "print_met")
+    side = lambda name: of.select(F.col("print").alias(name), F.col("lead").alias(f"{name}_lead"))
+    near = met.join(side("a"), "a").join(side("b"), "b").select(F.least("a_lead", "b_lead").alias("a"), F.greatest("a_lead", "b_lead").alias("b"))
+    edges = _verified(same.union(near), rows, marks, scratch, "trie")
+    scratch.drop("prints", "print_lead", "print_met")
+    return edges
+
+
 def links(rows: DataFrame, marks: DataFrame, common: np.ndarray, count: np.ndarray, scratch: Scratch) -> DataFrame:
-    """rows: (node, text), no set twice; marks: (row, size, mark). Edges (a, b) whose components are those of all links."""
+    """rows: (node, text), no set twice; marks: (row, size, mark, print). Edges (a, b) whose components are those of all links."""
+    found = by_trie(rows, marks, scratch)
+    trie = scratch.save(components(found, scratch), "trie_stars")
     post = scratch.save(_postings(rows, common, count), "post")
     lead = post.groupBy("h").agg(F.min(F.struct("node", "size", "pos")).alias("lead"), F.max("node").alias("last")).filter("lead.node < last")
     lead = scratch.save(lead.select("h", F.col("lead.node").alias("lead"), F.col("lead.size").alias("lead_size"), F.col("lead.pos").alias("lead_pos")), "lead")
     shared = scratch.save(post.join(scratch.small(lead, "lead"), "h"), "shared")
     scratch.drop("post", "lead")
     near = shared.filter("node <> lead and 9 * least(size - pos, lead_size - lead_pos) >= 4 * (size + lead_size)")
-    edges = _verified(near.select(F.col("lead").alias("a"), F.col("node").alias("b")).distinct(), rows, marks, scratch, "first")
+    near = near.select(F.col("lead").alias("a"), F.col("node").alias("b")).distinct()
+    for end in "ab":  # pairs of one component of the trie's are linked already
+        near = near.join(scratch.small(trie, "trie_stars").select(F.col("node").alias(end), F.col("root").alias(f"{end}_root")), end, "left")
+    near = near.filter("coalesce(a_root, a) <> coalesce(b_root, b)").select("a", "b")
+    edges = found.union(_verified(near, rows, marks, scratch, "first"))
     stars = components(edges, scratch).withColumnRenamed("node", "star")
     rooted = shared.join(stars, F.col("node") == F.col("star"), "left").withColumn("root", F.coalesce("root", "node"))
     rooted = scratch.save(rooted.select("h", "node", "size", "pos", "root", "lead"), "rooted")
     mixed = scratch.save(rooted.groupBy("h").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low <> high").select("h"), "mixed")
     more = _verified(_across(rooted.join(scratch.small(mixed, "mixed"), "h")), rows, marks, scratch, "more")
-    scratch.drop("shared", "rooted", "mixed")
+    scratch.drop("shared", "rooted", "mixed", "trie_stars")
     return edges.union(more)
 
 
