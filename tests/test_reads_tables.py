@@ -7,6 +7,7 @@ from tilestar import registry
 
 NAMES = [
     "alternating_grid",
+    "alternating_optimal_check",
     # names
 ]
 
