@@ -8,6 +8,7 @@ from tilestar import registry
 NAMES = [
     "alternating_grid",
     "alternating_optimal_check",
+    "asymptotic_t2",
     # names
 ]
 
