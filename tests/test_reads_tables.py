@@ -9,6 +9,7 @@ NAMES = [
     "alternating_grid",
     "alternating_optimal_check",
     "asymptotic_t2",
+    "bound_grid",
     # names
 ]
 
