@@ -10,6 +10,7 @@ NAMES = [
     "alternating_optimal_check",
     "asymptotic_t2",
     "bound_grid",
+    "bounds_by_memory",
     # names
 ]
 
