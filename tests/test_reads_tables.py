@@ -11,6 +11,7 @@ NAMES = [
     "asymptotic_t2",
     "bound_grid",
     "bounds_by_memory",
+    "buffer_demand_t1",
     # names
 ]
 
