@@ -12,6 +12,7 @@ NAMES = [
     "bound_grid",
     "bounds_by_memory",
     "buffer_demand_t1",
+    "buffer_map",
     # names
 ]
 
