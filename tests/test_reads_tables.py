@@ -13,6 +13,7 @@ NAMES = [
     "bounds_by_memory",
     "buffer_demand_t1",
     "buffer_map",
+    "buffers_by_bytes",
     # names
 ]
 
