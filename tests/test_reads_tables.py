@@ -14,6 +14,7 @@ NAMES = [
     "buffer_demand_t1",
     "buffer_map",
     "buffers_by_bytes",
+    "chunk_volumes",
     # names
 ]
 
