@@ -15,6 +15,7 @@ NAMES = [
     "buffer_map",
     "buffers_by_bytes",
     "chunk_volumes",
+    "column_dealing",
     # names
 ]
 
