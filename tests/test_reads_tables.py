@@ -16,6 +16,7 @@ NAMES = [
     "buffers_by_bytes",
     "chunk_volumes",
     "column_dealing",
+    "dependence_edges",
     # names
 ]
 
