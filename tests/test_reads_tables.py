@@ -17,6 +17,7 @@ NAMES = [
     "chunk_volumes",
     "column_dealing",
     "dependence_edges",
+    "enrol_cases",
     # names
 ]
 
